@@ -26,7 +26,7 @@ from .common import binary_column, mix
 
 SPACE_BYTES = b" \t\n\x0b\x0c\r"
 MIN_FILTER_BITS = 1 << 20
-MAX_FILTER_BITS = 1 << 28  # 32 MiB each; both are broadcast
+MAX_FILTER_BITS = 1 << 27  # 16 MiB packed; a task works on 128 MiB unpacked for each of the two
 SEGMENT_BITS = 1 << 15  # filters travel and merge as segments, so that sparse ones stay small
 BROADCAST_KEYS = 200_000  # confirmed keys (16-byte digests) that may be broadcast; beyond, they are joined
 
