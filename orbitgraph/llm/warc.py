@@ -80,12 +80,17 @@ def parse_arc(data: bytes) -> Iterator[dict]:
         yield dict(zip(fields, parts, strict=True)) | {"body": body}
 
 
-def gunzip_members(data: bytes) -> bytes:
-    out = []
-    while data:
+def gunzip_members(data: bytes, step: int = 1 << 15) -> bytes:
+    """All members of a gzip file, fed in small steps: what is left over after each member is never the whole rest."""
+    out, at, view = [], 0, memoryview(data)
+    while at < len(data):
         engine = zlib.decompressobj(31)
-        out.append(engine.decompress(data) + engine.flush())
-        data = engine.unused_data
+        while not engine.eof:
+            piece = view[at : at + step]
+            if not len(piece):
+                raise ValueError("truncated gzip member")
+            out.append(engine.decompress(piece))
+            at += len(piece) - len(engine.unused_data)
     return b"".join(out)
 
 
@@ -130,6 +135,10 @@ def parse_warc(data: bytes) -> Iterator[dict]:
         at = stop + 4 + length + 4
 
 
+def _member(data: bytes) -> bytes:
+    return gzip.compress(data, 1, mtime=0)
+
+
 def _archive_batch(name: str, parts: list[bytes]) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array([name]), pa.array([b"".join(parts)], pa.large_binary()).cast(pa.binary())], names=["archive", "content"])
 
@@ -148,8 +157,8 @@ def write_arc(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", h
             for page, url, html in zip(ids, urls, binary_column(batch, "html").to_pylist(), strict=True):
                 if not held:
                     name, version = f"legacy-{part:06d}-{number:06d}.arc.gz", 1 + (part + number) % 2
-                    held.append(gzip.compress(arc_head(version, name), 1, mtime=0))
-                held.append(gzip.compress(arc_record(version, url or "about:blank", page, html or b"", name, size), 1, mtime=0))
+                    held.append(_member(arc_head(version, name)))
+                held.append(_member(arc_record(version, url or "about:blank", page, html or b"", name, size)))
                 size += len(held[-1])
                 if size >= ARCHIVE_BYTES:
                     yield _archive_batch(name, held)
@@ -161,11 +170,11 @@ def write_arc(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", h
     return materialise(rows.mapInArrow(run, ARCHIVES), "arc")
 
 
-RECORDS = "archive string, number int, page_id long, url string, arc_date string, payload_bytes long, digest string, strong string, body binary"
+RECORDS = "archive string, number int, page_id long, url string, arc_date string, payload_bytes long, digest string"
 
 
 def read_arc(archives: DataFrame) -> DataFrame:
-    """One row for each ARC record, with the bare base-32 SHA-1 of its payload."""
+    """One thin row for each ARC record, with the bare base-32 SHA-1 of its payload; payloads stay in the archives."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -174,53 +183,59 @@ def read_arc(archives: DataFrame) -> DataFrame:
                 for i, r in enumerate(parse_arc(gunzip_members(content))):
                     head, payload = split_http(r["body"])
                     page = head.get("x-page-id")
-                    rows.append((name, i, None if page is None else int(page), r["URL"], r["Archive-date"], len(payload), base32_sha1(payload), hashlib.sha256(payload).hexdigest(), r["body"]))
+                    rows.append((name, i, None if page is None else int(page), r["URL"], r["Archive-date"], len(payload), base32_sha1(payload)))
                 if rows:
-                    kinds = (pa.string(), pa.int32(), pa.int64(), pa.string(), pa.string(), pa.int64(), pa.string(), pa.string(), pa.binary())
+                    kinds = (pa.string(), pa.int32(), pa.int64(), pa.string(), pa.string(), pa.int64(), pa.string())
                     yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True)], names=re.findall(r"(\w+) \w+", RECORDS))
 
     return archives.mapInArrow(run, RECORDS)
 
 
-def convert(archives: DataFrame, min_dedup: int = 0) -> DataFrame:
-    """WARC archives equivalent to the ARC ones; repeated payloads become revisits of the largest page_id's record.
+def revisits(archives: DataFrame, min_dedup: int = 0) -> DataFrame:
+    """One row for each archive: the numbers of its records that revisit another, and that other record.
 
     The largest record of a payload is an aggregate that combines within each task, so a payload that a third of all
-    pages share is no hot group; its join back is a plain shuffle join, whose skewed side Spark splits."""
-    records = read_arc(archives)
-    order = F.struct(F.coalesce("page_id", F.lit(-(1 << 62))).alias("p"), F.col("archive").alias("a"), F.col("number").alias("n"), F.col("url").alias("u"), F.col("arc_date").alias("d"))
-    firsts = records.select("strong", order.alias("o")).groupBy("strong").agg(F.max(F.struct("o.p", F.col("o"))).alias("m"))
-    firsts = firsts.select("strong", F.when(F.col("m.o.p") > -(1 << 62), F.col("m.o.p")).alias("first_page"), F.col("m.o.a").alias("first_archive"), F.col("m.o.n").alias("first_number"), F.col("m.o.u").alias("first_url"), F.col("m.o.d").alias("first_date"))
-    joined = records.join(firsts, "strong")
-    is_first = (F.col("archive") == F.col("first_archive")) & (F.col("number") == F.col("first_number"))
-    joined = joined.withColumn("revisit", (F.col("payload_bytes") >= min_dedup) & ~is_first)
+    pages share is no hot group; its join back is a plain shuffle join of thin rows, whose skewed side Spark splits."""
+    records = materialise(read_arc(archives), "arc-records")
+    lowest = F.lit(-(1 << 62))
+    order = F.struct(F.coalesce("page_id", lowest).alias("p"), F.col("archive").alias("a"), F.col("number").alias("n"), F.col("url").alias("u"), F.col("arc_date").alias("d"))
+    firsts = records.groupBy("digest", "payload_bytes").agg(F.max(order).alias("m"))
+    joined = records.where(F.col("payload_bytes") >= min_dedup).join(firsts, ["digest", "payload_bytes"])
+    again = joined.where((F.col("archive") != F.col("m.a")) | (F.col("number") != F.col("m.n")))
+    page = F.when(F.col("m.p") > lowest, F.col("m.p"))
+    entry = F.struct("number", page.alias("page"), F.col("m.a").alias("archive"), F.col("m.n").alias("first"), F.col("m.u").alias("url"), F.col("m.d").alias("date"))
+    return again.groupBy("archive").agg(F.collect_list(entry).alias("again"))
+
+
+def convert(archives: DataFrame, min_dedup: int = 0) -> DataFrame:
+    """WARC archives equivalent to the ARC ones; repeated payloads become revisits of the largest page_id's record."""
+    marked = archives.join(revisits(archives, min_dedup), "archive", "left").select("archive", "content", "again")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        part, number, held, size, name = TaskContext.get().partitionId(), 0, [], 0, ""
         for batch in batches:
-            for r in batch.to_pylist():
-                if not held:
-                    name = f"converted-{part:06d}-{number:06d}.warc.gz"
-                    info = b"software: orbitgraph legacy archive converter\r\nformat: WARC File Format 1.1\r\n"
-                    held.append(gzip.compress(warc_record("warcinfo", [("WARC-Record-ID", warc_id(name)), ("WARC-Date", warc_date(r["arc_date"])), ("WARC-Filename", name), ("Content-Type", "application/warc-fields")], info), 1, mtime=0))
-                fields = [("WARC-Record-ID", warc_id(r["archive"], r["number"])), ("WARC-Date", warc_date(r["arc_date"])), ("WARC-Target-URI", r["url"]), ("WARC-Payload-Digest", f"sha1:{r['digest']}")]
-                block = r["body"]
-                if r["revisit"]:
-                    block = block.partition(b"\r\n\r\n")[0] + b"\r\n\r\n"
-                    fields += [("WARC-Profile", "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"), ("WARC-Refers-To", warc_id(r["first_archive"], r["first_number"])), ("WARC-Refers-To-Target-URI", r["first_url"]), ("WARC-Refers-To-Date", warc_date(r["first_date"]))]
-                    if r["first_page"] is not None:
-                        fields.append(("X-Refers-To-Page", str(r["first_page"])))
-                fields += [("WARC-Block-Digest", f"sha1:{base32_sha1(block)}"), ("Content-Type", "application/http; msgtype=response")]
-                held.append(gzip.compress(warc_record("revisit" if r["revisit"] else "response", fields, block), 1, mtime=0))
-                size += len(held[-1])
-                if size >= ARCHIVE_BYTES:
+            marks = batch.column(2).to_pylist()
+            for legacy, content, again in zip(batch.column(0).to_pylist(), binary_column(batch, "content").to_pylist(), marks, strict=True):
+                first_of = {m["number"]: m for m in again or ()}
+                name = re.sub(r"\.arc\.gz$", "", legacy) + ".warc.gz"
+                info = b"software: orbitgraph legacy archive converter\r\nformat: WARC File Format 1.1\r\n"
+                held = []
+                for i, r in enumerate(parse_arc(gunzip_members(content))):
+                    date = warc_date(r["Archive-date"])
+                    if not held:
+                        held.append(_member(warc_record("warcinfo", [("WARC-Record-ID", warc_id(name)), ("WARC-Date", date), ("WARC-Filename", name), ("Content-Type", "application/warc-fields")], info)))
+                    block, first = r["body"], first_of.get(i)
+                    fields = [("WARC-Record-ID", warc_id(legacy, i)), ("WARC-Date", date), ("WARC-Target-URI", r["URL"]), ("WARC-Payload-Digest", f"sha1:{base32_sha1(split_http(block)[1])}")]
+                    if first:
+                        block = block.partition(b"\r\n\r\n")[0] + b"\r\n\r\n"
+                        fields += [("WARC-Profile", "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"), ("WARC-Refers-To", warc_id(first["archive"], first["first"])), ("WARC-Refers-To-Target-URI", first["url"]), ("WARC-Refers-To-Date", warc_date(first["date"]))]
+                        if first["page"] is not None:
+                            fields.append(("X-Refers-To-Page", str(first["page"])))
+                    fields += [("WARC-Block-Digest", f"sha1:{base32_sha1(block)}"), ("Content-Type", "application/http; msgtype=response")]
+                    held.append(_member(warc_record("revisit" if first else "response", fields, block)))
+                if held:
                     yield _archive_batch(name, held)
-                    number, held, size = number + 1, [], 0
-        if held:
-            yield _archive_batch(name, held)
 
-    needed = joined.select("archive", "number", "url", "arc_date", "digest", "body", "revisit", "first_archive", "first_number", "first_url", "first_date", "first_page")
-    return materialise(needed.mapInArrow(run, ARCHIVES), "warc")
+    return materialise(marked.mapInArrow(run, ARCHIVES), "warc")
 
 
 def read_warc(archives: DataFrame) -> DataFrame:
