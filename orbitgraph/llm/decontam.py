@@ -49,30 +49,31 @@ class Walks:
 
     def __init__(self, width: int, repetitions: int, samples: int, seed: int = 7):
         rng = np.random.default_rng([seed, width])
-        steps = 2 * width if width > 1 else 1
+        steps = 3 * width // 2 if width > 3 else width  # by then a walk has read three quarters of its window
         self.width, self.repetitions = width, repetitions if width > 3 else 1
         self.factors = rng.integers(1, 1 << 62, (self.repetitions, steps), dtype=np.uint64) * np.uint64(2) + np.uint64(1)
-        # early steps stay in every walk; a third of the steps is enough to tell windows apart
-        k = min(samples, steps)
-        self.sampled = [np.sort(rng.choice(steps, k, replace=False)) for _ in range(self.repetitions)] if width > 3 else [np.arange(min(width, steps))]
+        self.sampled = [np.sort(rng.choice(steps, min(samples, steps), replace=False)) for _ in range(self.repetitions)] if width > 3 else [np.arange(width)]
 
     def keys(self, words: np.ndarray, starts: np.ndarray) -> Iterator[np.ndarray]:
-        """One array of keys over the starts for each repetition; every window must lie inside ``words``."""
+        """One array of keys over the starts for each repetition. A rare walk that leaves its window reads on."""
+        padded = np.concatenate([words, np.zeros(2 * self.width, np.uint64)])
         for r in range(self.repetitions):
             at, key = starts.copy(), np.full(len(starts), np.uint64(r + 1))
-            limit = starts + (self.width - 1)
-            sampled = set(self.sampled[r].tolist())
-            for j in range(int(self.sampled[r][-1]) + 1):
-                here = words[np.minimum(at, limit)]
-                past = at > limit
+            sampled, last = set(self.sampled[r].tolist()), int(self.sampled[r][-1])
+            for j in range(last + 1):
+                here = padded[at]
                 if j in sampled:
-                    # beyond its last word a window reads out a blank
-                    key = (key ^ np.where(past, np.uint64(1), here)) * np.uint64(0x9E3779B97F4A7C15)
+                    key ^= here
+                    key *= np.uint64(0x9E3779B97F4A7C15)
                     key ^= key >> np.uint64(29)
+                if j == last:
+                    break
                 if self.width <= 3:
                     at += 1
                 else:
-                    at += ((here * self.factors[r, j]) >> np.uint64(63)).astype(np.int64)
+                    here *= self.factors[r, j]
+                    here >>= np.uint64(63)
+                    at += here.view(np.int64)
             yield mix(key)
 
 
