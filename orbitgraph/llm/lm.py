@@ -33,7 +33,7 @@ from pyspark.sql import functions as F
 
 from .common import WordHash, binary_column, materialise, mix, slices
 
-BLOCK_BYTES = 16 << 20
+BLOCK_BYTES = 5 << 20
 BUCKET_GRAMS = 500_000
 LEAST_BUCKETS = 32
 MASS = 30.0
