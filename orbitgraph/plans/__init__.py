@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import importlib
 
-MODULES = ("core",)
+MODULES = ("core", "physics")
 
 
 def _all(what: str) -> dict:
