@@ -79,13 +79,56 @@ class WordHash(dict):
         return value
 
 
-def hashed_words(texts: list[bytes], table: WordHash) -> tuple[np.ndarray, np.ndarray]:
-    """Hashes of all ASCII-space separated words, and the offsets of the texts in them."""
-    out, offsets = array("Q"), [0]
-    for text in texts:
-        out.extend(map(table.__getitem__, text.split()))
-        offsets.append(len(out))
-    return np.frombuffer(out, dtype=np.uint64) if len(out) else np.zeros(0, np.uint64), np.asarray(offsets, dtype=np.int64)
+_BYTE = np.random.default_rng(97).integers(1, 1 << 63, 256, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+_SPACE = np.zeros(256, bool)
+_SPACE[[32, *range(9, 14)]] = True
+_STEP = 0x9E3779B97F4A7C15
+_CHUNK = 1 << 20
+_POWERS: list[np.ndarray] = []
+
+
+def _powers(n: int) -> list[np.ndarray]:
+    if not _POWERS or len(_POWERS[0]) < n:
+        size = max(n, _CHUNK + (1 << 16))
+        _POWERS[:] = [np.cumprod(np.concatenate([[np.uint64(1)], np.full(size - 1, np.uint64(f), np.uint64)])) for f in (_STEP, pow(_STEP, -1, 1 << 64))]
+    return _POWERS
+
+
+def _chunk_hashes(data: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Hash and first byte of every word: a prefix sum of byte weights times powers, divided by the power at the start."""
+    space = _SPACE[data]
+    begins = np.flatnonzero(~space & np.append(True, space[:-1]))
+    ends = np.flatnonzero(~space & np.append(space[1:], True)) + 1
+    power, inverse = _powers(len(data))
+    prefix = np.zeros(len(data) + 1, np.uint64)
+    np.cumsum(_BYTE[data] * power[: len(data)], out=prefix[1:])
+    return mix((prefix[ends] - prefix[begins]) * inverse[begins] + (ends - begins).astype(np.uint64)), begins
+
+
+def hashed_words(texts: list[bytes], table: WordHash | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of all ASCII-space separated words, and the offsets of the texts in them.
+
+    Without a table all bytes are hashed together in numpy, a bounded chunk at a time."""
+    if table is not None:
+        out, offsets = array("Q"), [0]
+        for text in texts:
+            out.extend(map(table.__getitem__, text.split()))
+            offsets.append(len(out))
+        return np.frombuffer(out, dtype=np.uint64) if len(out) else np.zeros(0, np.uint64), np.asarray(offsets, dtype=np.int64)
+    data = np.frombuffer(b"\n".join(texts), np.uint8)
+    hashes, begins, at = [], [], 0
+    while at < len(data):
+        stop = min(at + _CHUNK, len(data))
+        while stop < len(data) and not _SPACE[data[stop]]:  # a chunk ends between words
+            more = np.flatnonzero(_SPACE[data[stop : stop + (1 << 16)]])
+            stop = stop + int(more[0]) if len(more) else min(stop + (1 << 16), len(data))
+        h, b = _chunk_hashes(data[at:stop])
+        hashes.append(h)
+        begins.append(b + at)
+        at = stop
+    first = np.cumsum([0, *(len(t) + 1 for t in texts)])
+    place = np.concatenate(begins) if begins else np.zeros(0, np.int64)
+    return (np.concatenate(hashes) if hashes else np.zeros(0, np.uint64)), np.searchsorted(place, first)
 
 
 def mix(values: np.ndarray) -> np.ndarray:

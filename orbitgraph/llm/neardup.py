@@ -27,7 +27,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import WordHash, binary_column, hashed_words, materialise, mix, rolling, slices
+from .common import binary_column, hashed_words, materialise, mix, rolling, slices
 from .components import components
 
 REGISTERS, BAND = 80, 4
@@ -39,9 +39,9 @@ NO_ID = 1 << 62  # above it: ids made up for classes whose rows all lack one
 _FACTORS = np.random.default_rng(20_240_101).integers(1, 1 << 62, (2, REGISTERS), dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 
 
-def shingle_sets(texts: list[bytes], width: int, table: WordHash) -> tuple[np.ndarray, np.ndarray]:
+def shingle_sets(texts: list[bytes], width: int) -> tuple[np.ndarray, np.ndarray]:
     """Sorted distinct shingle hashes of each text (ASCII lower-cased), concatenated, and their offsets."""
-    flat, offsets = hashed_words([t.lower() for t in texts], table)
+    flat, offsets = hashed_words([t.lower() for t in texts])
     n_words = np.diff(offsets)
     n = np.where(n_words >= width, n_words - width + 1, (n_words > 0).astype(np.int64))
     row = np.repeat(np.arange(len(n)), n)
@@ -95,11 +95,10 @@ def likely_overlap(above: np.ndarray, below: np.ndarray, equal: np.ndarray, n: n
 
 def _sketches(width: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        table = WordHash()
         for batch in batches:
             texts = binary_column(batch, "text")
             for a, b in slices(pc.fill_null(pc.binary_length(texts), 0).to_pylist(), SLICE_BYTES):
-                hashes, offsets = shingle_sets([t or b"" for t in texts.slice(a, b - a).to_pylist()], width, table)
+                hashes, offsets = shingle_sets([t or b"" for t in texts.slice(a, b - a).to_pylist()], width)
                 sizes = np.diff(offsets)
                 regs = iter(sketch(hashes, offsets))
                 digests = [xxhash.xxh3_128_digest(hashes[offsets[i] : offsets[i + 1]].tobytes()) if n else None for i, n in enumerate(sizes)]
@@ -209,11 +208,10 @@ def _full_sets(width: int):
     """task, rep, set of the candidate classes' rows (the row's own digest must be its class's)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        table = WordHash()
         for batch in batches:
             texts, digests = binary_column(batch, "text"), batch.column(batch.schema.get_field_index("digest")).to_pylist()
             for a, b in slices(pc.fill_null(pc.binary_length(texts), 0).to_pylist(), SLICE_BYTES):
-                hashes, offsets = shingle_sets([t or b"" for t in texts.slice(a, b - a).to_pylist()], width, table)
+                hashes, offsets = shingle_sets([t or b"" for t in texts.slice(a, b - a).to_pylist()], width)
                 sets = [hashes[offsets[i] : offsets[i + 1]].tobytes() for i in range(b - a)]
                 same = [xxhash.xxh3_128_digest(s) == d for s, d in zip(sets, digests[a:b], strict=True)]
                 part = pa.RecordBatch.from_arrays([batch.column(i).slice(a, b - a) for i in (0, 1, 2)] + [pa.array(sets, pa.binary())], names=["rep", "comp", "size", "shingles"])

@@ -1,11 +1,12 @@
 """Exact substring deduplication of word windows by super-k-mer partitioning.
 
-Every window of ``width`` words has a minimiser, the least hash of its ``m`` -word grams. Consecutive windows that share
-one travel together as one packed string of words to the minimiser's bucket: equal windows have equal minimisers, so
-they meet there, where the unpacked windows are sorted by hash and compared word by word. A task first drops windows
-that begin earlier in its own slice, so copies travel once a slice. Minimisers that hold more than a small share of a
-sample's windows are split: their windows travel one by one, to the bucket of the window's own hash. The sample steers
-only where windows meet; all windows of all rows are compared, and the result does not depend on it.
+Every window of ``width`` words has a minimiser, the least hash of its word grams. Consecutive windows that share one
+travel together as one packed string of words to the minimiser's bucket: equal windows have equal minimisers, so they
+meet there, where the unpacked windows are sorted by hash and compared word by word. A slice sends each bucket one
+compressed parcel of strings. It first drops windows that begin earlier in itself, so copies travel once a slice.
+Minimisers that hold more than a bounded number of windows, by a sample's count, are split: their windows travel one by
+one, to the bucket of the window's own hash. The sample steers only where windows meet; all windows of all rows are
+compared, and the result does not depend on it.
 
 Edge cases: null or empty text has no words; texts shorter than a window lose nothing; order is (doc_id, start) with
 null ids first; rows that share doc_id and text get the same result, and windows that begin at the same (doc_id,
@@ -23,15 +24,17 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import WordHash, binary_column, hashed_words, materialise, mix, rolling, slices
+from .common import binary_column, hashed_words, materialise, mix, rolling, slices
 
-GRAM = 5
-SLICE_BYTES = 8 << 20
-BUCKET_ROWS = 400_000  # windows unpacked at once in a bucket task
-HOT_SHARE = 1 / 20_000
+GRAM = 3
+SLICE_BYTES = 3 << 20
+BUCKET_BYTES = 1 << 20  # text of the input for each bucket, so about three times that in packed strings
+HOT_WINDOWS = 20_000  # a minimiser of more windows is split
+HOT_SHARE = 1 / 2_000  # or one of a larger share of all windows, whichever is less
 SAMPLE_OF = 16
 NULL_ID = -(1 << 63)
-RUNS = "bucket long, row_key long, doc long, start int, n int, words binary"
+CODEC = "zstd"
+PARCELS = "bucket long, parcel binary"
 COVERS = "doc long, row_key long, start int, stop int"
 
 
@@ -47,55 +50,51 @@ def minimisers(hashes: np.ndarray, width: int) -> np.ndarray:
     return np.minimum(low[: len(low) - rest], low[rest:]) if rest else low
 
 
-def repeated(order_hash: np.ndarray, words: np.ndarray, at: np.ndarray, doc: np.ndarray, start: np.ndarray, width: int) -> np.ndarray:
-    """Marks windows that begin later than an equal one. at: where each window's words stand in ``words``."""
-    order = np.lexsort((start, doc, order_hash))
+def repeated(order_hash: np.ndarray, words: np.ndarray, at: np.ndarray, row: np.ndarray, ids: np.ndarray, start: np.ndarray, width: int) -> np.ndarray:
+    """Marks windows that begin later than an equal one; windows come in (doc, start) order, ``at`` says where each
+    one's words stand in ``words``, ``row`` whose window it is, ``ids`` the rows' document ids."""
+    order = np.argsort(order_hash)
     h = order_hash[order]
-    same = np.zeros(len(order), bool)
-    near = np.flatnonzero(h[1:] == h[:-1]) + 1
-    if len(near):
-        offsets = np.arange(width)
-        equal = np.ones(len(near), bool)
-        for a in range(0, len(near), 1 << 18):
-            part = near[a : a + (1 << 18)]
-            equal[a : a + (1 << 18)] = (words[at[order[part]][:, None] + offsets] == words[at[order[part - 1]][:, None] + offsets]).all(axis=1)
-        same[near[equal]] = True
-        clash = near[~equal]
-        if len(clash):  # different words under one hash: such groups are told apart exactly
-            for value in np.unique(h[clash]):
-                lo, hi = np.searchsorted(h, value, "left"), np.searchsorted(h, value, "right")
-                seen: set[bytes] = set()
-                for k in range(lo, hi):
-                    content = words[at[order[k]] : at[order[k]] + width].tobytes()
-                    same[k] = content in seen
-                    seen.add(content)
-    # a run of equal windows: later means a greater (doc, start) than the run's first
-    first = np.maximum.accumulate(np.where(same, 0, np.arange(len(order))))
-    lead = order[first]
+    equal = h[1:] == h[:-1]
+    grouped = np.flatnonzero(np.append(equal, False) | np.append(False, equal))
     out = np.zeros(len(order), bool)
-    out[order] = same & ((doc[order] != doc[lead]) | (start[order] != start[lead]))
+    if not len(grouped):
+        return out
+    mine, hashes = order[grouped], h[grouped]
+    mine = mine[np.lexsort((mine, hashes))]  # hashes are sorted already: this puts each group into (doc, start) order
+    same = np.zeros(len(mine), bool)
+    near = np.flatnonzero(hashes[1:] == hashes[:-1]) + 1
+    matches = np.ones(len(near), bool)
+    for k in range(width):
+        matches &= words[at[mine[near]] + k] == words[at[mine[near - 1]] + k]
+    same[near[matches]] = True
+    for value in np.unique(hashes[near[~matches]]):  # different words under one hash: such groups are told apart exactly
+        lo, hi = np.searchsorted(hashes, value, "left"), np.searchsorted(hashes, value, "right")
+        groups: dict[bytes, list[int]] = {}
+        for k in range(lo, hi):
+            groups.setdefault(words[at[mine[k]] : at[mine[k]] + width].tobytes(), []).append(int(mine[k]))
+        mine[lo:hi] = [w for g in groups.values() for w in g]
+        same[lo:hi] = [i > 0 for g in groups.values() for i in range(len(g))]
+    # a run of equal windows: later means a greater (doc, start) than the run's first
+    lead = mine[np.maximum.accumulate(np.where(same, 0, np.arange(len(mine))))]
+    out[mine] = same & ((ids[row[mine]] != ids[row[lead]]) | (start[mine] != start[lead]))
     return out
 
 
 def _windows(n_words: np.ndarray, offsets: np.ndarray, width: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Row, start in the row, and place in the slice of every window."""
     n = np.maximum(n_words - width + 1, 0)
-    row = np.repeat(np.arange(len(n)), n)
-    start = np.arange(len(row)) - (np.cumsum(n) - n)[row]
-    return row, start, offsets[row] + start
-
-
-def _slice_words(texts: list[bytes], table: WordHash) -> tuple[np.ndarray, np.ndarray]:
-    return hashed_words(texts, table)
+    row = np.repeat(np.arange(len(n), dtype=np.int32), n)
+    start = (np.arange(len(row)) - (np.cumsum(n) - n)[row]).astype(np.int32)
+    return row, start, (offsets[row] + start).astype(np.int32)
 
 
 def _sample(width: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        table = WordHash()
         for batch in batches:
             texts = binary_column(batch, "text")
             for a, b in slices(pc.fill_null(pc.binary_length(texts), 0).to_pylist(), SLICE_BYTES):
-                flat, offsets = hashed_words([t or b"" for t in texts.slice(a, b - a).to_pylist()], table)
+                flat, offsets = hashed_words([t or b"" for t in texts.slice(a, b - a).to_pylist()])
                 if len(flat) < width:
                     continue
                 _, _, at = _windows(np.diff(offsets), offsets, width)
@@ -105,126 +104,145 @@ def _sample(width: int):
     return run
 
 
-def hot_minimisers(docs: DataFrame, width: int) -> np.ndarray:
-    """Minimisers with more than ``HOT_SHARE`` of a sample's windows: at most one over that share, so they broadcast."""
+def hot_minimisers(docs: DataFrame, width: int, total_words: int) -> np.ndarray:
+    """Minimisers of more than ``HOT_WINDOWS`` windows by a sample's count: at most total / ``HOT_WINDOWS`` of them."""
     sample = docs.where(F.pmod(F.xxhash64("doc", "row_key"), F.lit(SAMPLE_OF)) == 0).select("text")
     counts = sample.mapInArrow(_sample(width), "bucket long, n long").groupBy("bucket").agg(F.sum("n").alias("n"))
-    total = sample.agg(F.sum(F.size(F.split(F.coalesce("text", F.lit("")), "[\\x20\\x09-\\x0D]+")))).first()[0] or 0
-    least = max(64, int(total * HOT_SHARE))
-    return np.array(sorted(r.bucket for r in counts.where(F.col("n") >= least).collect()), np.int64)
+    least = max(32, int(min(HOT_WINDOWS, total_words * HOT_SHARE) / SAMPLE_OF))
+    return np.array(sorted(r.bucket for r in counts.where(F.col("n") >= least).toLocalIterator()), np.int64)
+
+
+def pack_parcel(doc: np.ndarray, key: np.ndarray, start: np.ndarray, n: np.ndarray, words: list[bytes]) -> bytes:
+    """Super-k-mers of one slice and bucket: columns of numbers, then the strings, compressed together."""
+    numbers = b"".join(x.tobytes() for x in (doc.astype("<i8"), key.astype("<i8"), start.astype("<i4"), n.astype("<i4")))
+    data = numbers + b"\n".join(words)
+    return len(doc).to_bytes(8, "little") + len(data).to_bytes(8, "little") + pa.compress(data, codec=CODEC, asbytes=True)
+
+
+def open_parcel(parcel: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, list[bytes]]:
+    rows, size = int.from_bytes(parcel[:8], "little"), int.from_bytes(parcel[8:16], "little")
+    data = pa.decompress(parcel[16:], decompressed_size=size, codec=CODEC, asbytes=True)
+    cuts = np.cumsum([0, 8 * rows, 8 * rows, 4 * rows, 4 * rows])
+    doc, key, start, n = (np.frombuffer(data[a:b], kind).astype(np.int64) for a, b, kind in zip(cuts, cuts[1:], ("<i8", "<i8", "<i4", "<i4"), strict=False))
+    return doc, key, start, n, data[cuts[-1] :].split(b"\n")
+
+
+def _strings(texts: list[bytes], row: np.ndarray, start: np.ndarray, length: np.ndarray) -> list[bytes]:
+    """The packed words of each run; one text is split at a time."""
+    out: list[bytes] = [b""] * len(row)
+    held, words = -1, []
+    order = np.argsort(row, kind="stable")
+    for k, i, j, m in zip(order.tolist(), row[order].tolist(), start[order].tolist(), length[order].tolist(), strict=True):
+        if i != held:
+            held, words = i, texts[i].split()
+        out[k] = b" ".join(words[j : j + m])
+    return out
 
 
-def _pack(width: int, hot: object):
-    """Super-k-mers of each slice, and the covers of windows that an earlier one of the slice repeats."""
+def _pack(width: int, hot: object, buckets: int):
+    """Parcels of super-k-mers, and (bucket -1) of the spans that an earlier window of the slice covers."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        table, known = WordHash(), hot.value
+        known = hot.value
         for batch in batches:
             docs = np.asarray(batch.column(0).to_numpy(zero_copy_only=False), np.int64)
             keys = np.asarray(batch.column(1).to_numpy(zero_copy_only=False), np.int64)
             texts = binary_column(batch, "text")
             for a, b in slices(pc.fill_null(pc.binary_length(texts), 0).to_pylist(), SLICE_BYTES):
-                part = [t or b"" for t in texts.slice(a, b - a).to_pylist()]
-                flat, offsets = hashed_words(part, table)
-                if len(flat) < width:
-                    continue
+                by = a + np.argsort(docs[a:b], kind="stable")
+                part = [t or b"" for t in texts.take(pa.array(by)).to_pylist()]
+                flat, offsets = hashed_words(part)
                 row, start, at = _windows(np.diff(offsets), offsets, width)
                 if not len(row):
                     continue
-                doc, key = docs[a:b][row], keys[a:b][row]
+                ids, own = docs[by], keys[by]
                 whole = rolling(flat, width)[at]
-                again = repeated(whole, flat, at, doc, start, width)
-                yield from _covers(doc, key, start, again, width)
-                bucket = minimisers(flat, width)[at].view(np.int64)
-                split = np.isin(bucket, known) if len(known) else np.zeros(len(bucket), bool)
-                bucket = np.where(split, whole.view(np.int64), bucket)
+                again = repeated(whole, flat, at, row, ids, start, width)
+                out: list[tuple[int, bytes]] = [(-1, pack_parcel(*c, [])) for c in [_covers(row, ids, own, start, again, width)] if len(c[0])]
+                least = minimisers(flat, width)[at].view(np.int64)
+                if len(known):
+                    least = np.where(np.isin(least, known), whole.view(np.int64), least)
                 live = np.flatnonzero(~again)
-                if not len(live):
-                    continue
-                r, s, k = row[live], start[live], bucket[live]
+                del at, flat, again
+                r, s, k = row[live], start[live], least[live]
                 new = np.ones(len(live), bool)
                 new[1:] = (r[1:] != r[:-1]) | (s[1:] != s[:-1] + 1) | (k[1:] != k[:-1])
                 heads = np.flatnonzero(new)
                 n = np.diff(np.append(heads, len(live)))
-                words: list[list[bytes]] = [t.split() for t in part]
-                packed = [b" ".join(words[i][j : j + m + width - 1]) for i, j, m in zip(r[heads].tolist(), s[heads].tolist(), n.tolist(), strict=True)]
-                for lo in range(0, len(heads), 50_000):
-                    h = heads[lo : lo + 50_000]
-                    yield pa.RecordBatch.from_arrays(
-                        [pa.array(k[h]), pa.array(key[live[h]]), pa.array(doc[live[h]]), pa.array(s[h].astype(np.int32)), pa.array(n[lo : lo + 50_000].astype(np.int32)), pa.array(packed[lo : lo + 50_000], pa.binary())],
-                        names=["bucket", "row_key", "doc", "start", "n", "words"],
-                    )
+                del whole, least, new
+                bucket = (mix(k[heads].view(np.uint64)) % np.uint64(buckets)).astype(np.int64)
+                order = np.argsort(bucket, kind="stable")
+                heads, n, bucket = heads[order], n[order], bucket[order]
+                strings = _strings(part, r[heads], s[heads], n + width - 1)
+                cuts = np.flatnonzero(np.append(True, bucket[1:] != bucket[:-1])).tolist() if len(bucket) else []
+                for lo, hi in zip(cuts, [*cuts[1:], len(bucket)], strict=True):
+                    h = live[heads[lo:hi]]
+                    out.append((int(bucket[lo]), pack_parcel(ids[row[h]], own[row[h]], start[h], n[lo:hi], strings[lo:hi])))
+                yield pa.RecordBatch.from_arrays([pa.array([o[0] for o in out], pa.int64()), pa.array([o[1] for o in out], pa.binary())], names=["bucket", "parcel"])
 
     return run
 
 
-def _covers(doc: np.ndarray, key: np.ndarray, start: np.ndarray, again: np.ndarray, width: int) -> Iterator[pa.RecordBatch]:
-    """Rows without words: n is minus the number of words that repeated windows cover from start on."""
+def _covers(row: np.ndarray, ids: np.ndarray, keys: np.ndarray, start: np.ndarray, again: np.ndarray, width: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """doc, row_key, first word and number of words of the spans that the marked windows cover."""
     at = np.flatnonzero(again)
-    if not len(at):
-        return
-    order = np.lexsort((start[at], key[at], doc[at]))
-    d, k, s = doc[at][order], key[at][order], start[at][order]
+    order = at[np.lexsort((start[at], keys[row[at]], ids[row[at]]))]
+    d, k, s = ids[row[order]], keys[row[order]], start[order].astype(np.int64)
     new = np.ones(len(s), bool)
     new[1:] = (d[1:] != d[:-1]) | (k[1:] != k[:-1]) | (s[1:] > s[:-1] + width)
     heads = np.flatnonzero(new)
-    last = np.append(heads[1:], len(s)) - 1
-    length = s[last] + width - s[heads]
-    # negative lengths mark covers; their bucket spreads them
-    yield pa.RecordBatch.from_arrays(
-        [pa.array(mix(k[heads].view(np.uint64) + s[heads].astype(np.uint64)).view(np.int64)), pa.array(k[heads]), pa.array(d[heads]), pa.array(s[heads].astype(np.int32)), pa.array((-length).astype(np.int32)), pa.array([None] * len(heads), pa.binary())],
-        names=["bucket", "row_key", "doc", "start", "n", "words"],
-    )
+    last = np.append(heads[1:], len(s))[: len(heads)] - 1
+    return d[heads], k[heads], s[heads], s[last] + width - s[heads]
 
 
-def _compare(width: int):
-    """Sorted by bucket: unpacks whole buckets together up to a bound and emits the covers of repeated windows."""
+def _spans_batch(doc: np.ndarray, key: np.ndarray, start: np.ndarray, n: np.ndarray) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array(doc), pa.array(key), pa.array(start.astype(np.int32)), pa.array((start + n).astype(np.int32))], names=["doc", "row_key", "start", "stop"])
 
-    def settle(rows: list[pa.RecordBatch], table: WordHash) -> Iterator[pa.RecordBatch]:
-        t = pa.Table.from_batches(rows).combine_chunks()
-        n = t["n"].to_numpy().astype(np.int64)
-        flat, offsets = hashed_words(t["words"].to_pylist(), table)
-        row = np.repeat(np.arange(len(n)), n)
+
+def _compare(width: int):
+    """Sorted by bucket: unpacks one bucket at a time and emits the spans of its repeated windows."""
+
+    def settle(parcels: list[bytes]) -> Iterator[pa.RecordBatch]:
+        opened = [open_parcel(p) for p in parcels]
+        doc, key, start, n = (np.concatenate([o[i] for o in opened]) for i in range(4))
+        strings = [w for o in opened for w in o[4]]
+        order = np.lexsort((start, doc))
+        doc, key, start, n = doc[order], key[order], start[order], n[order]
+        flat, offsets = hashed_words([strings[i] for i in order.tolist()])
+        del strings, opened
+        row = np.repeat(np.arange(len(n), dtype=np.int32), n)
         step = np.arange(len(row)) - (np.cumsum(n) - n)[row]
-        at = offsets[row] + step
-        doc, key, start = t["doc"].to_numpy()[row], t["row_key"].to_numpy()[row], t["start"].to_numpy().astype(np.int64)[row] + step
-        again = repeated(rolling(flat, width)[at], flat, at, doc, start, width)
-        for b in _covers(doc, key, start, again, width):
-            yield pa.RecordBatch.from_arrays([b.column(2), b.column(1), b.column(3), pa.compute.subtract(b.column(3), b.column(4))], names=["doc", "row_key", "start", "stop"])
+        at, start = offsets[row] + step, start[row] + step
+        del step
+        yield _spans_batch(*_covers(row, doc, key, start, repeated(rolling(flat, width)[at], flat, at, row, doc, start, width), width))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        table, held, count = WordHash(), [], 0
+        held, bucket = [], None
         for batch in batches:
-            done = batch.filter(pc.less(batch.column(4), 0))
-            if done.num_rows:
-                yield pa.RecordBatch.from_arrays([done.column(2), done.column(1), done.column(3), pc.subtract(done.column(3), done.column(4))], names=["doc", "row_key", "start", "stop"])
-            batch = batch.filter(pc.greater(batch.column(4), 0))
-            if not batch.num_rows:
-                continue
-            if count >= BUCKET_ROWS:
-                # the held rows end with a bucket that may go on: settle all whole buckets
-                buckets = np.concatenate([b.column(0).to_numpy() for b in held])
-                cut = int(np.searchsorted(buckets, buckets[-1], "left"))
-                if batch.column(0)[0].as_py() != buckets[-1]:
-                    cut = len(buckets)
-                if cut:
-                    whole = pa.Table.from_batches(held)
-                    yield from settle(whole.slice(0, cut).to_batches(), table)
-                    held = whole.slice(cut).to_batches()
-                    count = sum(int(pc.sum(b.column(4)).as_py()) for b in held)
-            held.append(batch)
-            count += int(pc.sum(batch.column(4)).as_py())
+            for b, parcel in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                if b < 0:
+                    yield _spans_batch(*open_parcel(parcel)[:4])
+                    continue
+                if b != bucket and held:
+                    yield from settle(held)
+                    held = []
+                bucket = b
+                held.append(parcel)
         if held:
-            yield from settle(held, table)
+            yield from settle(held)
 
     return run
 
 
 def repeated_spans(docs: DataFrame, width: int = 20) -> DataFrame:
     """docs: doc, row_key, text. One row for each (doc, row_key) with repeats: its word spans [start, stop)."""
-    hot = docs.sparkSession.sparkContext.broadcast(hot_minimisers(docs, width))
-    runs = docs.select("doc", "row_key", "text").mapInArrow(_pack(width, hot), RUNS)
-    covers = runs.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(_compare(width), COVERS)
+    size = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    buckets = int(max(64, size // BUCKET_BYTES))
+    hot = docs.sparkSession.sparkContext.broadcast(hot_minimisers(docs, width, size // 6))
+    parcels = docs.select("doc", "row_key", "text").mapInArrow(_pack(width, hot, buckets), PARCELS)
+    # spans found inside a slice have no bucket to go to: any will do
+    dealt = parcels.withColumn("_to", F.when(F.col("bucket") < 0, -F.pmod(F.xxhash64("parcel"), F.lit(1 << 40)) - 1).otherwise(F.col("bucket")))
+    covers = dealt.repartition("_to").sortWithinPartitions("bucket").select("bucket", "parcel").mapInArrow(_compare(width), COVERS)
     return covers.groupBy("doc", "row_key").agg(F.sort_array(F.collect_set(F.struct("start", "stop"))).alias("spans"))
 
 
