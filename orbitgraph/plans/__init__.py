@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import importlib
 
-MODULES = ("core", "physics")
+MODULES = ("core", "physics", "runtime", "learning")
 
 
 def _all(what: str) -> dict:

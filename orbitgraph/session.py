@@ -41,3 +41,10 @@ def local_session(cores: int | str = 8, partitions: int = 8, memory: str = "8g")
     )
     session.sparkContext.setLogLevel("ERROR")
     return session
+
+
+def ensure_checkpoint_dir(spark: SparkSession) -> None:
+    """Uses ``spark.checkpoint.dir``; only where unset (tests) a folder of our own."""
+    context = spark.sparkContext
+    if not context._jsc.sc().getCheckpointDir().isDefined():
+        context.setCheckpointDir(context.getConf().get("spark.checkpoint.dir", None) or "file://" + tempfile.mkdtemp(prefix="orbitgraph-"))
