@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import importlib
 
-MODULES = ("core", "physics", "runtime", "learning")
+MODULES = ("core", "physics", "runtime", "learning", "scaling")
 
 
 def _all(what: str) -> dict:
