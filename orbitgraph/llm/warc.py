@@ -31,6 +31,7 @@ from pyspark.sql import types as T
 from .common import binary_column, materialise
 
 ARCHIVE_BYTES = 4 << 20
+BROADCAST_REVISITS = 200_000  # about 40 MB
 ARC_DATE = "20240101000000"
 V1_FIELDS = "URL IP-address Archive-date Content-type Archive-length"
 V2_FIELDS = "URL IP-address Archive-date Content-type Result-code Checksum Location Offset Filename Archive-length"
@@ -209,7 +210,9 @@ def revisits(archives: DataFrame, min_dedup: int = 0) -> DataFrame:
 
 def convert(archives: DataFrame, min_dedup: int = 0) -> DataFrame:
     """WARC archives equivalent to the ARC ones; repeated payloads become revisits of the largest page_id's record."""
-    marked = archives.join(revisits(archives, min_dedup), "archive", "left").select("archive", "content", "again")
+    again = materialise(revisits(archives, min_dedup), "revisits")
+    few = (again.agg(F.sum(F.size("again"))).first()[0] or 0) <= BROADCAST_REVISITS  # else both sides shuffle by archive
+    marked = archives.join(F.broadcast(again) if few else again, "archive", "left").select("archive", "content", "again")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
