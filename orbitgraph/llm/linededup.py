@@ -26,7 +26,7 @@ from .common import binary_column, mix
 
 SPACE_BYTES = b" \t\n\x0b\x0c\r"
 MIN_FILTER_BITS = 1 << 20
-MAX_FILTER_BITS = 1 << 27  # 16 MiB packed; a task works on 128 MiB unpacked for each of the two
+MAX_FILTER_BITS = 1 << 27  # 16 MiB for each of the two; a task holds both, the second is broadcast
 SEGMENT_BITS = 1 << 15  # filters travel and merge as segments, so that sparse ones stay small
 BROADCAST_KEYS = 200_000  # confirmed keys (16-byte digests) that may be broadcast; beyond, they are joined
 
@@ -44,21 +44,42 @@ def keys_of(text: bytes | None, min_chars: int) -> list[bytes | None]:
     return out
 
 
+def _set_bits(packed: np.ndarray, at: np.ndarray) -> None:
+    """Sets sorted, distinct bit positions of a packed array."""
+    if len(at):
+        byte, bit = at >> 3, (128 >> (at & 7)).astype(np.uint8)
+        heads = np.flatnonzero(np.append(True, byte[1:] != byte[:-1]))
+        packed[byte[heads]] |= np.add.reduceat(bit, heads, dtype=np.uint8)
+
+
+def _get_bits(packed: np.ndarray, at: np.ndarray) -> np.ndarray:
+    return (packed[at >> 3] >> (7 - (at & 7)).astype(np.uint8)) & 1 == 1
+
+
 def _filters(n_bits: int, min_chars: int, text_col: str):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        once, twice = np.zeros(n_bits, bool), np.zeros(n_bits, bool)
+        once, twice = np.zeros(n_bits // 8, np.uint8), np.zeros(n_bits // 8, np.uint8)
+        held: list[np.ndarray] = []
+
+        def flush() -> None:
+            if held:
+                at, count = np.unique(np.concatenate(held), return_counts=True)
+                _set_bits(twice, at[(count > 1) | _get_bits(once, at)])
+                _set_bits(once, at)
+                held.clear()
+
         for batch in batches:
             for text in binary_column(batch, text_col).to_pylist():
                 found = {k for k in keys_of(text, min_chars) if k is not None}
-                if not found:
-                    continue
-                at = np.unique(_bits(np.fromiter(map(xxhash.xxh3_64_intdigest, found), np.uint64, len(found)), n_bits))
-                twice[at[once[at]]] = True
-                once[at] = True
-        width = min(SEGMENT_BITS, n_bits)
+                if found:
+                    held.append(np.unique(_bits(np.fromiter(map(xxhash.xxh3_64_intdigest, found), np.uint64, len(found)), n_bits)))
+                if len(held) >= 20_000:
+                    flush()
+        flush()
+        width = min(SEGMENT_BITS, n_bits) // 8
         used = np.flatnonzero(once.reshape(-1, width).any(axis=1))
         for part in np.array_split(used, max(1, len(used) // 64)):
-            rows = [(int(s), np.packbits(once[s * width : (s + 1) * width]).tobytes(), np.packbits(twice[s * width : (s + 1) * width]).tobytes()) for s in part]
+            rows = [(int(s), once[s * width : (s + 1) * width].tobytes(), twice[s * width : (s + 1) * width].tobytes()) for s in part]
             if rows:
                 seg, o, t = zip(*rows, strict=True)
                 yield pa.RecordBatch.from_arrays([pa.array(seg, pa.int32()), pa.array(o, pa.binary()), pa.array(t, pa.binary())], names=["segment", "once", "twice"])
@@ -126,8 +147,7 @@ def _suspects(filter_: object, id_col: str, text_col: str, min_chars: int):
 
 
 def _member(hashes: np.ndarray, n_bits: int, seen: np.ndarray) -> np.ndarray:
-    at = _bits(hashes, n_bits)
-    return (seen[at >> 3] >> (7 - (at & 7)).astype(np.uint8)) & 1 == 1
+    return _get_bits(seen, _bits(hashes, n_bits))
 
 
 def repeated_keys(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_chars: int = 40, min_docs: int = 5, n_bits: int | None = None) -> DataFrame:
