@@ -24,26 +24,33 @@ def _bins(cell: Cell, r_cut: float) -> tuple[list[int], list[float], list[int]]:
     return n, widths, [math.ceil(r_cut / w) for w in widths]
 
 
-def _measured(pairs: DataFrame, cell: Cell, r_cut: float) -> DataFrame:
+def _measured(pairs: DataFrame, cell: Cell, r_cut: float, extra: list[str]) -> DataFrame:
     out = pairs.withColumns({f"d{a}": (F.col(f"{a}2") + F.col(f"s{a}") * F.lit(side)) - F.col(f"{a}1") for a, side in zip(AXES, cell.lengths, strict=True)})
     r2 = F.col("dx") * F.col("dx") + F.col("dy") * F.col("dy") + F.col("dz") * F.col("dz")
     apart = (F.col("src") != F.col("dst")) | (F.col("sx") != 0) | (F.col("sy") != 0) | (F.col("sz") != 0)
-    return out.where((r2 <= F.lit(r_cut * r_cut)) & apart).select(*EDGE_KEY, "dx", "dy", "dz", F.sqrt(r2).alias("r"))
+    return out.where((r2 <= F.lit(r_cut * r_cut)) & apart).select(*extra, *EDGE_KEY, "dx", "dy", "dz", F.sqrt(r2).alias("r"))
 
 
-def radius_edges(atoms: DataFrame, cell: Cell, r_cut: float, method: str = "cells") -> DataFrame:
+def frame_edges(frames: DataFrame, cell: Cell, r_cut: float) -> DataFrame:
+    """Edges of every frame of a trajectory (column frame_id) in one plan: the frame joins the key of the boxes."""
+    return radius_edges(frames, cell, r_cut, by="frame_id")
+
+
+def radius_edges(atoms: DataFrame, cell: Cell, r_cut: float, method: str = "cells", by: str | None = None) -> DataFrame:
     """All directed pairs within ``r_cut``, every periodic image counted.
 
     cells: an equi-join on boxes of at least the cutoff's width; only (id, x, y, z) of the source side is copied to the
     neighbouring boxes, each copy with its image shift. brute: every pair and image, for checking small structures.
-    Positions must lie inside the box along periodic axes (``structure.wrap``)."""
-    one = atoms.select(F.col("atom_id").alias("src"), *(F.col(a).alias(f"{a}1") for a in AXES))
-    two = atoms.select(F.col("atom_id").alias("dst"), *(F.col(a).alias(f"{a}2") for a in AXES))
+    Positions must lie inside the box along periodic axes (``structure.wrap``). ``by``: a column (frame or structure)
+    within which atoms see each other."""
+    extra = [by] if by else []
+    one = atoms.select(*extra, F.col("atom_id").alias("src"), *(F.col(a).alias(f"{a}1") for a in AXES))
+    two = atoms.select(*extra, F.col("atom_id").alias("dst"), *(F.col(a).alias(f"{a}2") for a in AXES))
     if method == "brute":
         reach = [math.ceil(r_cut / side) if p else 0 for side, p in zip(cell.lengths, cell.periodic, strict=True)]
         shifts = F.array(*(F.struct(*(F.lit(v).alias(f"s{a}") for v, a in zip(s, AXES, strict=True))) for s in product(*(range(-k, k + 1) for k in reach))))
-        pairs = one.crossJoin(two).withColumn("_s", F.explode(shifts)).select("*", "_s.*").drop("_s")
-        return _measured(pairs, cell, r_cut)
+        pairs = (one.join(two, by) if by else one.crossJoin(two)).withColumn("_s", F.explode(shifts)).select("*", "_s.*").drop("_s")
+        return _measured(pairs, cell, r_cut, extra)
     n, widths, look = _bins(cell, r_cut)
     box = lambda a, i, end: F.least(F.greatest(F.floor(F.col(f"{a}{end}") / F.lit(widths[i])).cast("int"), F.lit(0)), F.lit(n[i] - 1)) if cell.periodic[i] else F.floor(F.col(f"{a}{end}") / F.lit(widths[i])).cast("int")
     offsets = F.array(*(F.struct(*(F.lit(v).alias(f"o{a}") for v, a in zip(o, AXES, strict=True))) for o in product(*(range(-k, k + 1) for k in look))))
@@ -53,7 +60,7 @@ def radius_edges(atoms: DataFrame, cell: Cell, r_cut: float, method: str = "cell
         shift = F.floor(raw / F.lit(n[i])).cast("int") if cell.periodic[i] else F.lit(0)
         seen = seen.withColumns({f"s{a}": shift, f"b{a}": raw - shift * n[i]})
     here = two.withColumns({f"b{a}": box(a, i, 2) for i, a in enumerate(AXES)})
-    return _measured(seen.drop("_o").join(here, [f"b{a}" for a in AXES]), cell, r_cut)
+    return _measured(seen.drop("_o").join(here, [*extra, *(f"b{a}" for a in AXES)]), cell, r_cut, extra)
 
 
 def tile_edges(edges: DataFrame, n_atoms: int, nx: int, ny: int, nz: int) -> DataFrame:

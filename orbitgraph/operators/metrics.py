@@ -148,3 +148,24 @@ def l1_l2(errors: DataFrame, w1: float = 1.0, w2: float = 1.0) -> DataFrame:
 
 def share_of_total(column: str) -> Column:
     return F.col(column) / F.sum(column).over(Window.partitionBy())
+
+
+def spring_layout(pairs: list[tuple[int, int, float]], parts: int, rounds: int = 200, seed: int = 0):
+    """Force-directed places (parts, 2) of the graph of ranks for a picture: a rank graph has a node for each rank, so it
+    fits the driver."""
+    import numpy as np
+
+    rng = np.random.default_rng(seed)
+    place, ideal = rng.random((parts, 2)), 1.0 / max(parts, 1) ** 0.5
+    tie = np.zeros((parts, parts))
+    for a, b, w in pairs:
+        tie[a, b] += w
+        tie[b, a] += w
+    tie /= max(tie.max(), 1.0)
+    for k in range(rounds):
+        gap = place[:, None] - place[None]
+        far = np.maximum(np.sqrt((gap**2).sum(-1)), 1e-9)
+        force = (gap / far[..., None] * (ideal**2 / far - tie * far**2 / ideal)[..., None]).sum(1)
+        size = np.maximum(np.sqrt((force**2).sum(-1, keepdims=True)), 1e-9)
+        place = place + force / size * np.minimum(size, 0.1 * (1 - k / rounds))
+    return place

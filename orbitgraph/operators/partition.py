@@ -20,6 +20,7 @@ class Part:
     code: int
     cuts: tuple[int, int, int]
     axes: str = ""
+    leaves: int = 1
 
 
 @dataclass
@@ -51,28 +52,32 @@ def choose_axis(extent: tuple[float, float, float], cuts: tuple[int, int, int],
     return max(best) if tie == "index" else max(best, key=lambda i: (extent[i], i))
 
 
-def _crossing(state: DataFrame, value: Column, low: Column, span: Column) -> list:
-    """For each code the last atom of the shortest prefix, in (value, atom_id) order, with at least half the weight.
+def _crossing(state: DataFrame, value: Column, low: Column, span: Column, share: tuple[Column, Column] | None = None) -> list:
+    """For each code the last atom of the shortest prefix, in (value, atom_id) order, with at least its share (numerator,
+    denominator; half by default) of the weight.
 
-    First a histogram of weights finds the bin where half is reached, then only that bin's atoms are put in order; the
+    First a histogram of weights finds the bin where the share is reached, then only that bin's atoms are put in order; the
     driver gets a row for each part."""
     bin_ = F.when(span > 0, F.least(F.floor((value - low) / span * BINS), F.lit(BINS - 1))).otherwise(0).cast("int")
+    num, den = share or (F.lit(1), F.lit(2))
+    below = lambda upto, w, total: (upto - w) * den < total * num
     binned = state.select("code", "atom_id", "w", value.alias("v"), bin_.alias("bin"))
     sums = binned.groupBy("code", "bin").agg(F.sum("w").alias("bw"))
     run = Window.partitionBy("code").orderBy("bin")
     sums = sums.withColumns({"upto": F.sum("bw").over(run.rowsBetween(Window.unboundedPreceding, 0)), "total": F.sum("bw").over(Window.partitionBy("code"))})
-    cross = sums.where((F.col("upto") - F.col("bw")) * 2 < F.col("total")).groupBy("code").agg(F.max(F.struct("bin", (F.col("upto") - F.col("bw")).alias("before"), "total")).alias("c"))
+    cross = sums.where(below(F.col("upto"), F.col("bw"), F.col("total"))).groupBy("code").agg(F.max(F.struct("bin", (F.col("upto") - F.col("bw")).alias("before"), "total")).alias("c"))
     inside = binned.join(F.broadcast(cross.select("code", F.col("c.bin").alias("bin"), F.col("c.before").alias("before"), F.col("c.total").alias("total"))), ["code", "bin"])
     order = Window.partitionBy("code").orderBy("v", "atom_id").rowsBetween(Window.unboundedPreceding, 0)
     inside = inside.withColumn("upto", F.col("before") + F.sum("w").over(order))
-    last = inside.where((F.col("upto") - F.col("w")) * 2 < F.col("total")).groupBy("code").agg(F.max(F.struct("v", "atom_id")).alias("m"))
+    last = inside.where(below(F.col("upto"), F.col("w"), F.col("total"))).groupBy("code").agg(F.max(F.struct("v", "atom_id")).alias("m"))
     return last.select("code", F.col("m.v").alias("v"), F.col("m.atom_id").alias("atom_id")).collect()
 
 
 def few_neighbour(
-    atoms: DataFrame, degree: DataFrame, cell: Cell, depth: int, reach: float, opening: str = "ring", tie: str = "index", weight: str = "degree", extent: str = "positions"
+    atoms: DataFrame, degree: DataFrame, cell: Cell, depth: int, reach: float, opening: str = "ring", tie: str = "index", weight: str = "degree", extent: str = "positions", parts_wanted: int | None = None
 ) -> tuple[DataFrame, Tree]:
-    """Recursive, degree-balanced, periodicity-aware bisection into 2**depth parts.
+    """Recursive, degree-balanced, periodicity-aware bisection into 2**depth parts, or into ``parts_wanted`` parts of
+    equal weight (at most 2**depth), a part of k leaves being cut at ceil(k/2)/k of its weight.
 
     All parts of a level are cut together: a summary, a histogram and the order inside one bin, each an aggregate whose
     result has a row for each part. opening: "ring" moves the origin of every periodic axis to its weighted median
@@ -88,35 +93,44 @@ def few_neighbour(
                 origins[i] = found[0].v if found else 0.0
         state = state.withColumns({a: _rotated(a, origins[i], cell.lengths[i]) for i, a in enumerate(AXES) if origins[i] is not None})
     start = tuple(1 if opening == "ring" and p else 0 if p else 2 for p in cell.periodic)
-    parts, tree = {0: Part(0, start)}, Tree(tuple(origins), cell)
+    parts, tree = {0: Part(0, start, leaves=parts_wanted or 1 << depth)}, Tree(tuple(origins), cell)
     for _ in range(depth):
         rows = state.groupBy("code").agg(F.count(F.lit(1)).alias("n"), *(f(a).alias(f"{a}{e}") for a in AXES for f, e in ((F.min, "lo"), (F.max, "hi")))).collect()
         plan = {}
         for r in rows:
+            if parts[r.code].leaves == 1:
+                continue  # done: it stays as it is, on the left side of the levels to come
             box = tuple((r[f"{a}hi"] - r[f"{a}lo"]) if extent == "positions" else cell.lengths[i] for i, a in enumerate(AXES))
             axis = choose_axis(box, parts[r.code].cuts, reach, tie)
             plan[r.code] = (axis, r[f"{AXES[axis]}lo"], r[f"{AXES[axis]}hi"] - r[f"{AXES[axis]}lo"])
         by_code = lambda values, kind: F.element_at(F.create_map(*(x for c, v in sorted(values.items()) for x in (F.lit(c).cast("long"), F.lit(v).cast(kind)))), F.col("code"))
         axis_of = by_code({c: p[0] for c, p in plan.items()}, "int")
         value = F.when(axis_of == 0, F.col("x")).when(axis_of == 1, F.col("y")).otherwise(F.col("z"))
-        found = _crossing(state, value, by_code({c: p[1] for c, p in plan.items()}, "double"), by_code({c: p[2] for c, p in plan.items()}, "double"))
+        leaves = {c: parts[c].leaves for c in plan}
+        share = (by_code({c: (k + 1) // 2 for c, k in leaves.items()}, "long"), by_code(leaves, "long"))
+        live = state.where(F.col("code").isin(*plan)) if len(plan) < len(parts) else state
+        found = _crossing(live, value, by_code({c: p[1] for c, p in plan.items()}, "double"), by_code({c: p[2] for c, p in plan.items()}, "double"), share)
         cut = {r.code: (plan[r.code][0], r.v, r.atom_id) for r in found}
         tree.levels.append(cut)
         at, ident = by_code({c: v[1] for c, v in cut.items()}, "double"), by_code({c: v[2] for c, v in cut.items()}, "long")
-        right = (value > at) | ((value == at) & (F.col("atom_id") > ident))
+        right = F.coalesce((value > at) | ((value == at) & (F.col("atom_id") > ident)), F.lit(False))
         # the lineage stays short: every level reads the persisted table and one expression per level so far
         new = state.withColumn("code", F.col("code") * 2 + F.when(right, 1).otherwise(0)).persist()
         new.count()
         state.unpersist()
         state = new
-        split: dict[int, Part] = {}
+        split: dict[int, Part] = {2 * c: Part(2 * c, p.cuts, p.axes) for c, p in parts.items() if c not in cut}
         for c, (axis, _, _) in cut.items():
             cuts = tuple(k + (2 if k == 0 else 1) * (i == axis) for i, k in enumerate(parts[c].cuts))
-            for side in (0, 1):
-                split[2 * c + side] = Part(2 * c + side, cuts, parts[c].axes + AXES[axis])
+            k = parts[c].leaves
+            for side, mine in ((0, (k + 1) // 2), (1, k // 2)):
+                split[2 * c + side] = Part(2 * c + side, cuts, parts[c].axes + AXES[axis], mine)
         parts = split
     tree.axes = {c: p.axes for c, p in parts.items()}
-    return state.select("atom_id", F.col("code").cast("int").alias("rank"), F.lpad(F.bin("code"), depth, "0").alias("path")), tree
+    rank = F.col("code").cast("int")
+    if parts_wanted:  # codes of leaves that ended early leave gaps: ranks count the leaves in order of code
+        rank = F.element_at(F.create_map(*(x for i, c in enumerate(sorted(parts)) for x in (F.lit(c).cast("long"), F.lit(i)))), F.col("code"))
+    return state.select("atom_id", rank.alias("rank"), F.lpad(F.bin("code"), depth, "0").alias("path")), tree
 
 
 def _rotated(axis: str, origin: float | None, side: float) -> Column:

@@ -306,3 +306,25 @@ def _(spark, d):
         one = pairs.agg(F.lit(k).alias("parts"), F.count(F.lit(1)).alias("volume")).withColumn("volume_per_rank", F.round(F.col("volume") / k, 6))
         out = one if out is None else out.unionByName(one)
     return out
+
+
+@query(
+    "frames_edges",
+    "WITH " + atoms_sql("small_box").replace("AS atom_id, ", "AS atom_id, f AS frame_id, ").replace("FROM supplier, cell", "FROM supplier, cell, (SELECT unnest(range(3)) AS f)").replace("*l AS x", "*l*(1e0-f*0.05e0) AS x")
+    + edges_sql("small_box", R_CUT, images=2).replace("src, dst, sx", "frame_id, src, dst, sx").replace("SELECT i.atom_id AS src", "SELECT i.frame_id, i.atom_id AS src").replace("atoms i, atoms j,", "atoms i JOIN atoms j ON i.frame_id = j.frame_id,")
+    + " SELECT frame_id, dst AS atom_id, count(*) AS n_in FROM edges GROUP BY ALL",
+)
+def _(spark, d):
+    """Degrees in every frame of a short trajectory whose atoms move along x."""
+    atoms, cell, _ = load(spark, d, "small_box")
+    frames = atoms.crossJoin(spark.range(3).select(F.col("id").alias("frame_id"))).withColumn("x", F.col("x") * (1 - F.col("frame_id") * F.lit(0.05)))
+    return graph.frame_edges(frames, cell, R_CUT).groupBy("frame_id", F.col("dst").alias("atom_id")).agg(F.count(F.lit(1)).alias("n_in"))
+
+
+@query("few_neighbour_p6")
+def few_neighbour_p6(spark, d):
+    """Six parts, which is no power of two: atoms and incoming edges of each (tested against the recursion)."""
+    e, atoms, cell, _ = edges(spark, d, "oxide", R_CUT)
+    deg = graph.degree(e).persist()
+    ranks = partition.few_neighbour(atoms, deg, cell, DEPTH, R_CUT, parts_wanted=6)[0]
+    return ranks.join(deg, "atom_id").groupBy("rank").agg(F.count(F.lit(1)).alias("n_atoms"), F.sum("n_in").alias("n_edges"))
