@@ -103,3 +103,48 @@ def predict(data: DataFrame, weights: dict[str, np.ndarray]) -> DataFrame:
     table = F.create_map(*(x for h, w in sorted(weights.items()) for x in (F.lit(h), F.array(*(F.lit(float(v)) for v in w)))))
     p = F.aggregate(F.zip_with("x", F.element_at(table, F.col("head")), lambda a, b: a * b), F.lit(0.0), lambda s, x: s + x)
     return data.select("head", "y", p.alias("p"))
+
+
+# order of the p elements (x, y, z = 1, 2, 3) along the spherical rows m = -1, 0, 1
+P_ORDER = (2, 3, 1)
+EDGE_KEYS = ["src", "dst", "sx", "sy", "sz"]
+
+
+def coupled_targets(elements: DataFrame) -> DataFrame:
+    """Coupled components (keys, part, l, m, y) of s,p blocks: ss, sp, ps and pp, each under a head of its own for every
+    ordered pair of species. elements: keys, z1, z2, a, b, val."""
+    from . import hamiltonian
+
+    block = elements.groupBy(*EDGE_KEYS, "z1", "z2").agg(F.sort_array(F.collect_list(F.struct("a", "b", "val"))).alias("s"))
+    v = lambda a, b: F.get(F.col("s"), F.lit(4 * a + b))["val"]
+    pp = hamiltonian.couple_pp(F.array(*(v(a, b) for a in (1, 2, 3) for b in (1, 2, 3))))
+    block = block.withColumn("pp", pp)
+    entry = lambda part, l, m, y: F.struct(F.lit(part).alias("part"), F.lit(l).alias("l"), F.lit(m).alias("m"), y.alias("y"))  # noqa: E731, E741
+    rows = [entry("ss", 0, 0, v(0, 0))]
+    rows += [entry("sp", 1, m, v(0, b)) for m, b in enumerate(P_ORDER)] + [entry("ps", 1, m, v(a, 0)) for m, a in enumerate(P_ORDER)]
+    rows += [entry("pp", l, m, F.get("pp", F.lit(i))) for l, m, i in PP_ORDER]  # noqa: E741
+    out = block.where(F.size("s") == 16).select(*EDGE_KEYS, "z1", "z2", F.inline(F.array(*rows)))
+    return out.withColumn("head", F.concat_ws("-", "part", "z1", "z2", "l"))
+
+
+#: (l, m, place in the coupled vector): its L=1 entries are x, y, z
+PP_ORDER = [(0, 0, 0), (1, 0, 2), (1, 1, 3), (1, 2, 1), *((2, k, 4 + k) for k in range(5))]
+
+
+def predicted_elements(rows: DataFrame, targets: DataFrame, weights: dict[str, np.ndarray], shape: Shape) -> DataFrame:
+    """(keys, a, b, p): elements predicted from edge rows, back from the coupled basis. Heads unknown to ``weights`` give 0."""
+    from . import hamiltonian
+
+    joined = targets.join(rows.select(*EDGE_KEYS, "emb"), EDGE_KEYS)
+    x = F.slice("emb", (F.col("l") * F.col("l") + F.col("m")) * shape.channels + 1, F.lit(shape.channels))
+    table = F.create_map(*(c for h, w in sorted(weights.items()) for c in (F.lit(h), F.array(*(F.lit(float(v)) for v in w)))))
+    p = F.aggregate(F.zip_with(x, F.coalesce(F.try_element_at(table, F.col("head")), F.array_repeat(F.lit(0.0), shape.channels)), lambda a, b: a * b), F.lit(0.0), lambda s, v: s + v)
+    place = F.concat_ws("", "part", "l", "m")
+    block = joined.select(*EDGE_KEYS, place.alias("k"), p.alias("p")).groupBy(*EDGE_KEYS).agg(F.map_from_entries(F.collect_list(F.struct("k", "p"))).alias("m"))
+    get = lambda k: F.try_element_at(F.col("m"), F.lit(k))
+    by_place = {i: get(f"pp{l}{m}") for l, m, i in PP_ORDER}  # noqa: E741
+    block = block.withColumn("u", hamiltonian.uncouple_pp(F.array(*(by_place[i] for i in range(9)))))
+    cell = lambda a, b, v: F.struct(F.lit(a).alias("a"), F.lit(b).alias("b"), v.alias("p"))
+    cells = [cell(0, 0, get("ss00"))] + [cell(0, b, get(f"sp1{m}")) for m, b in enumerate(P_ORDER)] + [cell(a, 0, get(f"ps1{m}")) for m, a in enumerate(P_ORDER)]
+    cells += [cell(a, b, F.get("u", F.lit(3 * (a - 1) + b - 1))) for a in (1, 2, 3) for b in (1, 2, 3)]
+    return block.select(*EDGE_KEYS, F.inline(F.array(*cells)))
