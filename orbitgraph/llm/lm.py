@@ -50,6 +50,17 @@ def _unsqueeze(data: bytes, kind: str) -> np.ndarray:
     return np.frombuffer(pa.decompress(data[8:], decompressed_size=int.from_bytes(data[:8], "little"), codec="zstd", asbytes=True), kind)
 
 
+def _squeeze_sorted(values: np.ndarray) -> bytes:
+    """Ascending 64-bit values: gaps, byte by byte of their width, so that leading zeros vanish."""
+    gaps = np.diff(values, prepend=np.uint64(0))
+    return _squeeze(np.ascontiguousarray(gaps.view(np.uint8).reshape(-1, 8).T))
+
+
+def _unsqueeze_sorted(data: bytes) -> np.ndarray:
+    planes = _unsqueeze(data, "u1").reshape(8, -1)
+    return np.cumsum(np.ascontiguousarray(planes.T).view("<u8").ravel(), dtype=np.uint64)
+
+
 def blocks_of(docs: DataFrame, held_out: Column, id_col: str, text_col: str) -> DataFrame:
     """Shared table of blocks: ids, held-out flags, token offsets, token numbers and the block's own vocabulary."""
 
@@ -120,12 +131,10 @@ class Block:
             self.counts.append(np.bincount(inverse, weights=learn[here], minlength=len(first)).astype(np.int64))
 
     def deal(self, level: int, buckets: int) -> tuple[np.ndarray, np.ndarray]:
-        """Order of the level's n-grams by bucket, and where each bucket begins in it."""
-        bucket = (self.hashes[level] >> np.uint64(20)) % np.uint64(buckets)
-        if level == 0:
-            bucket[self.start] = np.uint64(0)
-        order = np.argsort(bucket, kind="stable")
-        return order, np.searchsorted(bucket[order], np.arange(buckets + 1))
+        """Order of the level's n-grams by hash, and where each bucket (a range of hashes) begins in it."""
+        order = np.argsort(self.hashes[level], kind="stable")
+        bucket = ((self.hashes[level][order] >> np.uint64(32)) * np.uint64(buckets)) >> np.uint64(32)
+        return order, np.searchsorted(bucket, np.arange(buckets + 1))
 
 
 def _requests(order: int, buckets: int):
@@ -140,7 +149,10 @@ def _requests(order: int, buckets: int):
                     for b in np.flatnonzero(np.diff(starts)).tolist():
                         mine = by[starts[b] : starts[b + 1]]
                         # words of a text never begin with a blank, which marks the two special tokens
-                        what = b"\n".join(b" " + texts[i] if i >= block.end else texts[i] for i in mine.tolist()) if level == 0 else block.hashes[level][mine].tobytes()
+                        if level == 0:
+                            what = _squeeze(np.frombuffer(b"\n".join(b" " + texts[i] if i >= block.end else texts[i] for i in mine.tolist()), np.uint8))
+                        else:
+                            what = _squeeze_sorted(block.hashes[level][mine])
                         rows.append((b * order + level, row["block"], level, b, what, _squeeze(block.counts[level][mine].astype("<u4"))))
                     c = list(zip(*rows, strict=True))
                     kinds = (pa.int32(), pa.int64(), pa.int32(), pa.int32(), pa.binary(), pa.binary())
@@ -161,13 +173,13 @@ def _answers(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         flat = np.concatenate(counts)
         if level == 0:
             number: dict[bytes, int] = {}
-            ids = np.fromiter((number.setdefault(w, len(number)) for r in held for w in r["grams"].split(b"\n")), np.int64, len(flat))
+            ids = np.fromiter((number.setdefault(w, len(number)) for r in held for w in _unsqueeze(r["grams"], "u1").tobytes().split(b"\n")), np.int64, len(flat))
             total = np.bincount(ids, weights=flat, minlength=len(number)).astype(np.int64)
             start = number.get(b" " + START.encode()[1:])
             learned = np.delete(total, start) if start is not None else total
             stats = np.array([learned.sum(), (learned > 0).sum(), (learned == 1).sum(), (learned == 2).sum()], "<i8")
         else:
-            _, ids = np.unique(np.frombuffer(b"".join(r["grams"] for r in held), np.uint64), return_inverse=True)
+            _, ids = np.unique(np.concatenate([_unsqueeze_sorted(r["grams"]) for r in held]), return_inverse=True)
             total = np.bincount(ids, weights=flat).astype(np.int64)
             stats = None
         out = [] if stats is None else [(-1, level, bucket, stats.tobytes())]
@@ -177,7 +189,7 @@ def _answers(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             lo += len(own)
             differ = np.flatnonzero(mine != own)
             if len(differ):
-                out.append((r["block"], level, bucket, _squeeze(np.concatenate([differ.astype("<u4"), np.minimum(mine[differ], (1 << 32) - 1).astype("<u4")]))))
+                out.append((r["block"], level, bucket, _squeeze(np.concatenate([np.diff(differ, prepend=0).astype("<u4"), np.minimum(mine[differ], (1 << 32) - 1).astype("<u4")]))))
         if out:
             c = list(zip(*out, strict=True))
             kinds = (pa.int64(), pa.int32(), pa.int32(), pa.binary())
@@ -294,7 +306,7 @@ def _scores(order: int, buckets: int, stats: np.ndarray, mass: float):
                     by, starts = deals[a["level"]]
                     pair = _unsqueeze(a["payload"], "<u4")
                     half = len(pair) // 2
-                    totals[a["level"]][by[starts[a["bucket"]] + pair[:half].astype(np.int64)]] = pair[half:]
+                    totals[a["level"]][by[starts[a["bucket"]] + np.cumsum(pair[:half].astype(np.int64))]] = pair[half:]
                 score = Automaton(block, totals, stats, mass).score(block)
                 inner = np.ones(len(block.tokens), bool)
                 inner[block.first] = False
