@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from orbitgraph.llm import decontam, linededup, neardup, packing, quality
-from orbitgraph.llm.common import materialise
+from orbitgraph.llm.common import materialise, spread
 from orbitgraph.session import ship
 
 WINDOW = 2048
@@ -67,7 +67,7 @@ ORACLE_SQL = None  # likelihood, edit verification and token ids have no SQL; te
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All stages over documents, each result written as Parquet in the shared folder and read again."""
     ship(spark)
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    docs = spread(spark.read.parquet(f"{sf_dir}/documents.parquet"))
     for name, stage in STAGES[:-1]:
         docs = materialise(stage(spark, docs, sf_dir), f"stage-{name}")
     return materialise(STAGES[-1][1](spark, docs, sf_dir), f"stage-{STAGES[-1][0]}")

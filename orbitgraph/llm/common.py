@@ -46,6 +46,15 @@ def materialise(df: DataFrame, label: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def spread(scan: DataFrame) -> DataFrame:
+    """A file scan of fewer partitions than the cluster has cores is dealt out over them; a larger one stays as it is.
+
+    Only for plain scans: counting the partitions of a plan with shuffles would run them."""
+    cores = scan.sparkSession.sparkContext.defaultParallelism
+    few = scan._jdf.queryExecution().toRdd().getNumPartitions() < cores
+    return scan.repartition(cores) if few else scan
+
+
 def let(value: Column, body) -> Column:
     """Evaluate ``value`` once and use it many times inside higher-order expressions."""
     return F.get(F.transform(F.array(value), body), F.lit(0))

@@ -8,10 +8,12 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import decontam, html, linededup, lm, neardup, packing, quality, substring, toxicity, warc
+from .common import spread
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
+    scan = spark.read.parquet(f"{sf_dir}/{name}.parquet")
+    return spread(scan) if name in ("documents", "pages") else scan
 
 
 def op1_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -79,7 +81,9 @@ def quality_sql() -> str:
     return rf"""
 WITH listed(code, commons) AS (VALUES {langs}),
 t AS (SELECT doc_id, coalesce(text, '') AS text, coalesce(code, '*') AS lang, coalesce(commons, [{', '.join(repr(w) for w in q.COMMON_WORDS['en'])}]) AS commons FROM documents LEFT JOIN listed ON code = lower(lang)),
-w AS (SELECT *, list_filter(string_split_regex(text, '[ 	-]+'), lambda x: x <> '') AS w, list_filter(string_split(text, chr(10)), lambda x: regexp_matches(x, '[^ 	-]')) AS l, [{counts}] AS c FROM t),
+w AS (SELECT *, list_filter(string_split_regex(text, '[ 	-
+]+'), lambda x: x <> '') AS w, list_filter(string_split(text, chr(10)), lambda x: regexp_matches(x, '[^ 	-
+]')) AS l, [{counts}] AS c FROM t),
 f AS (SELECT *, len(w) AS n, length(text) AS m FROM w),
 h AS (SELECT doc_id, lang, n, m - c[4] AS word_chars, c[6] AS n_symbols, len(l) - len(list_distinct(l)) AS n_dup_lines,
   list_transform(list_append(c, m - list_sum(c)), lambda x: CASE WHEN m > 0 THEN x/m ELSE 0 END) AS p,
