@@ -60,7 +60,10 @@ def radius_edges(atoms: DataFrame, cell: Cell, r_cut: float, method: str = "cell
         shift = F.floor(raw / F.lit(n[i])).cast("int") if cell.periodic[i] else F.lit(0)
         seen = seen.withColumns({f"s{a}": shift, f"b{a}": raw - shift * n[i]})
     here = two.withColumns({f"b{a}": box(a, i, 2) for i, a in enumerate(AXES)})
-    return _measured(seen.drop("_o").join(here, [*extra, *(f"b{a}" for a in AXES)]), cell, r_cut, extra)
+    # few bytes in, many pairs out: a stated number of partitions keeps AQE from merging them by their small input
+    keys, parts = [*extra, *(f"b{a}" for a in AXES)], int(atoms.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    seen, here = seen.drop("_o").repartition(parts, *keys), here.repartition(parts, *keys)
+    return _measured(seen.join(here, keys), cell, r_cut, extra)
 
 
 def tile_edges(edges: DataFrame, n_atoms: int, nx: int, ny: int, nz: int) -> DataFrame:

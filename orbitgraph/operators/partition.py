@@ -87,10 +87,12 @@ def few_neighbour(
     state = atoms.join(degree, "atom_id", "left").select("atom_id", *AXES, w.alias("w"), F.lit(0).cast("long").alias("code")).persist()
     origins: list[float | None] = [None, None, None]
     if opening == "ring":
-        for i, a in enumerate(AXES):
-            if cell.periodic[i]:
-                found = _crossing(state, F.col(a), F.lit(0.0), F.lit(cell.lengths[i]))
-                origins[i] = found[0].v if found else 0.0
+        # the three openings are one job: each axis is a part of its own here
+        turned = [i for i in range(3) if cell.periodic[i]]
+        each = state.select("atom_id", "w", F.inline(F.array(*(F.struct(F.lit(i).cast("long").alias("code"), F.col(AXES[i]).alias("at"), F.lit(cell.lengths[i]).alias("side")) for i in turned)))) if turned else None
+        for r in _crossing(each, F.col("at"), F.lit(0.0), F.col("side")) if turned else ():
+            origins[r.code] = r.v
+        origins = [0.0 if i in turned and o is None else o for i, o in enumerate(origins)]
         state = state.withColumns({a: _rotated(a, origins[i], cell.lengths[i]) for i, a in enumerate(AXES) if origins[i] is not None})
     start = tuple(1 if opening == "ring" and p else 0 if p else 2 for p in cell.periodic)
     parts, tree = {0: Part(0, start, leaves=parts_wanted or 1 << depth)}, Tree(tuple(origins), cell)
