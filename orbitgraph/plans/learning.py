@@ -168,3 +168,16 @@ def _(spark, d):
     pred = hamiltonian.to_coo(p.withColumnRenamed("p", "val"), offs)
     err = metrics.absolute_errors(pred, hamiltonian.to_coo(truth, offs), ["row", "col"])
     return hamiltonian.shape(pred, offs).crossJoin(err.agg(F.round(F.avg("err"), 6).alias("mae"), F.round(F.avg(F.abs("t")), 6).alias("mae_of_zero")))
+
+
+@query("train_network")
+def _(spark, d):
+    """Loss along full-batch steps on all parameters of a small network, by the distributed reverse pass."""
+    from ..functions import layers
+    from ..operators import backward
+
+    shape = Shape(l_max=1, channels=4, r_cut=R_CUT)
+    atoms, e, _, n = small_graph(spark, d)
+    params = [layers.block_params(shape, 1)]
+    _, _, losses = backward.fit(atoms, e, partition.sequential(atoms, 4, n), shape, params, np.full(4, 0.1), 3.0, [32, 51, 52], steps=3, settle=_settle)
+    return spark.createDataFrame([(i, float(v)) for i, v in enumerate(losses)], "step int, loss double")
