@@ -161,8 +161,9 @@ def sequential(atoms: DataFrame, parts: int, n_atoms: int) -> DataFrame:
 
 
 def random(atoms: DataFrame, parts: int, multiplier: int = 48_271, offset: int = 12_345, modulus: int = 2_147_483_647) -> DataFrame:
-    """Placement by a linear congruence of the id."""
-    return atoms.select("atom_id", (((F.col("atom_id") + 1) * multiplier + offset) % modulus % parts).cast("int").alias("rank"))
+    """Placement by a linear congruence of the id, applied twice so that small ids are mixed as well."""
+    once = ((F.col("atom_id") + 1) * multiplier + offset) % modulus
+    return atoms.select("atom_id", ((once * multiplier + offset) % modulus % parts).cast("int").alias("rank"))
 
 
 def slabs(atoms: DataFrame, cell: Cell, parts: int, axis: str = "z") -> DataFrame:

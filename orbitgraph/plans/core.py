@@ -139,7 +139,7 @@ def _(spark, d):
     return partition.sequential(atoms, PARTS, n)
 
 
-RANDOM = "CAST(((atom_id+1)*48271+12345)%2147483647%8 AS INT)"
+RANDOM = "CAST((((atom_id+1)*48271+12345)%2147483647*48271+12345)%2147483647%8 AS INT)"
 
 
 @query("place_random", f"WITH {atoms_sql('oxide')} SELECT atom_id, {RANDOM} AS rank FROM atoms")
@@ -277,7 +277,7 @@ def _(spark, d):
 
 @query(
     "trade_placement",
-    f"""WITH e AS ({TRADE}), r AS (SELECT *, CAST(((src+1)*48271+12345)%2147483647%8 AS INT) AS src_rank, CAST(((dst+1)*48271+12345)%2147483647%8 AS INT) AS dst_rank FROM e)
+    f"""WITH e AS ({TRADE}), r AS (SELECT *, CAST((((src+1)*48271+12345)%2147483647*48271+12345)%2147483647%8 AS INT) AS src_rank, CAST((((dst+1)*48271+12345)%2147483647*48271+12345)%2147483647%8 AS INT) AS dst_rank FROM e)
 SELECT 'destination' AS owner, 1 AS stages, count(DISTINCT (src, dst_rank)) FILTER (WHERE src_rank <> dst_rank) AS moved FROM r
 UNION ALL SELECT 'source', 3, count(DISTINCT (dst, src_rank)) FILTER (WHERE src_rank <> dst_rank) FROM r""",
 )

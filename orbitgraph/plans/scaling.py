@@ -157,7 +157,7 @@ def register(spark, d, name: str) -> None:
     atoms.createOrReplaceTempView("og_atoms")
     e.createOrReplaceTempView("og_edges")
     for text in (
-        "og_random_rank(id BIGINT, parts INT) RETURNS INT RETURN CAST(((id + 1) * 48271 + 12345) % 2147483647 % parts AS INT)",
+        "og_random_rank(id BIGINT, parts INT) RETURNS INT RETURN CAST((((id + 1) * 48271 + 12345) % 2147483647 * 48271 + 12345) % 2147483647 % parts AS INT)",
         "og_lm_index(l INT, m INT) RETURNS INT RETURN l * l + l + m",
         "og_nearest_image(d DOUBLE, side DOUBLE) RETURNS DOUBLE RETURN d - side * round(d / side)",
     ):
