@@ -19,8 +19,8 @@ NEAR_PERCENT = 80
 
 def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Drops the documents that the quality rules reject."""
-    judged = quality.quality_rules(docs, out="_quality")
-    return judged.where(F.col("_quality.kept")).select(*docs.columns)
+    judged = quality.quality_rules(docs, out="__quality")
+    return judged.where(F.col("__quality.kept")).select(*docs.columns)
 
 
 def line_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -36,8 +36,8 @@ def near_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keeps one document of each group of near duplicates."""
     ship(spark)
     found = neardup.near_duplicates(docs.select("doc_id", "text"), percent=NEAR_PERCENT)
-    gone = materialise(found.where(~F.col("kept")).select(F.col("doc_id").alias("_gone")).where(F.col("_gone").isNotNull()).distinct(), "near-gone")
-    return docs.join(gone, F.col("doc_id") == F.col("_gone"), "left_anti")
+    gone = materialise(found.where(~F.col("kept")).select(F.col("doc_id").alias("__gone")).where(F.col("__gone").isNotNull()).distinct(), "near-gone")
+    return docs.join(gone, F.col("doc_id") == F.col("__gone"), "left_anti")
 
 
 def decontamination_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -206,5 +206,5 @@ def contamination(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id",
 
 def decontaminate(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text", **how: object) -> DataFrame:
     """The documents that hold no benchmark passage; all columns stay. Rows with a null id are judged by nothing and stay."""
-    found = contamination(docs, benchmark, id_col, text_col, **how).select(F.col("doc_id").alias("_leak")).distinct()
-    return docs.join(found, F.col(id_col) == F.col("_leak"), "left_anti")
+    found = contamination(docs, benchmark, id_col, text_col, **how).select(F.col("doc_id").alias("__leak")).distinct()
+    return docs.join(found, F.col(id_col) == F.col("__leak"), "left_anti")

@@ -206,12 +206,12 @@ def _drop_joined(df: DataFrame, found: DataFrame, id_col: str, text_col: str, mi
     """The way for many confirmed keys: lines and keys meet by a shuffle join, doomed line numbers return by row."""
     from .common import materialise
 
-    rows = materialise(df.withColumn("_row", F.monotonically_increasing_id()), "line-rows")
-    lines = rows.where(F.col(id_col).isNotNull()).select("_row", F.col(id_col).cast("long").alias("_doc"), F.posexplode(F.split(F.coalesce(text_col, F.lit("")), "\n")).alias("_at", "_line"))
+    rows = materialise(df.withColumn("__ld_row", F.monotonically_increasing_id()), "line-rows")
+    lines = rows.where(F.col(id_col).isNotNull()).select("__ld_row", F.col(id_col).cast("long").alias("_doc"), F.posexplode(F.split(F.coalesce(text_col, F.lit("")), "\n")).alias("_at", "_line"))
     key = F.regexp_replace(F.col("_line"), r"^[\x20\x09-\x0D]+|[\x20\x09-\x0D]+$", "")
     keyed = lines.where(F.length(key) >= min_chars).withColumn("key", F.encode(F.translate(key, "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"), "UTF-8"))
-    doomed = keyed.join(found.select("key", "keeper"), "key").where(F.col("_doc") != F.col("keeper")).groupBy("_row").agg(F.collect_set("_at").alias("_doomed"))
+    doomed = keyed.join(found.select("key", "keeper"), "key").where(F.col("_doc") != F.col("keeper")).groupBy("__ld_row").agg(F.collect_set("_at").alias("__ld_doomed"))
     split = F.split(F.coalesce(F.col(text_col), F.lit("")), "\n")
-    kept = F.filter(split, lambda x, i: ~F.array_contains(F.coalesce(F.col("_doomed"), F.array().cast("array<int>")), i))
-    joined = rows.join(doomed, "_row", "left").withColumns({"n_lines": F.size(split).cast("long"), "n_dropped": F.coalesce(F.size("_doomed"), F.lit(0)).cast("long"), "kept_text": F.array_join(kept, "\n")})
+    kept = F.filter(split, lambda x, i: ~F.array_contains(F.coalesce(F.col("__ld_doomed"), F.array().cast("array<int>")), i))
+    joined = rows.join(doomed, "__ld_row", "left").withColumns({"n_lines": F.size(split).cast("long"), "n_dropped": F.coalesce(F.size("__ld_doomed"), F.lit(0)).cast("long"), "kept_text": F.array_join(kept, "\n")})
     return joined.select(*df.columns, "kept_text", "n_lines", "n_dropped")
