@@ -30,7 +30,7 @@ from .common import binary_column
 MAX_LABELLED = 20_000
 MAX_UNITS = 512
 MINED_VOTERS = 14
-PREFIXES = (3, 4, 5, 6)
+PREFIXES = (3, 4, 5, 6, 7, 8)
 # Common insults by language, singular and plural.
 LEXICONS = {
     "en": "idiot idiots moron morons stupid loser losers scum trash clown clowns pathetic worthless disgusting dumb jerk jerks fool fools imbecile bastard bastards retard ugly filthy vermin".split(),
@@ -220,7 +220,8 @@ def bits(votes: np.ndarray, n: int) -> np.ndarray:
 
 
 def choose_voters(units: list[str], rows: list[tuple[list[int], int]], most: int = MINED_VOTERS) -> list[str]:
-    """Greedy cover of the toxic rows by units that hardly ever occur in clean ones."""
+    """Greedy cover of the toxic rows by units that seldom occur in clean ones; how far to trust each is the label model's
+    business."""
     holds: list[set[int]] = [set() for _ in units]
     clean = np.zeros(len(units))
     for r, (found, y) in enumerate(rows):
@@ -240,19 +241,29 @@ def choose_voters(units: list[str], rows: list[tuple[list[int], int]], most: int
     return chosen
 
 
-def fit_linear(x: np.ndarray, target: np.ndarray, l2: float = 1e-3, rounds: int = 400) -> np.ndarray:
-    """Logistic regression on soft labels, bias last; accelerated full-batch gradient on at most ``max_labelled`` rows."""
+def fit_linear(x: np.ndarray, target: np.ndarray, ridge: float = 0.05, rounds: int = 25) -> np.ndarray:
+    """Logistic regression on soft labels, bias last, by damped Newton steps on at most ``max_labelled`` rows."""
     x = np.hstack([x, np.ones((len(x), 1))])
-    w = v = np.zeros(x.shape[1])
-    step = 4.0 * len(x) / max(float(np.linalg.norm(x, ord="fro") ** 2), 1.0)
-    step = max(step, 4.0 / max(float((x.sum(axis=1)).max()), 1.0) if len(x) else 1.0)
-    t = 1.0
+    w = np.zeros(x.shape[1])
+    penalty = np.full(len(w), ridge)
+    penalty[-1] = 1e-6
+
+    def loss(w: np.ndarray) -> float:
+        z = x @ w
+        return float((np.logaddexp(0, z) - target * z).sum() + (penalty * w * w).sum() / 2)
+
+    now = loss(w)
     for _ in range(rounds):
-        p = 1 / (1 + np.exp(-np.clip(x @ v, -30, 30)))
-        grad = x.T @ (p - target) / max(len(x), 1) + l2 * np.append(v[:-1], 0.0) / 10
-        new = v - step * grad
-        t_new = (1 + np.sqrt(1 + 4 * t * t)) / 2
-        v, w, t = new + (t - 1) / t_new * (new - w), new, t_new
+        p = 1 / (1 + np.exp(-np.clip(x @ w, -30, 30)))
+        grad = x.T @ (p - target) + penalty * w
+        hessian = (x * np.maximum(p * (1 - p), 1e-6)[:, None]).T @ x + np.diag(penalty)
+        step, size = np.linalg.solve(hessian, grad), 1.0
+        while size > 1e-3 and loss(w - size * step) > now:
+            size /= 2
+        new = loss(w - size * step)
+        if new > now - 1e-7:
+            break
+        w, now = w - size * step, new
     return w
 
 
