@@ -46,16 +46,17 @@ def _(spark, d):
     return out
 
 
-def small_graph(spark, d):
+def supplier_graph(spark, d):
+    """The whole supplier structure: all its atoms, their radius graph, the cell and the number of atoms."""
     atoms, cell, n = load(spark, d, "pcm_c")
-    atoms = atoms.where(F.col("atom_id") < 40) if n > 40 else atoms
-    return atoms.persist(), graphs.radius_edges(atoms, cell, R_CUT).persist(), cell, min(n, 40)
+    atoms = atoms.persist()
+    return atoms, graphs.radius_edges(atoms, cell, R_CUT).persist(), cell, n
 
 
 @query("forward_energy")
 def _(spark, d):
-    """Energy of a small structure by the network on four ranks and on one: equal up to rounding."""
-    atoms, e, cell, n = small_graph(spark, d)
+    """Energy of the structure by the network on four ranks and on one: equal up to rounding."""
+    atoms, e, cell, n = supplier_graph(spark, d)
     weights = np.linspace(-1, 1, SHAPE.channels).tolist()
     out = None
     for parts, ranks in ((4, partition.sequential(atoms, 4, n)), (1, model.single_rank(atoms))):
@@ -66,8 +67,8 @@ def _(spark, d):
 
 
 def block_targets(spark, d):
-    """Coupled p-p components of the stand-in matrix on the edges of the small structure, and the edge features."""
-    atoms, e, cell, n = small_graph(spark, d)
+    """Coupled p-p components of the stand-in matrix on the edges of the structure, and the edge features."""
+    atoms, e, cell, n = supplier_graph(spark, d)
     nodes, rows = model.forward(atoms, e, partition.sequential(atoms, 4, n), SHAPE, 1, [32, 51, 52], settle=_settle)
     el = hamiltonian.two_centre(e, atoms, R_CUT).where("a > 0 AND b > 0")
     m = el.groupBy("src", "dst", "sx", "sy", "sz", "z1", "z2").agg(F.sort_array(F.collect_list(F.struct("a", "b", "val"))).alias("s"))
@@ -100,7 +101,7 @@ def _(spark, d):
 @query("predict_tiled")
 def _(spark, d):
     """Network on a cell and on its 2x1x1 tile: every copy's rows agree with the cell's."""
-    atoms, e, cell, n = small_graph(spark, d)
+    atoms, e, cell, n = supplier_graph(spark, d)
     from ..operators import structure
 
     one, _ = model.forward(atoms, e, model.single_rank(atoms), SHAPE, 1, [32, 51, 52], settle=_settle)
@@ -177,7 +178,7 @@ def _(spark, d):
     from ..operators import backward
 
     shape = Shape(l_max=1, channels=4, r_cut=R_CUT)
-    atoms, e, _, n = small_graph(spark, d)
+    atoms, e, _, n = supplier_graph(spark, d)
     params = [layers.block_params(shape, 1)]
     _, _, losses = backward.fit(atoms, e, partition.sequential(atoms, 4, n), shape, params, np.full(4, 0.1), 3.0, [32, 51, 52], steps=3, settle=_settle)
     return spark.createDataFrame([(i, float(v)) for i, v in enumerate(losses)], "step int, loss double")
