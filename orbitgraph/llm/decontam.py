@@ -5,7 +5,11 @@ a random function of the step and the current word says whether to move on, so a
 words leave most of the read-out in step: edit distance becomes Hamming distance. Every repetition samples some of
 the steps; equal samples make a candidate. Documents are entered at every ``stride``-th word and items at every word,
 so each whole passage of at least ``width + stride - 1`` words holds aligned windows of both. Widths and strides go by
-classes of item length. A candidate region is then compared with the whole item by exact semi-global edit distance.
+classes of item length. As edits can spoil all windows of an item, and items of up to five words have none, runs of at
+most three words are counted as well: each edit spoils at most as many runs as a run has words, so a passage within the
+edit limit keeps a known number of its item's runs, shifted against each other by no more than the edits. No passage
+within the limit is missed, whatever its length. A candidate region is then compared with the whole item by exact
+semi-global edit distance.
 
 The item table is broadcast behind a check of its size; a larger benchmark is worked off in bounded blocks of items,
 each a scan of the documents.
@@ -23,10 +27,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import WordHash, binary_column, hashed_words, mix, slices
+from .common import WordHash, binary_column, hashed_words, mix, rolling, slices
 
-#: item words from, window width, document stride
-CLASSES = ((24, 16, 8), (13, 9, 5), (6, 5, 2), (3, 3, 1), (1, 1, 1))
+#: item words from, window width, document stride; shorter items are found by their runs
+CLASSES = ((24, 16, 8), (13, 9, 5), (6, 5, 2))
+RUN_WORDS = 3
+MAX_HITS = 2_000_000  # run hits expanded at once
 REPETITIONS = 8
 SAMPLES = 5
 MIN_SIMILARITY = 0.8
@@ -77,10 +83,23 @@ class Walks:
             yield mix(key)
 
 
+def allowed_edits(n_words: int, min_similarity: float) -> int:
+    return int(np.floor((1 - min_similarity) * n_words + 1e-9))
+
+
+def run_rule(n_words: int, most: int) -> tuple[int, int]:
+    """Words in a run, and how many runs of an item outlast ``most`` edits at least."""
+    for width in range(min(RUN_WORDS, n_words), 0, -1):
+        left = n_words - width + 1 - width * most
+        if left >= 1:
+            return width, left
+    return 1, 1
+
+
 class Items:
-    """Benchmark items as hashed words, with the keys of their windows by class."""
+    """Benchmark items as hashed words, with the keys of their windows by class and of their runs by width."""
 
-    def __init__(self, rows: list[tuple[int, bytes]], repetitions: int, samples: int):
+    def __init__(self, rows: list[tuple[int, bytes]], repetitions: int, samples: int, min_similarity: float = MIN_SIMILARITY):
         self.ids = [r[0] for r in rows]
         flat, offsets = hashed_words([r[1] for r in rows], PlainWordHash())
         self.words = [flat[offsets[i] : offsets[i + 1]].copy() for i in range(len(rows))]
@@ -101,6 +120,21 @@ class Items:
                 bitmap[(keys & np.uint64((1 << 20) - 1)).astype(np.int64)] = True
                 found.append((keys[order], owner[order], within[order], bitmap))
             self.tables.append((walks, stride, found))
+        self.most = np.array([allowed_edits(len(w), min_similarity) for w in self.words], np.int64)
+        rules = [run_rule(len(w), int(k)) for w, k in zip(self.words, self.most, strict=True)]
+        self.need = np.array([r[1] for r in rules], np.int64)
+        self.runs = []
+        for width in range(1, RUN_WORDS + 1):
+            mine = [i for i, w in enumerate(self.words) if len(w) and rules[i][0] == width]
+            if not mine:
+                continue
+            keys = np.concatenate([rolling(self.words[i], width) for i in mine])
+            owner = np.concatenate([np.full(len(self.words[i]) - width + 1, i) for i in mine])
+            within = np.concatenate([np.arange(len(self.words[i]) - width + 1) for i in mine])
+            order = np.argsort(keys, kind="stable")
+            bitmap = np.zeros(max(1 << 20, 1 << int(16 * len(keys)).bit_length()), bool)
+            bitmap[(keys & np.uint64(len(bitmap) - 1)).astype(np.int64)] = True
+            self.runs.append((width, keys[order], owner[order], within[order], bitmap))
 
 
 def within_edits(item: np.ndarray, region: np.ndarray, most: int) -> tuple[int, int, int] | None:
@@ -165,16 +199,21 @@ def _matches(items: Items, flat: np.ndarray, offsets: np.ndarray, min_similarity
             for i, x, y in zip(maybe[hi > lo], lo[hi > lo], hi[hi > lo], strict=True):
                 for k in range(x, y):
                     regions.setdefault((int(doc[i]), int(owner[k])), []).append(int(starts[i] - offsets[doc[i]] - within[k]))
+    for d, i, begin in _run_candidates(items, flat, offsets):
+        regions.setdefault((d, i), []).append(begin)
     for (d, i), begins in sorted(regions.items()):
         item = items.words[i]
-        most = int(np.floor((1 - min_similarity) * len(item) + 1e-9))
-        best, seen_to = None, None
+        most = allowed_edits(len(item), min_similarity)
+        spans: list[list[int]] = []  # candidates within the slack of one another share a region
         for begin in sorted(set(begins)):
-            if seen_to is not None and begin <= seen_to:
-                continue  # inside the slack of a region that was compared already
-            seen_to = begin + most
+            if spans and begin <= spans[-1][1] + most:
+                spans[-1][1] = begin
+            else:
+                spans.append([begin, begin])
+        best = None
+        for begin, last in spans:
             lo = max(0, begin - most)
-            region = flat[offsets[d] + lo : min(offsets[d] + begin + len(item) + 2 * most + 1, offsets[d + 1])]
+            region = flat[offsets[d] + lo : min(offsets[d] + last + len(item) + 2 * most + 1, offsets[d + 1])]
             found = within_edits(item, region, most)
             if found and (best is None or (found[0], lo + found[1]) < best[:2]):
                 best = (found[0], lo + found[1], found[2] - found[1])
@@ -182,6 +221,33 @@ def _matches(items: Items, flat: np.ndarray, offsets: np.ndarray, min_similarity
             yield d, (items.ids[i], best[1], best[2], len(item), best[0], 1 - best[0] / len(item))
 
 
+def _run_candidates(items: Items, flat: np.ndarray, offsets: np.ndarray) -> Iterator[tuple[int, int, int]]:
+    """(document, item, begin) where as many runs as outlast the allowed edits lie on diagonals no farther apart than these."""
+    for width, known, owner, within, bitmap in items.runs:
+        keys = rolling(flat, width)
+        at = np.flatnonzero(bitmap[(keys & np.uint64(len(bitmap) - 1)).astype(np.int64)])
+        doc = np.searchsorted(offsets, at, "right") - 1
+        inside = at + width <= offsets[doc + 1]
+        at, doc = at[inside], doc[inside]
+        lo, hi = np.searchsorted(known, keys[at], "left"), np.searchsorted(known, keys[at], "right")
+        hits = hi - lo
+        ends = np.searchsorted(doc, np.arange(len(offsets)))  # the runs of each document, whole documents at a time
+        total = np.concatenate([[0], np.cumsum(hits)])
+        for a, b in slices(np.diff(total[ends]).tolist(), MAX_HITS):
+            s, h = slice(ends[a], ends[b]), hits[ends[a] : ends[b]]
+            if not h.sum():
+                continue
+            place = np.repeat(lo[s] - (np.cumsum(h) - h), h) + np.arange(h.sum())
+            d, i = np.repeat(doc[s], h), owner[place]
+            diagonal = np.repeat(at[s] - offsets[doc[s]], h) - within[place]
+            order = np.lexsort((diagonal, i, d))
+            d, i, diagonal = d[order], i[order], diagonal[order]
+            last = np.arange(len(d)) + items.need[i] - 1
+            end = np.minimum(last, len(d) - 1)
+            found = (last < len(d)) & (d[end] == d) & (i[end] == i) & (diagonal[end] - diagonal <= items.most[i])
+            yield from zip(d[found].tolist(), i[found].tolist(), diagonal[found].tolist(), strict=True)
+
+
 def contamination(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_id_col: str = "item_id", item_text_col: str = "text", min_similarity: float = MIN_SIMILARITY, repetitions: int = REPETITIONS, samples: int = SAMPLES, block_words: int = BLOCK_WORDS) -> DataFrame:
     """Matches: one row for each document and item whose passage it holds within the edit limit, with the best place."""
     spark = docs.sparkSession
@@ -190,7 +256,7 @@ def contamination(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id",
     out, block, held = None, [], 0
 
     def scan(block: list[tuple[int, bytes]]) -> DataFrame:
-        shared = spark.sparkContext.broadcast(Items(block, repetitions, samples))
+        shared = spark.sparkContext.broadcast(Items(block, repetitions, samples, min_similarity))
         return rows.mapInArrow(_scan(shared, min_similarity), MATCHES)
 
     for r in items.orderBy("item_id", "text").toLocalIterator():
