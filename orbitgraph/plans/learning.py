@@ -121,31 +121,32 @@ def _(spark, d):
     return ranks.groupBy("rank").agg(F.count(F.lit(1)).alias("n"))
 
 
-def structure_rows(spark, d, name, n_atoms, snap=0.0, layers_=1):
-    """Edge rows of the network and coupled targets of a structure; ``snap`` rounds positions towards a lattice."""
+def rank_count(n: int) -> int:
+    """Ranks for n atoms: at most about 1,000 atoms each, as a rank's rows are in memory at once."""
+    return max(4, -(-n // 1000))
+
+
+def structure_rows(spark, d, name, snap=0.0, layers_=1):
+    """Edge rows of the network and coupled targets of a whole structure; ``snap`` rounds positions towards a lattice."""
     from ..operators import structure
 
     atoms, cell, n = load(spark, d, name)
-    if n > n_atoms:
-        atoms, cell = atoms.where(F.col("atom_id") < n_atoms), structure.Cell.cube(n_atoms, 0.0314)
-        atoms = atoms.withColumns({a: F.col(a) * F.lit(side / load(spark, d, name)[1].lengths[0]) for a, side in zip("xyz", cell.lengths, strict=True)})
-        n = n_atoms
     if snap:
         atoms = structure.wrap(atoms.withColumns({a: F.round(F.col(a) / snap) * F.lit(snap) + F.lit(0.05) * F.col(a) / F.lit(cell.lengths[0]) for a in "xyz"}), cell)
     atoms = atoms.persist()
     e = graphs.radius_edges(atoms, cell, R_CUT).where("r > 0.5").persist()
-    _, rows = model.forward(atoms, e, partition.sequential(atoms, 4, n), SHAPE, layers_, [32, 51, 52], settle=_settle)
+    _, rows = model.forward(atoms, e, partition.sequential(atoms, rank_count(n), n), SHAPE, layers_, [32, 51, 52], settle=_settle)
     return atoms, cell, e, rows, hamiltonian.two_centre(e, atoms, R_CUT)
 
 
 @query("train_validate")
 def _(spark, d):
     """Heads fitted on the amorphous stand-in, errors there and on the near-lattice one, against predicting zero."""
-    _, _, _, rows, el = structure_rows(spark, d, "pcm_a", 150)
+    _, _, _, rows, el = structure_rows(spark, d, "pcm_a")
     targets = train.coupled_targets(el)
     heads = train.fit_least_squares(train.features(rows, targets, train.EDGE_KEYS, SHAPE))
     out = None
-    for name, (r, e) in {"train": (rows, el), "validate": structure_rows(spark, d, "pcm_c", 100, snap=2.5)[3:]}.items():
+    for name, (r, e) in {"train": (rows, el), "validate": structure_rows(spark, d, "pcm_c", snap=2.5)[3:]}.items():
         p = train.predicted_elements(r, train.coupled_targets(e), heads, SHAPE)
         both = e.select(*train.EDGE_KEYS, "a", "b", "val").join(p, [*train.EDGE_KEYS, "a", "b"])
         one = both.agg(F.lit(name).alias("structure"), F.round(F.avg(F.abs(F.col("val") - F.col("p"))), 6).alias("mae"), F.round(F.avg(F.abs("val")), 6).alias("mae_of_zero"), F.count(F.lit(1)).alias("n"))
@@ -158,11 +159,11 @@ def _(spark, d):
     """Trained heads on a 2x2x2 tile: size and stored elements of the assembled matrix, and its error."""
     from ..operators import structure
 
-    atoms, cell, e, rows, el = structure_rows(spark, d, "pcm_c", 40)
+    atoms, cell, e, rows, el = structure_rows(spark, d, "pcm_c")
     heads = train.fit_least_squares(train.features(rows, train.coupled_targets(el), train.EDGE_KEYS, SHAPE))
     n = atoms.count()
     big, big_edges = structure.tile(atoms, cell, n, 2, 2, 2).persist(), graphs.tile_edges(e, n, 2, 2, 2).persist()
-    _, big_rows = model.forward(big, big_edges, partition.sequential(big, 4, 8 * n), SHAPE, 1, [32, 51, 52], settle=_settle)
+    _, big_rows = model.forward(big, big_edges, partition.sequential(big, rank_count(8 * n), 8 * n), SHAPE, 1, [32, 51, 52], settle=_settle)
     truth = hamiltonian.two_centre(big_edges, big, R_CUT)
     p = train.predicted_elements(big_rows, train.coupled_targets(truth), heads, SHAPE)
     offs = hamiltonian.offsets(big)
