@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import pandas as pd
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
@@ -225,7 +228,16 @@ def _(spark, d):
 
 @query("plateau_schedule")
 def _(spark, d):
-    """Learning rates along recorded losses: rows only, as each step depends on the one before (tested in Python)."""
-    losses = [r.v for r in read(spark, d, "events").where("event_id < 200").orderBy("event_id").select(F.col("value").alias("v")).collect()]
-    s = telemetry.PlateauSchedule()
-    return spark.createDataFrame([(i, float(v), s.step(v)) for i, v in enumerate(losses)], "step int, loss double, lr double")
+    """Learning rates along all recorded losses: rows only, as each step depends on the one before (tested in Python).
+
+    One ordered stream of thin rows; the task keeps the state of the schedule and the number of the step."""
+
+    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        s, done = telemetry.PlateauSchedule(), 0
+        for frame in frames:
+            losses = frame["loss"].tolist()
+            yield pd.DataFrame({"step": range(done, done + len(losses)), "loss": losses, "lr": [s.step(v) for v in losses]})
+            done += len(losses)
+
+    losses = read(spark, d, "events").select("event_id", F.col("value").cast("double").alias("loss"))
+    return losses.repartition(1).sortWithinPartitions("event_id", "loss").mapInPandas(run, "step long, loss double, lr double")
