@@ -130,12 +130,12 @@ def mine_units(sample: DataFrame, n_toxic: int, n_clean: int, keep: int = MAX_UN
                         known[w] = units_of(shape(w))
                     found.update(known[w])
                 counts[1 if y else 0].update(found)
-        units = list(counts[1])  # units that never occur in a toxic row cannot win
+        # all units of both classes: a clean count may come from a task without any toxic row that has the unit
+        units = list(counts[0] | counts[1])
         yield pa.RecordBatch.from_arrays([pa.array(units, pa.string()), pa.array([counts[1][u] for u in units], pa.int64()), pa.array([counts[0][u] for u in units], pa.int64())], names=["unit", "toxic", "clean"])
 
     each = sample.mapInArrow(count, "unit string, toxic long, clean long").groupBy("unit").agg(F.sum("toxic").alias("t"), F.sum("clean").alias("c"))
     odds = F.log((F.col("t") + 0.5) / (n_toxic + 1)) - F.log((F.col("c") + 0.5) / (n_clean + 1))
-    # clean counts of tasks without a toxic row having the unit are not in c: the sample is read again with fit()
     best = each.where((F.col("t") >= 3) & (odds > 2.0)).orderBy((odds * F.col("t")).desc(), "unit").limit(keep)
     return [r.unit for r in best.collect()]
 
