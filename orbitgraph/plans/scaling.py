@@ -169,3 +169,11 @@ def _(spark, d):
     register(spark, d, "small_box")
     side = load(spark, d, "small_box")[1].lengths[0]
     return spark.sql(f"SELECT i.atom_id AS src, j.atom_id AS dst, round(abs(og_nearest_image(j.x - i.x, {side}D)), 6) AS dx FROM og_atoms i JOIN og_atoms j ON i.atom_id < j.atom_id WHERE i.atom_id < 20")
+
+
+@query("min_image_all_pairs")
+def _(spark, d):
+    """Every pair of atoms; `min_image_pairs` and its SQL twin hold those whose smaller id is below 20 only."""
+    register(spark, d, "small_box")
+    side = load(spark, d, "small_box")[1].lengths[0]
+    return spark.sql(f"SELECT i.atom_id AS src, j.atom_id AS dst, round(abs(og_nearest_image(j.x - i.x, {side}D)), 6) AS dx FROM og_atoms i JOIN og_atoms j ON i.atom_id < j.atom_id")
