@@ -45,36 +45,29 @@ def _class_counts(stood: Column) -> Column:
     return F.array(*(F.length(stood) - F.length(F.replace(stood, F.lit(c), F.lit(""))) for c, _ in STAND_INS))
 
 
-POSITION_BITS = 24
-
-
 def _repeat_words(words: Column) -> Column:
     """Words covered by 3-word windows that occur at least twice in the text, without explode or shuffle.
 
-    Each window is one long, a hash above its position, so that the row's sort runs on primitives; neighbours with
-    equal hashes are compared by their words. Texts of more words than positions fit are compared by hash alone."""
+    Windows are sorted by a 64-bit hash, their words and their position, so that equal ones are neighbours in texts of
+    any length; the words decide."""
+
+    def starts(w: Column) -> Column:
+        def window(x: Column, i: Column) -> Column:
+            second, third = F.get(w, i + 1), F.get(w, i + 2)
+            return F.struct(F.xxhash64(x, second, third).alias("h"), x.alias("a"), second.alias("b"), third.alias("c"), i.alias("p"))
 
-    def starts(w: Column, bits: int, exact: bool) -> Column:
-        key = lambda x, i: F.xxhash64(x, F.get(w, i + 1), F.get(w, i + 2))
-        place = lambda x: x.bitwiseAND(F.lit((1 << bits) - 1)).cast("int")
-        packed = F.transform(w, lambda x, i: F.shiftleft(key(x, i), bits).bitwiseOR(i.cast("long")))
-        ordered = F.sort_array(F.slice(packed, F.lit(1), F.greatest(F.size(w) - 2, F.lit(0))))
+        ordered = F.sort_array(F.slice(F.transform(w, window), F.lit(1), F.greatest(F.size(w) - 2, F.lit(0))))
 
         def same(x: Column, y: Column) -> Column:
-            alike = F.shiftright(x, bits) == F.shiftright(y, bits)
-            if exact:
-                for k in range(3):
-                    alike = alike & (F.get(w, place(x) + k) == F.get(w, place(y) + k))
-            return alike
+            return (x["h"] == y["h"]) & (x["a"] == y["a"]) & (x["b"] == y["b"]) & (x["c"] == y["c"])
 
-        return let(ordered, lambda s: F.sort_array(F.transform(F.filter(s, lambda x, i: same(x, F.get(s, i + 1)) | same(x, F.get(s, i - 1))), place)))
+        return let(ordered, lambda s: F.sort_array(F.transform(F.filter(s, lambda x, i: same(x, F.get(s, i + 1)) | same(x, F.get(s, i - 1))), lambda x: x["p"])))
 
     def covered(p: Column) -> Column:
         steps = F.transform(p, lambda x, i: F.least(F.lit(3), F.coalesce(F.get(p, i + 1) - x, F.lit(3))))
         return F.aggregate(steps, F.lit(0).cast("long"), lambda a, x: a + x)
 
-    fits = F.size(words) < (1 << POSITION_BITS)
-    return let(F.when(fits, starts(words, POSITION_BITS, True)).otherwise(starts(words, 31, False)), covered)
+    return let(starts(words), covered)
 
 
 def measured(df: DataFrame, text_col: str = "text", lang_col: str | None = "lang") -> DataFrame:
