@@ -208,7 +208,7 @@ def _drop_joined(df: DataFrame, found: DataFrame, id_col: str, text_col: str, mi
 
     rows = materialise(df.withColumn("__ld_row", F.monotonically_increasing_id()), "line-rows")
     lines = rows.where(F.col(id_col).isNotNull()).select("__ld_row", F.col(id_col).cast("long").alias("_doc"), F.posexplode(F.split(F.coalesce(text_col, F.lit("")), "\n")).alias("_at", "_line"))
-    key = F.regexp_replace(F.col("_line"), r"^[\x20\x09-\x0D]+|[\x20\x09-\x0D]+$", "")
+    key = F.regexp_replace(F.col("_line"), r"^[\x20\x09-\x0D]+|[\x20\x09-\x0D]+\z", "")
     keyed = lines.where(F.length(key) >= min_chars).withColumn("key", F.encode(F.translate(key, "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"), "UTF-8"))
     doomed = keyed.join(found.select("key", "keeper"), "key").where(F.col("_doc") != F.col("keeper")).groupBy("__ld_row").agg(F.collect_set("_at").alias("__ld_doomed"))
     split = F.split(F.coalesce(F.col(text_col), F.lit("")), "\n")
