@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import re
 import tempfile
 import uuid
 from array import array
@@ -18,10 +19,13 @@ MASK64 = (1 << 64) - 1
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: ``spark.checkpoint.dir``; only where unset (tests) one of our own."""
+    """The folder that driver and executors share: ``spark.checkpoint.dir``, or the session's checkpoint folder; only a
+    local session (tests), whose driver and executors are one process, gets one of its own."""
     found = spark.sparkContext.getConf().get("spark.checkpoint.dir", None)
     if not found:
         existing = spark.sparkContext._jsc.sc().getCheckpointDir()
+        if not existing.isDefined() and not re.fullmatch(r"local(\[[^\]]*\])?", spark.sparkContext.master):
+            raise ValueError("spark.checkpoint.dir must name a folder that the driver and the executors share")
         found = existing.get() if existing.isDefined() else "file://" + tempfile.mkdtemp(prefix="orbitgraph-")
         if not existing.isDefined():
             spark.sparkContext.setCheckpointDir(found)
@@ -43,7 +47,19 @@ def materialise(df: DataFrame, label: str) -> DataFrame:
     path = f"{shared_dir(spark)}/tables/{label}-{uuid.uuid4().hex}"
     df.write.parquet(path)
     atexit.register(_forget, spark, path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._shared_path = path
+    return out
+
+
+def discard(table: DataFrame) -> None:
+    """Removes a table of :func:`materialise` that nothing reads any more; iterations call it so that disk does not grow."""
+    _forget(table.sparkSession, table._shared_path)
+
+
+def broadcast_if_few(table: DataFrame, most: int) -> DataFrame:
+    """The materialised table, marked for broadcast if it has at most ``most`` (thin) rows; else it joins by a shuffle."""
+    return F.broadcast(table) if table.limit(most + 1).count() <= most else table
 
 
 def spread(scan: DataFrame) -> DataFrame:

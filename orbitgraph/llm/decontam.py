@@ -3,39 +3,45 @@
 Words are compared lower-cased, without punctuation at their ends. The walk reads a window word by word; at each step
 a random function of the step and the current word says whether to move on, so a few inserted, deleted or changed
 words leave most of the read-out in step: edit distance becomes Hamming distance. Every repetition samples some of
-the steps; equal samples make a candidate. Documents are entered at every ``stride``-th word and items at every word,
-so each whole passage of at least ``width + stride - 1`` words holds aligned windows of both. Widths and strides go by
-classes of item length. As edits can spoil all windows of an item, and items of up to five words have none, runs of at
-most three words are counted as well: each edit spoils at most as many runs as a run has words, so a passage within the
-edit limit keeps a known number of its item's runs, shifted against each other by no more than the edits. No passage
-within the limit is missed, whatever its length. A candidate region is then compared with the whole item by exact
-semi-global edit distance.
+the steps; equal samples make a candidate. Windows are sized by the items: items fall into classes of length (each
+half as long again as the one before), and all of a class, the window (an item from one of its words on), the sampled
+steps and the distance between entered words of a document, grows with it. Documents are entered every few words,
+items at each word of their first half, so a passage holds several windows that are aligned with its item's.
 
-The item table is broadcast behind a check of its size; a larger benchmark is worked off in bounded blocks of items,
-each a scan of the documents.
+The number of repetitions is derived from a target recall: passages at the edit limit, for each kind of edit, are run
+through the walks of a class until enough of them are found. Items of up to ``EXACT_WORDS`` words are too short to
+sample from; a passage within the limit keeps a known number of its item's runs of at most three words, so these are
+counted, and none is missed. A candidate region must hold enough of the item's words, and is then compared with the
+whole item by exact semi-global edit distance, which decides.
+
+The item table is broadcast in blocks of bounded size; a larger benchmark takes a scan of the documents for each.
 
 Edge cases: null or empty texts and items match nothing; repeated rows give repeated matches; a null doc_id is
-carried; items with equal words all match; an empty table gives an empty result; other columns are ignored.
+carried; items with equal words all match; of equally good places the first is given; an empty table gives an empty
+result; other columns are ignored.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import WordHash, binary_column, hashed_words, mix, rolling, slices
+from .common import WordHash, binary_column, broadcast_if_few, hashed_words, materialise, mix, rolling, slices
 
-#: item words from, window width, document stride; shorter items are found by their runs
-CLASSES = ((24, 16, 8), (13, 9, 5), (6, 5, 2))
+EXACT_WORDS = 12  # items of so many words are found by counting runs
+GROWTH = 1.5  # least length of a class over that of the one before
 RUN_WORDS = 3
 MAX_HITS = 2_000_000  # run hits expanded at once
-REPETITIONS = 8
-SAMPLES = 5
+TARGET_RECALL = 0.99
+MOST_REPETITIONS = 64
+SAMPLES = 3
 MIN_SIMILARITY = 0.8
+BROADCAST_LEAKS = 1_000_000  # ids of documents with a match that may be broadcast; beyond, they join by a shuffle
 BLOCK_WORDS = 2_000_000  # words of benchmark items broadcast at once
 SLICE_BYTES = 4 << 20
 MARKS = b".,;:!?'\"()[]{}<>-_*#$%&|~`/\\+=^@"
@@ -50,37 +56,99 @@ class PlainWordHash(WordHash):
         return value
 
 
+CHUNK = 1 << 14  # starts walked at once, so that a walk's arrays stay in the cache
+
+
 class Walks:
-    """Random functions of one width: which steps are sampled, and the step-wise move bits."""
+    """Random functions of one class of lengths: the step-wise move bits, and which steps are sampled.
 
-    def __init__(self, width: int, repetitions: int, samples: int, seed: int = 7):
-        rng = np.random.default_rng([seed, width])
-        steps = 3 * width // 2 if width > 3 else width  # by then a walk has read three quarters of its window
-        self.width, self.repetitions = width, repetitions if width > 3 else 1
-        self.factors = rng.integers(1, 1 << 62, (self.repetitions, steps), dtype=np.uint64) * np.uint64(2) + np.uint64(1)
-        self.sampled = [np.sort(rng.choice(steps, min(samples, steps), replace=False)) for _ in range(self.repetitions)] if width > 3 else [np.arange(width)]
+    Steps are sampled from the first half of the least item's length, one from each of equal parts: later ones are
+    the likelier to be out of step."""
+
+    def __init__(self, least: int, repetitions: int, samples: int, seed: int = 7):
+        rng = np.random.default_rng([seed, least])
+        self.least, self.repetitions = least, repetitions
+        parts = np.array_split(np.arange(max(samples, least // 2)), samples)
+        self.sampled = [[int(rng.choice(p)) for p in parts] for _ in range(MOST_REPETITIONS)][:repetitions]
+        self.factors = rng.integers(1, 1 << 62, (MOST_REPETITIONS, int(parts[-1][-1]) + 1), dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+        self.reach = int(parts[-1][-1]) + 1  # a walk reads fewer words than it has steps
 
     def keys(self, words: np.ndarray, starts: np.ndarray) -> Iterator[np.ndarray]:
-        """One array of keys over the starts for each repetition. A rare walk that leaves its window reads on."""
-        padded = np.concatenate([words, np.zeros(2 * self.width, np.uint64)])
+        """One array of keys over the starts for each repetition. A walk that leaves its window reads on."""
+        padded = np.concatenate([words, np.zeros(self.reach + 1, np.uint64)])
         for r in range(self.repetitions):
-            at, key = starts.copy(), np.full(len(starts), np.uint64(r + 1))
-            sampled, last = set(self.sampled[r].tolist()), int(self.sampled[r][-1])
-            for j in range(last + 1):
-                here = padded[at]
-                if j in sampled:
-                    key ^= here
-                    key *= np.uint64(0x9E3779B97F4A7C15)
-                    key ^= key >> np.uint64(29)
-                if j == last:
+            out = np.empty(len(starts), np.uint64)
+            sampled, last = set(self.sampled[r]), self.sampled[r][-1]
+            for a in range(0, len(starts), CHUNK):
+                at = starts[a : a + CHUNK].copy()
+                key, here = np.full(len(at), np.uint64(r + 1)), np.empty(len(at), np.uint64)
+                for j in range(last + 1):
+                    np.take(padded, at, out=here, mode="clip")
+                    if j in sampled:
+                        key ^= here
+                        key *= np.uint64(0x9E3779B97F4A7C15)
+                        key ^= key >> np.uint64(29)
+                    if j < last:
+                        here *= self.factors[r, j]
+                        here >>= np.uint64(63)
+                        at += here.view(np.int64)
+                out[a : a + CHUNK] = key
+            yield mix(out)
+
+
+def class_of(n_words: int) -> int:
+    """Least length of the class that an item of ``n_words`` belongs to."""
+    least = EXACT_WORDS + 1
+    while int(least * GROWTH) <= n_words:
+        least = int(least * GROWTH)
+    return least
+
+
+def stride_of(least: int, min_similarity: float) -> int:
+    return max(1, allowed_edits(least, min_similarity))
+
+
+def entries(n_words: int, least: int) -> int:
+    """Words of an item at which walks begin: those that leave half of the least length to read."""
+    return n_words - (least + 1) // 2 + 1
+
+
+@lru_cache(maxsize=256)
+def repetitions_for(least: int, min_similarity: float, target_recall: float, samples: int) -> int:
+    """Repetitions that find the target share of passages at the edit limit, for replaced, deleted, inserted and mixed
+    words alike, at the least and at the most demanding length of a class; measured on random words."""
+    walks, stride, need = Walks(least, MOST_REPETITIONS, samples), stride_of(least, min_similarity), 1
+    rng = np.random.default_rng([11, least])
+    longest = min((n for n in range(least, int(least * GROWTH))), key=lambda n: entries(n, least) / stride - 4 * allowed_edits(n, min_similarity) / n)
+    trials = 400
+    for n in {least, longest}:
+        most = allowed_edits(n, min_similarity)
+        for kind in ("replace", "delete", "insert", "mixed"):
+            items = rng.integers(1, 1 << 62, (trials, n), dtype=np.uint64)
+            passages = [edited(item, most, kind, rng) for item in items]
+            docs = np.concatenate([np.concatenate([p, rng.integers(1, 1 << 62, 2 * least, dtype=np.uint64)]) for p in passages])
+            at = np.cumsum([0, *(len(p) + 2 * least for p in passages)])[:-1]
+            entered = [np.arange(a + int(rng.integers(stride)), a + len(p), stride) for a, p in zip(at, passages, strict=True)]
+            owner = np.repeat(np.arange(trials), [len(x) for x in entered])
+            starts = (np.arange(trials)[:, None] * n + np.arange(entries(n, least))).ravel()
+            mine = np.repeat(np.arange(trials), entries(n, least))
+            found, r = np.zeros(trials, bool), 0
+            for known, keys in zip(walks.keys(items.ravel(), starts), walks.keys(docs, np.concatenate(entered)), strict=True):
+                r += 1
+                found[owner[np.isin(mix(keys + owner.astype(np.uint64)), mix(known + mine.astype(np.uint64)))]] = True
+                if found.mean() >= target_recall:
                     break
-                if self.width <= 3:
-                    at += 1
-                else:
-                    here *= self.factors[r, j]
-                    here >>= np.uint64(63)
-                    at += here.view(np.int64)
-            yield mix(key)
+            need = max(need, r)
+    return need
+
+
+def edited(words: np.ndarray, edits: int, kind: str, rng: np.random.Generator) -> np.ndarray:
+    """The words with exactly so many of them replaced, deleted, or preceded by another."""
+    out = words.tolist()
+    for at in sorted(rng.choice(len(out), edits, replace=False).tolist(), reverse=True):
+        act = str(rng.choice(["replace", "delete", "insert"])) if kind == "mixed" else kind
+        out[at : at + (act != "insert")] = [] if act == "delete" else [int(rng.integers(1, 1 << 62))]
+    return np.array(out, np.uint64)
 
 
 def allowed_edits(n_words: int, min_similarity: float) -> int:
@@ -97,44 +165,57 @@ def run_rule(n_words: int, most: int) -> tuple[int, int]:
 
 
 class Items:
-    """Benchmark items as hashed words, with the keys of their windows by class and of their runs by width."""
+    """Benchmark items as hashed words, with the keys of their walks by class and, of short ones, of their runs."""
 
-    def __init__(self, rows: list[tuple[int, bytes]], repetitions: int, samples: int, min_similarity: float = MIN_SIMILARITY):
+    def __init__(self, rows: list[tuple[int, bytes]], min_similarity: float = MIN_SIMILARITY, target_recall: float = TARGET_RECALL, samples: int = SAMPLES):
         self.ids = [r[0] for r in rows]
         flat, offsets = hashed_words([r[1] for r in rows], PlainWordHash())
         self.words = [flat[offsets[i] : offsets[i + 1]].copy() for i in range(len(rows))]
+        self.size = np.diff(offsets)
+        self.most = np.array([allowed_edits(int(n), min_similarity) for n in self.size], np.int64)
         self.tables = []
-        for c, (least, width, stride) in enumerate(CLASSES):
-            most = CLASSES[c - 1][0] if c else 1 << 60
-            mine = [i for i, w in enumerate(self.words) if least <= len(w) < most]
-            if not mine:
-                continue
-            walks = Walks(width, repetitions, samples)
-            starts = np.concatenate([offsets[i] + np.arange(len(self.words[i]) - width + 1) for i in mine])
-            owner = np.concatenate([np.full(len(self.words[i]) - width + 1, i) for i in mine])
-            within = np.concatenate([np.arange(len(self.words[i]) - width + 1) for i in mine])
+        classes: dict[int, list[int]] = {}
+        for i, n in enumerate(self.size.tolist()):
+            if n > EXACT_WORDS:
+                classes.setdefault(class_of(n), []).append(i)
+        for least, mine in sorted(classes.items()):
+            walks = Walks(least, repetitions_for(least, min_similarity, target_recall, samples), samples)
+            count = [entries(int(self.size[i]), least) for i in mine]
+            owner = np.repeat(mine, count)
+            within = np.concatenate([np.arange(c) for c in count])
             found = []
-            for keys in walks.keys(flat, starts):
+            for keys in walks.keys(flat, offsets[owner] + within):
                 order = np.argsort(keys, kind="stable")
-                bitmap = np.zeros(1 << 20, bool)
-                bitmap[(keys & np.uint64((1 << 20) - 1)).astype(np.int64)] = True
-                found.append((keys[order], owner[order], within[order], bitmap))
-            self.tables.append((walks, stride, found))
-        self.most = np.array([allowed_edits(len(w), min_similarity) for w in self.words], np.int64)
-        rules = [run_rule(len(w), int(k)) for w, k in zip(self.words, self.most, strict=True)]
+                found.append((keys[order], owner[order], within[order], _bitmap(keys)))
+            self.tables.append((walks, stride_of(least, min_similarity), found))
+        held = np.unique(_member_keys(np.repeat(np.arange(len(rows)), self.size), flat))
+        self.members = _bitmap(held)
+        rules = [run_rule(int(n), int(k)) for n, k in zip(self.size, self.most, strict=True)]
         self.need = np.array([r[1] for r in rules], np.int64)
         self.runs = []
         for width in range(1, RUN_WORDS + 1):
-            mine = [i for i, w in enumerate(self.words) if len(w) and rules[i][0] == width]
+            mine = [i for i, n in enumerate(self.size.tolist()) if 0 < n <= EXACT_WORDS and rules[i][0] == width]
             if not mine:
                 continue
             keys = np.concatenate([rolling(self.words[i], width) for i in mine])
             owner = np.concatenate([np.full(len(self.words[i]) - width + 1, i) for i in mine])
             within = np.concatenate([np.arange(len(self.words[i]) - width + 1) for i in mine])
             order = np.argsort(keys, kind="stable")
-            bitmap = np.zeros(max(1 << 20, 1 << int(16 * len(keys)).bit_length()), bool)
-            bitmap[(keys & np.uint64(len(bitmap) - 1)).astype(np.int64)] = True
-            self.runs.append((width, keys[order], owner[order], within[order], bitmap))
+            self.runs.append((width, keys[order], owner[order], within[order], _bitmap(keys)))
+
+
+def _bitmap(keys: np.ndarray) -> np.ndarray:
+    out = np.zeros(max(1 << 20, 1 << int(16 * len(keys)).bit_length()), bool)
+    out[(keys & np.uint64(len(out) - 1)).astype(np.int64)] = True
+    return out
+
+
+def _hits(bitmap: np.ndarray, keys: np.ndarray) -> np.ndarray:
+    return bitmap[(keys & np.uint64(len(bitmap) - 1)).astype(np.int64)]
+
+
+def _member_keys(item: np.ndarray, words: np.ndarray) -> np.ndarray:
+    return mix(words + item.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15))
 
 
 def within_edits(item: np.ndarray, region: np.ndarray, most: int) -> tuple[int, int, int] | None:
@@ -186,7 +267,7 @@ def _matches(items: Items, flat: np.ndarray, offsets: np.ndarray, min_similarity
     """Best match of each (document, item) that has a candidate, if it is similar enough."""
     regions: dict[tuple[int, int], list[int]] = {}
     for walks, stride, tables in items.tables:
-        n = np.maximum(np.diff(offsets) - walks.width + 1, 0)
+        n = np.maximum(np.diff(offsets) - walks.least // 2 + 1, 0)
         per_doc = (n + stride - 1) // stride
         doc = np.repeat(np.arange(len(n)), per_doc)
         if not len(doc):
@@ -194,11 +275,15 @@ def _matches(items: Items, flat: np.ndarray, offsets: np.ndarray, min_similarity
         first = np.cumsum(per_doc) - per_doc
         starts = offsets[doc] + (np.arange(len(doc)) - first[doc]) * stride
         for keys, (known, owner, within, bitmap) in zip(walks.keys(flat, starts), tables, strict=True):
-            maybe = np.flatnonzero(bitmap[(keys & np.uint64(len(bitmap) - 1)).astype(np.int64)])
+            maybe = np.flatnonzero(_hits(bitmap, keys))
             lo, hi = np.searchsorted(known, keys[maybe], "left"), np.searchsorted(known, keys[maybe], "right")
-            for i, x, y in zip(maybe[hi > lo], lo[hi > lo], hi[hi > lo], strict=True):
-                for k in range(x, y):
-                    regions.setdefault((int(doc[i]), int(owner[k])), []).append(int(starts[i] - offsets[doc[i]] - within[k]))
+            for a, b in slices((hi - lo).tolist(), MAX_HITS // 64):
+                hits = hi[a:b] - lo[a:b]
+                place = np.repeat(lo[a:b] - (np.cumsum(hits) - hits), hits) + np.arange(hits.sum())
+                d, i = np.repeat(doc[maybe[a:b]], hits), owner[place]
+                begin = np.repeat(starts[maybe[a:b]], hits) - offsets[d] - within[place]
+                for x, y, z in zip(*_plausible(items, flat, offsets, d, i, begin), strict=True):
+                    regions.setdefault((x, y), []).append(z)
     for d, i, begin in _run_candidates(items, flat, offsets):
         regions.setdefault((d, i), []).append(begin)
     for (d, i), begins in sorted(regions.items()):
@@ -221,11 +306,24 @@ def _matches(items: Items, flat: np.ndarray, offsets: np.ndarray, min_similarity
             yield d, (items.ids[i], best[1], best[2], len(item), best[0], 1 - best[0] / len(item))
 
 
+def _plausible(items: Items, flat: np.ndarray, offsets: np.ndarray, d: np.ndarray, i: np.ndarray, begin: np.ndarray) -> tuple[list[int], list[int], list[int]]:
+    """The candidates whose region holds as many words of the item as a passage within the limit keeps at least."""
+    lo = np.maximum(begin - items.most[i], 0) + offsets[d]
+    hi = np.minimum(begin + items.size[i] + items.most[i] + 1 + offsets[d], offsets[d + 1])
+    length = np.maximum(hi - lo, 0)
+    at = np.repeat(lo - (np.cumsum(length) - length), length) + np.arange(length.sum())
+    member = _hits(items.members, _member_keys(np.repeat(i, length), flat[at]))
+    total = np.concatenate([[0], np.cumsum(member)])
+    end = np.cumsum(length)
+    fine = total[end] - total[end - length] >= items.size[i] - items.most[i]
+    return d[fine].tolist(), i[fine].tolist(), begin[fine].tolist()
+
+
 def _run_candidates(items: Items, flat: np.ndarray, offsets: np.ndarray) -> Iterator[tuple[int, int, int]]:
     """(document, item, begin) where as many runs as outlast the allowed edits lie on diagonals no farther apart than these."""
     for width, known, owner, within, bitmap in items.runs:
         keys = rolling(flat, width)
-        at = np.flatnonzero(bitmap[(keys & np.uint64(len(bitmap) - 1)).astype(np.int64)])
+        at = np.flatnonzero(_hits(bitmap, keys))
         doc = np.searchsorted(offsets, at, "right") - 1
         inside = at + width <= offsets[doc + 1]
         at, doc = at[inside], doc[inside]
@@ -248,15 +346,17 @@ def _run_candidates(items: Items, flat: np.ndarray, offsets: np.ndarray) -> Iter
             yield from zip(d[found].tolist(), i[found].tolist(), diagonal[found].tolist(), strict=True)
 
 
-def contamination(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_id_col: str = "item_id", item_text_col: str = "text", min_similarity: float = MIN_SIMILARITY, repetitions: int = REPETITIONS, samples: int = SAMPLES, block_words: int = BLOCK_WORDS) -> DataFrame:
-    """Matches: one row for each document and item whose passage it holds within the edit limit, with the best place."""
+def contamination(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_id_col: str = "item_id", item_text_col: str = "text", min_similarity: float = MIN_SIMILARITY, target_recall: float = TARGET_RECALL, samples: int = SAMPLES, block_words: int = BLOCK_WORDS) -> DataFrame:
+    """Matches: one row for each document and item whose passage it holds within the edit limit, with the best place.
+
+    ``target_recall``: share of passages at the very limit that the sampled walks must find; nearer ones are likelier."""
     spark = docs.sparkSession
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
     items = benchmark.select(F.col(item_id_col).cast("long").alias("item_id"), F.encode(F.coalesce(item_text_col, F.lit("")), "UTF-8").alias("text"))
     out, block, held = None, [], 0
 
     def scan(block: list[tuple[int, bytes]]) -> DataFrame:
-        shared = spark.sparkContext.broadcast(Items(block, repetitions, samples, min_similarity))
+        shared = spark.sparkContext.broadcast(Items(block, min_similarity, target_recall, samples))
         return rows.mapInArrow(_scan(shared, min_similarity), MATCHES)
 
     for r in items.orderBy("item_id", "text").toLocalIterator():
@@ -272,5 +372,6 @@ def contamination(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id",
 
 def decontaminate(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text", **how: object) -> DataFrame:
     """The documents that hold no benchmark passage; all columns stay. Rows with a null id are judged by nothing and stay."""
-    found = contamination(docs, benchmark, id_col, text_col, **how).select(F.col("doc_id").alias("__leak")).distinct()
+    found = contamination(docs, benchmark, id_col, text_col, **how).select(F.col("doc_id").alias("__leak")).where(F.col("__leak").isNotNull()).distinct()
+    found = broadcast_if_few(materialise(found, "leaks"), BROADCAST_LEAKS)
     return docs.join(found, F.col(id_col) == F.col("__leak"), "left_anti")
