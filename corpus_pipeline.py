@@ -10,11 +10,12 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from orbitgraph.llm import decontam, linededup, neardup, packing, quality
-from orbitgraph.llm.common import materialise, spread
+from orbitgraph.llm.common import broadcast_if_few, materialise, spread
 from orbitgraph.session import ship
 
 WINDOW = 2048
 NEAR_PERCENT = 80
+BROADCAST_GONE = 1_000_000  # ids that may be broadcast; beyond, they join by a shuffle
 
 
 def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -37,6 +38,7 @@ def near_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     ship(spark)
     found = neardup.near_duplicates(docs.select("doc_id", "text"), percent=NEAR_PERCENT)
     gone = materialise(found.where(~F.col("kept")).select(F.col("doc_id").alias("__gone")).where(F.col("__gone").isNotNull()).distinct(), "near-gone")
+    gone = broadcast_if_few(gone, BROADCAST_GONE)
     return docs.join(gone, F.col("doc_id") == F.col("__gone"), "left_anti")
 
 
