@@ -29,11 +29,12 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
+import xxhash
 from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import WordHash, binary_column, materialise, mix, slices
+from .common import binary_column, materialise, mix, slices
 
 BLOCK_BYTES = 5 << 20
 BUCKET_GRAMS = 500_000
@@ -140,8 +141,7 @@ class Block:
         self.tokens[np.arange(len(inner)) + np.repeat(2 * np.arange(docs) + 1, n)] = inner
         place = (np.arange(len(self.tokens)) - np.repeat(self.first, n + 2)).astype(np.int32)
         learn = np.repeat(~self.held, n + 2)
-        table = WordHash()
-        hashes = np.array([*map(table.__getitem__, self.words), table[END.encode()], table[START.encode()]], np.uint64)
+        hashes = np.array([*map(xxhash.xxh3_64_intdigest, [*self.words, END.encode(), START.encode()])], np.uint64)
         self.counts = [np.bincount(self.tokens[learn], minlength=self.width).astype(np.int64)]
         self.hashes, self.at = [hashes], [self.tokens]
         self.seen_at = [np.zeros(0, np.int64)]
@@ -149,21 +149,25 @@ class Block:
         for k in range(1, order):
             here = np.flatnonzero(place >= k)
             keys = self.at[k - 1][here - 1].astype(np.int64) * self.width + self.tokens[here]
-            _, first, inverse = np.unique(keys, return_index=True, return_inverse=True)
+            by = np.argsort(keys)
+            keys = keys[by]
+            new = np.append(np.ones(min(len(keys), 1), bool), keys[1:] != keys[:-1])
             ids = np.full(len(self.tokens), -1, np.int32)
-            ids[here] = inverse
-            seen = here[first]
+            ids[here[by]] = np.cumsum(new) - 1
+            inverse = ids[here]
+            seen = here[by[new]]  # a place of each distinct n-gram
+            del by, keys, new
             whole = mix(whole[self.at[k - 1][seen - 1]] * np.uint64(0x9E3779B97F4A7C15) + hashes[self.tokens[seen]])
             self.at.append(ids)
             self.seen_at.append(seen)
             self.hashes.append(whole >> np.uint64(64 - bits) << np.uint64(64 - bits))
-            self.counts.append(np.bincount(inverse, weights=learn[here], minlength=len(first)).astype(np.int64))
+            self.counts.append(np.bincount(inverse, weights=learn[here], minlength=len(seen)).astype(np.int64))
 
     def deal(self, level: int, buckets: int, hot: Hot) -> tuple[np.ndarray, np.ndarray]:
         """Order of the level's n-grams, the hot ones apart, by hash, and where each bucket (a range of hashes) begins."""
         cold = np.flatnonzero(~hot.find(level, self.hashes[level])[0])
         hashes = self.hashes[level][cold]
-        order = np.argsort(hashes, kind="stable")
+        order = np.argsort(hashes)
         bucket = ((hashes[order] >> np.uint64(32)) * np.uint64(buckets)) >> np.uint64(32)
         return cold[order], np.searchsorted(bucket, np.arange(buckets + 1))
 
@@ -315,8 +319,9 @@ def _stats(counts: np.ndarray) -> list[int]:
 class Automaton:
     """States, arcs and failure arcs of the n-grams that a block can reach.
 
-    State 0 is the empty context, then one for each context of one word, then those of more words. Arcs of the empty
-    context are an array by word; the others are found by (state, word) in a sorted array."""
+    State 0 is the empty context, then one for each context of one word, then those of more words. A state of j words has
+    its arcs among the n-grams of j + 1 words, so the arc for the next token is the n-gram that ends there, and a number
+    for each place and length says which: an arc that training never saw is dead."""
 
     def __init__(self, block: Block, totals: list[np.ndarray], stats: np.ndarray, mass: tuple[float, ...]):
         n, types, once, twice = (float(x) for x in stats)
@@ -326,15 +331,12 @@ class Automaton:
         c = totals[0].astype(float)
         unknown = d * types / n if n and types and d else 1.0 / max(n + 1, 1)
         p = [np.where(c > 0, (c - d) / max(n, 1), unknown)]
-        self.root = np.log10(p[0])
-        self.state_of_word = np.where(c > 0, 1 + np.arange(block.width), 0)
-        self.state_of_word[block.end] = 0
-        if order == 1:
-            self.state_of_word[:] = 0
-        self.start = int(self.state_of_word[block.start])
-        fail = [np.zeros(1, np.int64), np.zeros(block.width, np.int64)]
+        word_state = np.where(c > 0, 1 + np.arange(block.width), 0) if order > 1 else np.zeros(block.width, np.int64)
+        self.start = int(word_state[block.start])
+        word_state[block.end] = 0
+        fail, level = [np.zeros(1, np.int64), np.zeros(block.width, np.int64)], [np.zeros(1, np.int8), np.ones(block.width, np.int8)]
         fail_weight = [np.zeros(1), np.log10(weigh(1) / (c + weigh(1)))]
-        keys, weights, nexts = [], [], []
+        arc_base, live, weights, nexts = [0], [np.ones(block.width, bool)], [np.log10(p[0])], [word_state]
         states = [np.where(c > 0, 1 + np.arange(block.width), 0)]
         base = 1 + block.width
         for k in range(1, order):
@@ -342,46 +344,35 @@ class Automaton:
             context, word = block.at[k - 1][seen - 1], block.tokens[seen]
             shorter = block.at[k - 1][seen]
             p.append((total + weigh(k) * p[k - 1][shorter]) / (totals[k - 1][context] + weigh(k)))
-            live = total > 0
-            mine = np.where(live, base + np.arange(len(total)), 0)
-            keys.append((states[k - 1][context] * block.width + word)[live])
-            weights.append(np.log10(p[k][live]))
-            after = mine if k < order - 1 else states[k - 1][shorter]
-            nexts.append(np.where(word == block.end, 0, after)[live])
+            mine = np.where(total > 0, base + np.arange(len(total)), 0)
+            arc_base.append(arc_base[-1] + len(live[-1]))
+            live.append(total > 0)
+            weights.append(np.log10(p[k]))
+            nexts.append(np.where(word == block.end, 0, mine if k < order - 1 else states[k - 1][shorter]))
             if k < order - 1:
                 fail.append(states[k - 1][shorter])
                 fail_weight.append(np.log10(weigh(k + 1) / (total + weigh(k + 1))))
+                level.append(np.full(len(total), k + 1, np.int8))
                 base += len(total)
             states.append(mine)
-        self.fail, self.fail_weight = np.concatenate(fail), np.concatenate(fail_weight)
-        by = np.argsort(np.concatenate(keys)) if keys else np.zeros(0, np.int64)
-        self.keys, self.weights, self.nexts = ((np.concatenate(x)[by] if keys else np.zeros(0, t)) for x, t in ((keys, np.int64), (weights, float), (nexts, np.int64)))
-        self.width = block.width
-
-    def step(self, state: np.ndarray, word: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Next states and log10 weights; where no arc fits, failure arcs are followed first."""
-        weight, out = np.zeros(len(state)), np.zeros(len(state), np.int64)
-        todo = np.arange(len(state))
-        while len(todo):
-            s, w = state[todo], word[todo]
-            empty = s == 0
-            if empty.any():
-                e = todo[empty]
-                weight[e] += self.root[w[empty]]
-                out[e] = self.state_of_word[w[empty]]
-                todo, s, w = todo[~empty], s[~empty], w[~empty]
-            if not len(todo):
-                break
-            key = s * self.width + w
-            at = np.minimum(np.searchsorted(self.keys, key), max(len(self.keys) - 1, 0))
-            found = self.keys[at] == key if len(self.keys) else np.zeros(len(key), bool)
-            hit = todo[found]
-            weight[hit] += self.weights[at[found]]
-            out[hit] = self.nexts[at[found]]
-            todo, s = todo[~found], s[~found]
-            weight[todo] += self.fail_weight[s]
-            state[todo] = self.fail[s]
-        return out, weight
+        self.fail, self.fail_weight, self.level = np.concatenate(fail), np.concatenate(fail_weight), np.concatenate(level)
+        self.live, self.weights, self.nexts = np.concatenate(live), np.concatenate(weights), np.concatenate(nexts)
+        self.arc = np.stack(block.at)
+        self.arc_base = np.array(arc_base)
+
+    def step(self, state: np.ndarray, place: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Next states and log10 weights for the tokens at these places; failure arcs are followed to a live arc first."""
+        level = self.level[state]
+        arc = self.arc_base[level] + self.arc[level, place]
+        weight = np.zeros(len(state))
+        dead = np.flatnonzero(~self.live[arc])
+        while len(dead):
+            weight[dead] += self.fail_weight[state[dead]]
+            state[dead] = self.fail[state[dead]]
+            level = self.level[state[dead]]
+            arc[dead] = self.arc_base[level] + self.arc[level, place[dead]]
+            dead = dead[~self.live[arc[dead]]]
+        return self.nexts[arc], weight + self.weights[arc]
 
     def score(self, block: Block) -> np.ndarray:
         """All pieces of all documents in step: at each place those that are long enough move on, longest first.
@@ -403,7 +394,7 @@ class Automaton:
         for t in range(int(steps[0]) if len(by) else 0):
             while active and steps[active - 1] <= t:
                 active -= 1
-            state[:active], weight = self.step(state[:active].copy(), block.tokens[first[:active] + t])
+            state[:active], weight = self.step(state[:active].copy(), first[:active] + t)
             total[:active] += weight if t >= warm else np.where(lead[:active] > t, 0.0, weight)
         return np.bincount(doc, weights=total, minlength=len(block.length))
 
@@ -459,7 +450,7 @@ def score_documents(docs: DataFrame, held_out: Column, id_col: str = "doc_id", t
     for r in answers.where(F.col("block") == -2).select("level", "bucket", "payload").toLocalIterator():  # bounded: levels x segments x salts
         part = _unwide(r.payload)
         sums[r.level][r.bucket * SEGMENT : r.bucket * SEGMENT + len(part)] += part
-    is_start = hot.hashes[0] == np.uint64(WordHash()[START.encode()])
+    is_start = hot.hashes[0] == np.uint64(xxhash.xxh3_64_intdigest(START.encode()))
     stats = stats + np.array(_stats(sums[0][~is_start]), np.int64)
     mine = answers.where(F.col("block") >= 0).groupBy("block").agg(F.collect_list(F.struct("level", "bucket", "payload")).alias("answers"))
     joined = blocks.join(mine, "block", "left").select("held", "ids", "offsets", "tokens", "words", "answers")

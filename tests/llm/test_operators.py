@@ -244,6 +244,26 @@ def test_lm_matches_recursion_and_sums_to_one(spark, order):
         assert sum(p(("the",), x) for x in uni) + p(("the",), "unseen") == pytest.approx(1.0)
 
 
+def test_lm_pieces_agree_with_one_walk(monkeypatch):
+    rng = random.Random(4)
+    texts = [prose(rng, n).encode() for n in (0, 1, 3, 60, 900)] + [b""]
+    vocabulary = sorted({w for t in texts for w in t.split()})
+    number = {w: i for i, w in enumerate(vocabulary)}
+    tokens = np.array([number[w] for t in texts for w in t.split()], np.uint32)
+    offsets = np.cumsum([0, *(len(t.split()) for t in texts)]).astype(np.int64)
+    block = lm.Block([False, True, False, True, True, False], lm._squeeze(offsets), lm._squeeze(tokens), b"\n".join(vocabulary), 3, 64)
+    automaton = lm.Automaton(block, block.counts, np.array([len(tokens), len(vocabulary), 5, 3]), (4.0, 2.0))
+    whole = automaton.score(block)
+    for piece in (1, 2, 7, 64):
+        monkeypatch.setattr(lm, "PIECE", max(piece, 2))
+        assert automaton.score(block) == pytest.approx(whole)
+
+
+def test_lm_counts_pass_32_bits():
+    big = np.array([0, 1, (1 << 32) + 5, 1 << 40], np.int64)
+    assert (lm._unwide(lm._wide(big)) == big).all()
+
+
 # --- packing ---------------------------------------------------------------------------------------------------------
 def test_packing_covers_every_token(docs):
     from tokenizers import Tokenizer
