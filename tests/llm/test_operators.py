@@ -349,12 +349,53 @@ def test_arc_versions(version):
         ("<nav><a href=x>Menu</a></nav><article><h1>Head</h1><p>Text, of the article, here.</p><aside>no</aside></article><footer>f</footer>", "Head\nText, of the article, here."),
         ('<div id="sidebar"><p>menu, menu, menu, menu, menu</p></div><div class="post-content"><p>Words of the article, with commas, and more.</p><ul><li>one<li>two</ul><div class="comments"><p>I agree, really, I do.</p></div><form>mail</form></div>', "Words of the article, with commas, and more.\none\ntwo"),
         ("<div>" * 3000 + "deep", "deep"),
+        ("<div>" * 300 + "<nav>menu menu menu</nav><p>Text of the article, here.</p>", "Text of the article, here."),
+        ("<p>zero&#8203;width &#xFEFF;x</p>", "zero\u200bwidth \ufeffx"),
+        ("<article><p>One.</p><div class='more-info'>More, in words.</div><p class='legal'>A law is a rule.</p><div class='ad'>Buy</div><div class='more'><a href=x>More like this one</a></div></article>", "One.\nMore, in words.\nA law is a rule."),
+        ("<div><div><p>First part, with commas, and a good many words in it to score.</p></div><div><p>Second part.</p></div><div><p>Third part, with commas, and a good many words in it to score.</p></div></div>", "First part, with commas, and a good many words in it to score.\nSecond part.\nThird part, with commas, and a good many words in it to score."),
+        ("<div class='sidebar-layout'><p>All of the page, its article, stands in here.</p></div><p>x</p>", "All of the page, its article, stands in here.\nx"),
+        ("<div class='ad'>An advert that is longer than the article of the page.</div><article><p>Short.</p></article>", "Short."),
+        ("<main><p>Said, in an article.</p></main><div class='reader-comments'><p>" + "I agree, really. " * 30 + "</p></div>", "Said, in an article."),
     ],
 )
 def test_main_text(page, text):
     assert html.main_text(page) == text
 
 
+def written_page(rng):
+    """A page in one of many layouts, with the blocks of its article."""
+    sentence = lambda: " ".join(rng.choice(["river", "stone", "a", "the", "of", "market", "law", "and", "old"]) for _ in range(rng.randrange(4, 30))).capitalize() + "."
+    links = lambda n: "".join(f"<li><a href=/{k}>{rng.choice(['Home', 'News', 'More on this'])}</a></li>" for k in range(n))
+    want, inner = [], []
+    for _ in range(rng.randrange(3, 9)):
+        kind, text = rng.choice(["p", "p", "p", "h2", "blockquote", "div", "ul", "note"]), sentence()
+        if kind == "note":
+            inner.append(rng.choice([f"<div class='ad-slot'>{text}</div>", f"<aside>{text}</aside>", f"<ul class='share-links'>{links(3)}</ul>", f"<form>{text}<input></form>", f"<!-- {text} -->"]))
+            continue
+        want.append(text)
+        inner.append(f"<ul><li>{text}</ul>" if kind == "ul" else f"<p>{text.replace(' ', '&#32;', 1)}" if kind == "p" and rng.random() < 0.3 else f"<{kind}>{text}</{kind}>")
+    want.append(sentence())
+    inner.append(f"<p>{want[-1]}</p>")
+    body = rng.choice(["<article>{}</article>", "<main><div>{}</div></main>", "<div class='post-content'>{}</div>", "<div id=content><div class=entry>{}</div></div>"]).format("\n".join(inner))
+    around = [f"<nav><ul>{links(5)}</ul></nav>", f"<div class='sidebar'><p>{sentence()}</p><ul>{links(4)}</ul></div>", f"<div id=cookie-notice><p>{sentence()}</p></div>", f"<header><b>{sentence()}</b></header>"]
+    after = [f"<section class=comments><p>{sentence()}</p><p>{sentence()}</p></section>", f"<footer><p>{sentence()}</p></footer>", f"<div class='related-posts'><ul>{links(6)}</ul></div>"]
+    shown = "".join(x for x in around if rng.random() < 0.7) + body + "".join(x for x in after if rng.random() < 0.7)
+    return f"<html><head><title>t</title><script>var a='<p>';</script></head><body><div class=wrapper>{shown}</div></body></html>", "\n".join(want)
+
+
+def test_written_pages_give_their_article():
+    rng = random.Random(9)
+    pages = [written_page(rng) for _ in range(400)]
+    wrong = [(p, t) for p, t in pages if html.main_text(p) != t]
+    assert len(wrong) <= 4, wrong[0]
+
+
+def test_long_and_tangled_pages_take_linear_time():
+    assert html.main_text("<p>" + "words of a text, " * 200_000 + "</p>").count("words") == 200_000
+    for page in ("<div><b><p>x</i></span>" * 20_000, "<b>" * 20_000 + "</p></i>" * 20_000, "<li>" * 20_000 + "<tr>" * 20_000):
+        html.main_text(page)
+
+
 def test_extract_keeps_columns(spark):
     pages = spark.createDataFrame([(1, "u", "<p>a</p>", "clash"), (None, None, None, None)], "page_id long, url string, html string, text string")
     got = html.extract(pages)
