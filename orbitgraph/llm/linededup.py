@@ -1,14 +1,16 @@
 """Line deduplication with two Bloom filters.
 
-First scan: every task sets the bits of its lines' key hashes in a once-seen filter, and of those it meets again (in
-another document) in a twice-seen filter. Filters merge: once = or, twice = or, plus the and of both once filters, so
-no repeated key is ever missed. Second scan: only lines that the twice-seen filter suspects leave their task, already
-combined per task, and are counted exactly by their full key. The filters have a fixed size, chosen from the number
-of lines up to ``MAX_FILTER_BITS``: beyond that more lines are suspected and shuffled, the result stays exact.
+The keys of a slice of documents are kept as 128-bit digests. Both filters are split by ranges of the hash into shards
+of fixed size, as many as the number of keys asks for: each slice sends every shard the bits that its keys set in the
+once-seen filter, packed as gaps, and those that two of its own documents set in the twice-seen filter. A shard merges
+them (twice = or, plus what a slice finds in once already, so no repeated key is ever missed) and tells every slice
+which of its bits were seen twice. Only keys so suspected leave their slice; they are counted exactly, by digest.
+Neither filter is ever in one place, so their rate of false repeats is the same at every size.
 
 Edge cases: null or empty text is one empty line; keys shorter than ``min_chars`` never drop; rows that share a doc_id
-count as one document and the keeper is the largest doc_id (rows of that doc_id all keep the line); a repeated line
-inside one document counts once; an empty table gives an empty result; other columns pass through.
+count as one document and the keeper is the largest doc_id (rows of that doc_id all keep the line); rows with a null id
+lose nothing and count nowhere; a repeated line inside one document counts once; an empty table gives an empty result;
+other columns pass through.
 """
 
 from __future__ import annotations
@@ -17,17 +19,20 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import xxhash
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import binary_column, mix
+from .common import binary_column, materialise, mix, slices
 
 SPACE_BYTES = b" \t\n\x0b\x0c\r"
-MIN_FILTER_BITS = 1 << 20
-MAX_FILTER_BITS = 1 << 27  # 16 MiB for each of the two; a task holds both, the second is broadcast
-SEGMENT_BITS = 1 << 15  # filters travel and merge as segments, so that sparse ones stay small
+SLICE_BYTES = 4 << 20
+SHARD_BITS = 1 << 24  # 2 MiB for each of the two filters of a shard
+BITS_A_KEY = 16
+SHARDS_A_TASK = 4
 BROADCAST_KEYS = 200_000  # confirmed keys (16-byte digests) that may be broadcast; beyond, they are joined
 
 
@@ -56,113 +61,147 @@ def _get_bits(packed: np.ndarray, at: np.ndarray) -> np.ndarray:
     return (packed[at >> 3] >> (7 - (at & 7)).astype(np.uint8)) & 1 == 1
 
 
-def _filters(n_bits: int, min_chars: int, text_col: str):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        once, twice = np.zeros(n_bits // 8, np.uint8), np.zeros(n_bits // 8, np.uint8)
-        held: list[np.ndarray] = []
-
-        def flush() -> None:
-            if held:
-                at, count = np.unique(np.concatenate(held), return_counts=True)
-                _set_bits(twice, at[(count > 1) | _get_bits(once, at)])
-                _set_bits(once, at)
-                held.clear()
+SLICES = "slice long, n long, docs binary, offsets binary, digests binary"
 
-        for batch in batches:
-            for text in binary_column(batch, text_col).to_pylist():
-                found = {k for k in keys_of(text, min_chars) if k is not None}
-                if found:
-                    held.append(np.unique(_bits(np.fromiter(map(xxhash.xxh3_64_intdigest, found), np.uint64, len(found)), n_bits)))
-                if len(held) >= 20_000:
-                    flush()
-        flush()
-        width = min(SEGMENT_BITS, n_bits) // 8
-        used = np.flatnonzero(once.reshape(-1, width).any(axis=1))
-        for part in np.array_split(used, max(1, len(used) // 64)):
-            rows = [(int(s), once[s * width : (s + 1) * width].tobytes(), twice[s * width : (s + 1) * width].tobytes()) for s in part]
-            if rows:
-                seg, o, t = zip(*rows, strict=True)
-                yield pa.RecordBatch.from_arrays([pa.array(seg, pa.int32()), pa.array(o, pa.binary()), pa.array(t, pa.binary())], names=["segment", "once", "twice"])
 
-    return run
+def line_slices(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_chars: int = 40) -> DataFrame:
+    """Shared table of slices: doc ids, and the digests of each document's distinct long keys."""
 
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        part, number = TaskContext.get().partitionId(), 0
+        for batch in batches:
+            texts = binary_column(batch, "text")
+            for a, b in slices(pc.fill_null(pc.binary_length(texts), 0).to_pylist(), SLICE_BYTES):
+                ids, offsets, digests = [], [0], []
+                for doc, text in zip(batch.column(0).slice(a, b - a).to_pylist(), texts.slice(a, b - a).to_pylist(), strict=True):
+                    found = {k for k in keys_of(text, min_chars) if k is not None} if doc is not None else ()
+                    if found:
+                        ids.append(doc)
+                        digests += map(xxhash.xxh3_128_digest, found)
+                        offsets.append(len(digests))
+                if ids:
+                    row = ([(part << 32) + number], [len(digests)], [np.array(ids, "<i8").tobytes()], [np.array(offsets, "<i8").tobytes()], [b"".join(digests)])
+                    kinds = (pa.int64(), pa.int64(), pa.binary(), pa.binary(), pa.binary())
+                    yield pa.RecordBatch.from_arrays([pa.array(x, k) for x, k in zip(row, kinds, strict=True)], names=["slice", "n", "docs", "offsets", "digests"])
+                    number += 1
+
+    rows = df.select(F.col(id_col).cast("long").alias("doc"), F.col(text_col).alias("text"))
+    return materialise(rows.mapInArrow(run, SLICES), "line-slices")
+
+
+def _places(digests: bytes, shards: int) -> tuple[np.ndarray, np.ndarray]:
+    """Shard and bit of each digest: one bit for each key, as with two filters in a row a single hash has the least
+    false repeats per bit."""
+    h = np.frombuffer(digests, "<u8")[::2]
+    return (((h >> np.uint64(32)) * np.uint64(shards)) >> np.uint64(32)).astype(np.int64), (mix(h) & np.uint64(SHARD_BITS - 1)).astype(np.int64)
+
+
+def _parcel(at: np.ndarray, twice: np.ndarray) -> bytes:
+    data = np.diff(at, prepend=0).astype("<u4").view(np.uint8).reshape(-1, 4).T.tobytes() + np.packbits(twice).tobytes()
+    return len(at).to_bytes(4, "little") + pa.compress(data, codec="zstd", asbytes=True)
+
+
+def _open(parcel: bytes) -> tuple[np.ndarray, np.ndarray]:
+    n = int.from_bytes(parcel[:4], "little")
+    data = np.frombuffer(pa.decompress(parcel[4:], decompressed_size=4 * n + (n + 7) // 8, codec="zstd", asbytes=True), np.uint8)
+    return np.cumsum(np.ascontiguousarray(data[: 4 * n].reshape(4, n).T).view("<u4").ravel(), dtype=np.int64), np.unpackbits(data[4 * n :], count=n).astype(bool)
+
+
+def _by_shard(digests: bytes, shards: int) -> Iterator[tuple[int, np.ndarray, np.ndarray, np.ndarray]]:
+    """Each shard with its distinct bits in order, how often the slice's documents set them, and each key's place."""
+    shard, bit = _places(digests, shards)
+    order = np.argsort(shard, kind="stable")
+    cuts = np.searchsorted(shard[order], np.arange(shards + 1)) if shards < len(order) else None
+    values = np.unique(shard)
+    starts = cuts[values] if cuts is not None else np.searchsorted(shard[order], values)
+    for s, a, b in zip(values.tolist(), starts.tolist(), [*starts.tolist()[1:], len(order)], strict=True):
+        mine = order[a:b]
+        at, count = np.unique(bit[mine], return_counts=True)
+        yield s, at, count, mine
+
+
+def _filters(shards: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for name, digests in zip(batch.column(0).to_pylist(), binary_column(batch, "digests").to_pylist(), strict=True):
+                rows = [(s, name, _parcel(at, count > 1)) for s, at, count, _ in _by_shard(digests, shards)]
+                c = list(zip(*rows, strict=True))
+                yield pa.RecordBatch.from_arrays([pa.array(c[0], pa.int64()), pa.array(c[1], pa.int64()), pa.array(c[2], pa.binary())], names=["shard", "slice", "parcel"])
 
-def _bits(hashes: np.ndarray, n_bits: int) -> np.ndarray:
-    """One bit for each key: with two filters in a row a single hash has the least false repeats per bit."""
-    return (mix(hashes) & np.uint64(n_bits - 1)).astype(np.int64)
+    return run
 
 
 def _merge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Merges the sorted segments of a partition, one segment in memory at a time."""
-    state: tuple[int, np.ndarray, np.ndarray] | None = None
+    """Merges the filters of one shard at a time, and answers its slices with the bits of theirs that were seen twice."""
+    held: list[tuple[int, bytes]] = []
+
+    def settle(shard: int) -> Iterator[pa.RecordBatch]:
+        once, twice = np.zeros(SHARD_BITS // 8, np.uint8), np.zeros(SHARD_BITS // 8, np.uint8)
+        for _, parcel in held:
+            at, own = _open(parcel)
+            _set_bits(twice, at[own | _get_bits(once, at)])
+            _set_bits(once, at)
+        out = []
+        for name, parcel in held:
+            hit = _get_bits(twice, _open(parcel)[0])
+            if hit.any():
+                out.append((name, shard, np.packbits(hit).tobytes()))
+        if out:
+            c = list(zip(*out, strict=True))
+            yield pa.RecordBatch.from_arrays([pa.array(c[0], pa.int64()), pa.array(c[1], pa.int64()), pa.array(c[2], pa.binary())], names=["slice", "shard", "hits"])
+
+    now = None
+    for batch in batches:
+        for shard, name, parcel in zip(*(c.to_pylist() for c in batch.columns[:3]), strict=True):
+            if now is not None and shard != now:
+                yield from settle(now)
+                held.clear()
+            now = shard
+            held.append((name, parcel))
+    if held:
+        yield from settle(now)
 
-    def row(s: tuple[int, np.ndarray, np.ndarray]) -> pa.RecordBatch:
-        return pa.RecordBatch.from_arrays([pa.array([s[0]], pa.int32()), pa.array([s[2].tobytes()], pa.binary())], names=["segment", "twice"])
 
-    for batch in batches:
-        for seg, once, twice in zip(*(c.to_pylist() for c in batch.columns[:3]), strict=True):
-            o, t = np.frombuffer(once, np.uint8), np.frombuffer(twice, np.uint8)
-            if state is None or state[0] != seg:
-                if state is not None and state[2].any():
-                    yield row(state)
-                state = (seg, o.copy(), t.copy())
-            else:
-                state[2][:] |= t | (state[1] & o)
-                state[1][:] |= o
-    if state is not None and state[2].any():
-        yield row(state)
-
-
-def twice_filter(df: DataFrame, text_col: str = "text", min_chars: int = 40, n_bits: int | None = None) -> tuple[int, dict[int, bytes]]:
-    """The twice-seen filter as segments of packed bits (at most ``MAX_FILTER_BITS`` in all, so the driver may hold it)."""
-    if n_bits is None:
-        chars = df.agg(F.sum(F.length(text_col))).first()[0] or 0
-        wanted = max(1, chars // 100) * 16  # about 16 bits a line
-        n_bits = int(min(MAX_FILTER_BITS, max(MIN_FILTER_BITS, 1 << int(wanted - 1).bit_length())))
-    parts = df.select(text_col).mapInArrow(_filters(n_bits, min_chars, text_col), "segment int, once binary, twice binary")
-    merged = parts.repartition("segment").sortWithinPartitions("segment").mapInArrow(_merge, "segment int, twice binary")
-    return n_bits, {r.segment: bytes(r.twice) for r in merged.toLocalIterator()}
-
-
-def _suspects(filter_: object, id_col: str, text_col: str, min_chars: int):
-    """(key, largest doc_id, doc_ids seen) of the suspected keys of each batch, combined per batch."""
+def _suspects(shards: int):
+    """(key, doc) of the keys whose bit was seen twice."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        n_bits, seen = filter_.value
         for batch in batches:
-            ids = batch.column(batch.schema.get_field_index(id_col)).to_pylist()
-            out_key: list[bytes] = []
-            out_id: list[int] = []
-            for doc, text in zip(ids, binary_column(batch, text_col).to_pylist(), strict=True):
-                if doc is None:
-                    continue
-                found = list({k for k in keys_of(text, min_chars) if k is not None})
-                if found:
-                    hit = _member(np.fromiter(map(xxhash.xxh3_64_intdigest, found), np.uint64, len(found)), n_bits, seen)
-                    out_key += [k for k, h in zip(found, hit, strict=True) if h]
-                    out_id += [doc] * int(hit.sum())
-            yield pa.RecordBatch.from_arrays([pa.array(out_key, pa.binary()), pa.array(out_id, pa.int64())], names=["key", "doc"])
+            for row in batch.to_pylist():
+                answers = {a["shard"]: a["hits"] for a in row["answers"]}
+                digests = row["digests"]
+                hit = np.zeros(len(digests) // 16, bool)
+                _, bit = _places(digests, shards)
+                for s, at, _, mine in _by_shard(digests, shards):
+                    if s in answers:
+                        seen = at[np.unpackbits(np.frombuffer(answers[s], np.uint8), count=len(at)).astype(bool)]
+                        hit[mine] = np.isin(bit[mine], seen)
+                found = np.flatnonzero(hit)
+                docs = np.repeat(np.frombuffer(row["docs"], "<i8"), np.diff(np.frombuffer(row["offsets"], "<i8")))[found]
+                keys = [digests[16 * i : 16 * i + 16] for i in found.tolist()]
+                yield pa.RecordBatch.from_arrays([pa.array(keys, pa.binary()), pa.array(docs, pa.int64())], names=["key", "doc"])
 
     return run
 
 
-def _member(hashes: np.ndarray, n_bits: int, seen: np.ndarray) -> np.ndarray:
-    return _get_bits(seen, _bits(hashes, n_bits))
+def suspected(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_chars: int = 40) -> DataFrame:
+    """(key digest, doc) of every key that the twice-seen filter suspects: all repeated ones, and few others."""
+    table = line_slices(df, id_col, text_col, min_chars)
+    keys = table.agg(F.sum("n")).first()[0] or 0
+    shards = int(max(1, -(-keys * BITS_A_KEY // SHARD_BITS)))
+    tasks = max(int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")), shards // SHARDS_A_TASK)
+    parts = table.select("slice", "digests").mapInArrow(_filters(shards), "shard long, slice long, parcel binary")
+    answers = parts.repartition(tasks, "shard").sortWithinPartitions("shard").mapInArrow(_merge, "slice long, shard long, hits binary")
+    mine = answers.groupBy("slice").agg(F.collect_list(F.struct("shard", "hits")).alias("answers"))
+    return table.join(mine, "slice").select("docs", "offsets", "digests", "answers").mapInArrow(_suspects(shards), "key binary, doc long")
+
 
+def repeated_keys(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_chars: int = 40, min_docs: int = 5) -> DataFrame:
+    """Exact: key digest, keeper (largest doc_id) and documents, of keys in at least ``min_docs`` documents.
 
-def repeated_keys(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_chars: int = 40, min_docs: int = 5, n_bits: int | None = None) -> DataFrame:
-    """Exact: key, keeper (largest doc_id) and documents, of keys in at least ``min_docs`` documents."""
-    n_bits, segments = twice_filter(df, text_col, min_chars, n_bits)
-    width = min(SEGMENT_BITS, n_bits) // 8
-    seen = np.zeros(n_bits // 8, np.uint8)
-    for seg, packed in segments.items():
-        seen[seg * width : (seg + 1) * width] = np.frombuffer(packed, np.uint8)
-    shared = df.sparkSession.sparkContext.broadcast((n_bits, seen))
-    rows = df.select(F.col(id_col).cast("long").alias("doc"), text_col).mapInArrow(_suspects(shared, "doc", text_col, min_chars), "key binary, doc long")
-    # two levels, so that rows sharing a doc_id count once; a salt spreads a key that most documents hold, and both
-    # levels combine within each task before they shuffle
-    salted = rows.groupBy("key", F.pmod(F.col("doc"), F.lit(64)).alias("salt")).agg(F.countDistinct("doc").alias("n"), F.max("doc").alias("keeper"))
-    return salted.groupBy("key").agg(F.sum("n").alias("documents"), F.max("keeper").alias("keeper")).where(F.col("documents") >= min_docs)
+    Distinct (key, doc) rows are dealt out before they are counted, so a key that most documents hold is no hot group."""
+    rows = suspected(df, id_col, text_col, min_chars).distinct()
+    return rows.groupBy("key").agg(F.count(F.lit(1)).alias("documents"), F.max("doc").alias("keeper")).where(F.col("documents") >= min_docs)
 
 
 def _drop_here(keepers: object, id_col: str, text_col: str, min_chars: int, fields: list[str]):
@@ -190,27 +229,33 @@ def _with(batch: pa.RecordBatch, fields: list[str], texts: list[bytes], lines: l
 
 def drop_lines(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_chars: int = 40, min_docs: int = 5, broadcast_keys: int = BROADCAST_KEYS) -> DataFrame:
     """``df`` plus kept_text, n_lines and n_dropped (replacing columns of those names)."""
-    from .common import materialise
-
     df = df.drop("kept_text", "n_lines", "n_dropped")
     found = materialise(repeated_keys(df, id_col, text_col, min_chars, min_docs), "line-keys")
     schema = T.StructType([*df.schema.fields, T.StructField("kept_text", T.StringType()), T.StructField("n_lines", T.LongType()), T.StructField("n_dropped", T.LongType())])
     if found.count() <= broadcast_keys:
-        keepers = {xxhash.xxh3_128_digest(bytes(r.key)): r.keeper for r in found.select("key", "keeper").toLocalIterator()}
+        keepers = {bytes(r.key): r.keeper for r in found.select("key", "keeper").toLocalIterator()}
         shared = df.sparkSession.sparkContext.broadcast(keepers)
         return df.mapInArrow(_drop_here(shared, id_col, text_col, min_chars, df.columns), schema)
     return _drop_joined(df, found, id_col, text_col, min_chars)
 
 
+def _exploded(min_chars: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for row, doc, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), binary_column(batch, "text").to_pylist(), strict=True):
+                at = [(i, xxhash.xxh3_128_digest(k)) for i, k in enumerate(keys_of(text, min_chars)) if k is not None]
+                if at:
+                    yield pa.RecordBatch.from_arrays([pa.array([row] * len(at), pa.int64()), pa.array([doc] * len(at), pa.int64()), pa.array([i for i, _ in at], pa.int32()), pa.array([k for _, k in at], pa.binary())], names=["__ld_row", "doc", "at", "key"])
+
+    return run
+
+
 def _drop_joined(df: DataFrame, found: DataFrame, id_col: str, text_col: str, min_chars: int) -> DataFrame:
     """The way for many confirmed keys: lines and keys meet by a shuffle join, doomed line numbers return by row."""
-    from .common import materialise
-
     rows = materialise(df.withColumn("__ld_row", F.monotonically_increasing_id()), "line-rows")
-    lines = rows.where(F.col(id_col).isNotNull()).select("__ld_row", F.col(id_col).cast("long").alias("_doc"), F.posexplode(F.split(F.coalesce(text_col, F.lit("")), "\n")).alias("_at", "_line"))
-    key = F.regexp_replace(F.col("_line"), r"^[\x20\x09-\x0D]+|[\x20\x09-\x0D]+\z", "")
-    keyed = lines.where(F.length(key) >= min_chars).withColumn("key", F.encode(F.translate(key, "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"), "UTF-8"))
-    doomed = keyed.join(found.select("key", "keeper"), "key").where(F.col("_doc") != F.col("keeper")).groupBy("__ld_row").agg(F.collect_set("_at").alias("__ld_doomed"))
+    lines = rows.where(F.col(id_col).isNotNull()).select("__ld_row", F.col(id_col).cast("long").alias("doc"), F.col(text_col).alias("text"))
+    keyed = lines.mapInArrow(_exploded(min_chars), "__ld_row long, doc long, at int, key binary")
+    doomed = keyed.join(found.select("key", "keeper"), "key").where(F.col("doc") != F.col("keeper")).groupBy("__ld_row").agg(F.collect_set("at").alias("__ld_doomed"))
     split = F.split(F.coalesce(F.col(text_col), F.lit("")), "\n")
     kept = F.filter(split, lambda x, i: ~F.array_contains(F.coalesce(F.col("__ld_doomed"), F.array().cast("array<int>")), i))
     joined = rows.join(doomed, "__ld_row", "left").withColumns({"n_lines": F.size(split).cast("long"), "n_dropped": F.coalesce(F.size("__ld_doomed"), F.lit(0)).cast("long"), "kept_text": F.array_join(kept, "\n")})

@@ -115,6 +115,26 @@ def test_line_filters_miss_nothing():
     assert (np.flatnonzero(np.unpackbits(packed)) == at).all() and linededup._get_bits(packed, at).all()
 
 
+@pytest.mark.parametrize("shards", [1, 3, 500])
+def test_line_shards_agree(shards):
+    """Two slices that share two keys, and one with a key in two documents: all three are suspected, whatever the shards."""
+    import pyarrow as pa
+    import xxhash
+
+    digest = lambda i: xxhash.xxh3_128_digest(b"%d" % i)
+    slices_ = {1: [[1, 2, 3], [4, 5]], 2: [[2, 4, 6]], 3: [[7, 8], [8, 9]]}
+    flat = {s: b"".join(digest(i) for doc in docs for i in doc) for s, docs in slices_.items()}
+    batch = pa.RecordBatch.from_arrays([pa.array(list(flat)), pa.array(list(flat.values()), pa.binary())], names=["slice", "digests"])
+    parts = pa.Table.from_batches(linededup._filters(shards)(iter([batch]))).sort_by("shard").to_batches()
+    answers = pa.Table.from_batches(linededup._merge(iter(parts))).to_pylist()
+    got = set()
+    for s, docs in slices_.items():
+        mine = [a for a in answers if a["slice"] == s]
+        table = pa.Table.from_pylist([{"docs": np.arange(len(docs)).astype("<i8").tobytes(), "offsets": np.cumsum([0, *map(len, docs)]).astype("<i8").tobytes(), "digests": flat[s], "answers": mine}])
+        got |= {(s, k) for out in linededup._suspects(shards)(iter(table.to_batches())) for k in out.column(0).to_pylist()}
+    assert got == {(s, digest(i)) for s, i in ((1, 2), (2, 2), (1, 4), (2, 4), (3, 8))}
+
+
 # --- near duplicates -------------------------------------------------------------------------------------------------
 def brute_near(rows, percent):
     sets = {}
