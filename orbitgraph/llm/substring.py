@@ -5,8 +5,9 @@ travel together as one packed string of words to the minimiser's bucket: equal w
 meet there, where the unpacked windows are sorted by hash and compared word by word. A slice sends each bucket one
 compressed parcel of strings. It first drops windows that begin earlier in itself, so copies travel once a slice.
 Minimisers that hold more than a bounded number of windows, by a sample's count, are split: their windows travel one by
-one, to the bucket of the window's own hash. The sample steers only where windows meet; all windows of all rows are
-compared, and the result does not depend on it.
+one, to the bucket of the window's own hash. Windows that very many slices hold meet in two steps, first within groups
+of slices, whose first ones go on, so no bucket holds a string from every slice. The sample steers only where windows
+meet; all windows of all rows are compared, and the result does not depend on it.
 
 Edge cases: null or empty text has no words; texts shorter than a window lose nothing; order is (doc_id, start) with
 null ids first; rows that share doc_id and text get the same result, and windows that begin at the same (doc_id,
@@ -20,6 +21,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -32,10 +34,25 @@ BUCKET_BYTES = 1 << 20  # text of the input for each bucket, so about three time
 HOT_WINDOWS = 20_000  # a minimiser of more windows is split
 HOT_SHARE = 1 / 2_000  # or one of a larger share of all windows, whichever is less
 SAMPLE_OF = 16
+MOST_HOT = 200_000  # minimisers, and as many windows, that are split at most; they are broadcast
+HOT_COPIES = 2_000  # a window of more copies meets in two steps
+SALTS = 64  # groups of slices in the first of them
+BUCKETS_A_TASK = 16
 NULL_ID = -(1 << 63)
 CODEC = "zstd"
-PARCELS = "bucket long, parcel binary"
-COVERS = "doc long, row_key long, start int, stop int"
+PARCELS = "bucket long, salt int, parcel binary"
+FOUND = "doc long, row_key long, start int, stop int, bucket long, parcel binary"
+
+
+def told_apart(texts: list[bytes], hashes: np.ndarray) -> np.ndarray:
+    """Numbers that are equal where words are: the hashes, if there are as many as distinct words, else a count of the words."""
+    words: set[bytes] = set()
+    for text in texts:
+        words.update(text.split())
+    if len(words) == len(np.unique(hashes)):
+        return hashes
+    number = {w: i for i, w in enumerate(words)}
+    return np.fromiter((number[w] for text in texts for w in text.split()), np.uint64, len(hashes))
 
 
 def minimisers(hashes: np.ndarray, width: int) -> np.ndarray:
@@ -90,6 +107,8 @@ def _windows(n_words: np.ndarray, offsets: np.ndarray, width: int) -> tuple[np.n
 
 
 def _sample(width: int):
+    """(kind, hash, n): windows of each minimiser (kind 0), and copies of each window found twice in a slice (kind 1)."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             texts = binary_column(batch, "text")
@@ -98,18 +117,27 @@ def _sample(width: int):
                 if len(flat) < width:
                     continue
                 _, _, at = _windows(np.diff(offsets), offsets, width)
-                keys, counts = np.unique(minimisers(flat, width)[at].view(np.int64), return_counts=True)
-                yield pa.RecordBatch.from_arrays([pa.array(keys), pa.array(counts, pa.int64())], names=["bucket", "n"])
+                for kind, values in ((0, minimisers(flat, width)[at]), (1, rolling(flat, width)[at])):
+                    keys, counts = np.unique(values.view(np.int64), return_counts=True)
+                    keys, counts = (keys, counts) if kind == 0 else (keys[counts > 1], counts[counts > 1])
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(keys), kind, np.int32)), pa.array(keys), pa.array(counts, pa.int64())], names=["kind", "hash", "n"])
 
     return run
 
 
-def hot_minimisers(docs: DataFrame, width: int, total_words: int) -> np.ndarray:
-    """Minimisers of more than ``HOT_WINDOWS`` windows by a sample's count: at most total / ``HOT_WINDOWS`` of them."""
+def hot_keys(docs: DataFrame, width: int, total_words: int) -> tuple[np.ndarray, np.ndarray]:
+    """By a sample's count: minimisers of more than ``HOT_WINDOWS`` windows, and windows of over ``HOT_COPIES`` copies; of
+    each the commonest ``MOST_HOT`` at most."""
     sample = docs.where(F.pmod(F.xxhash64("doc", "row_key"), F.lit(SAMPLE_OF)) == 0).select("text")
-    counts = sample.mapInArrow(_sample(width), "bucket long, n long").groupBy("bucket").agg(F.sum("n").alias("n"))
+    counts = sample.mapInArrow(_sample(width), "kind int, hash long, n long").groupBy("kind", "hash").agg(F.sum("n").alias("n"))
     least = max(32, int(min(HOT_WINDOWS, total_words * HOT_SHARE) / SAMPLE_OF))
-    return np.array(sorted(r.bucket for r in counts.where(F.col("n") >= least).toLocalIterator()), np.int64)
+    # both lists are taken from one pass over the sample
+    hot = counts.where(F.col("n") >= F.when(F.col("kind") == 0, F.lit(least)).otherwise(F.lit(max(2, HOT_COPIES // SAMPLE_OF))))
+    found: tuple[list[int], list[int]] = ([], [])
+    for r in hot.orderBy(F.desc("n"), "hash").limit(2 * MOST_HOT).toLocalIterator():
+        if len(found[r.kind]) < MOST_HOT:
+            found[r.kind].append(r.hash)
+    return tuple(np.array(sorted(x), np.int64) for x in found)  # type: ignore[return-value]
 
 
 def pack_parcel(doc: np.ndarray, key: np.ndarray, start: np.ndarray, n: np.ndarray, words: list[bytes]) -> bytes:
@@ -140,45 +168,57 @@ def _strings(texts: list[bytes], row: np.ndarray, start: np.ndarray, length: np.
 
 
 def _pack(width: int, hot: object, buckets: int):
-    """Parcels of super-k-mers, and (bucket -1) of the spans that an earlier window of the slice covers."""
+    """Parcels of super-k-mers, and (bucket -1) of the spans that an earlier window of the slice covers. Hot windows have
+    buckets of their own from ``buckets`` on, and the salt of the slice."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known = hot.value
+        known, copied = hot.value
+        part, number = TaskContext.get().partitionId(), 0
         for batch in batches:
             docs = np.asarray(batch.column(0).to_numpy(zero_copy_only=False), np.int64)
             keys = np.asarray(batch.column(1).to_numpy(zero_copy_only=False), np.int64)
             texts = binary_column(batch, "text")
             for a, b in slices(pc.fill_null(pc.binary_length(texts), 0).to_pylist(), SLICE_BYTES):
                 by = a + np.argsort(docs[a:b], kind="stable")
-                part = [t or b"" for t in texts.take(pa.array(by)).to_pylist()]
-                flat, offsets = hashed_words(part)
+                part_texts = [t or b"" for t in texts.take(pa.array(by)).to_pylist()]
+                flat, offsets = hashed_words(part_texts)
                 row, start, at = _windows(np.diff(offsets), offsets, width)
                 if not len(row):
                     continue
                 ids, own = docs[by], keys[by]
                 whole = rolling(flat, width)[at]
-                again = repeated(whole, flat, at, row, ids, start, width)
-                out: list[tuple[int, bytes]] = [(-1, pack_parcel(*c, [])) for c in [_covers(row, ids, own, start, again, width)] if len(c[0])]
+                again = repeated(whole, told_apart(part_texts, flat), at, row, ids, start, width)
+                salt, number = (part * 31 + number) % SALTS, number + 1
+                out: list[tuple[int, int, bytes]] = [(-1, 0, pack_parcel(*c, [])) for c in [_covers(row, ids, own, start, again, width)] if len(c[0])]
                 least = minimisers(flat, width)[at].view(np.int64)
                 if len(known):
                     least = np.where(np.isin(least, known), whole.view(np.int64), least)
+                if len(copied):
+                    is_copied = np.isin(whole.view(np.int64), copied)
+                    least = np.where(is_copied, whole.view(np.int64), least)
                 live = np.flatnonzero(~again)
                 del at, flat, again
                 r, s, k = row[live], start[live], least[live]
                 new = np.ones(len(live), bool)
                 new[1:] = (r[1:] != r[:-1]) | (s[1:] != s[:-1] + 1) | (k[1:] != k[:-1])
+                if len(copied):  # such a window travels alone
+                    alone = is_copied[live]
+                    new[alone] = True
+                    new[1:][alone[:-1]] = True
                 heads = np.flatnonzero(new)
                 n = np.diff(np.append(heads, len(live)))
-                del whole, least, new
                 bucket = (mix(k[heads].view(np.uint64)) % np.uint64(buckets)).astype(np.int64)
+                if len(copied):
+                    bucket += np.where(alone[heads], buckets, 0)
+                del whole, least, new
                 order = np.argsort(bucket, kind="stable")
                 heads, n, bucket = heads[order], n[order], bucket[order]
-                strings = _strings(part, r[heads], s[heads], n + width - 1)
+                strings = _strings(part_texts, r[heads], s[heads], n + width - 1)
                 cuts = np.flatnonzero(np.append(True, bucket[1:] != bucket[:-1])).tolist() if len(bucket) else []
                 for lo, hi in zip(cuts, [*cuts[1:], len(bucket)], strict=True):
                     h = live[heads[lo:hi]]
-                    out.append((int(bucket[lo]), pack_parcel(ids[row[h]], own[row[h]], start[h], n[lo:hi], strings[lo:hi])))
-                yield pa.RecordBatch.from_arrays([pa.array([o[0] for o in out], pa.int64()), pa.array([o[1] for o in out], pa.binary())], names=["bucket", "parcel"])
+                    out.append((int(bucket[lo]), salt if bucket[lo] >= buckets else 0, pack_parcel(ids[row[h]], own[row[h]], start[h], n[lo:hi], strings[lo:hi])))
+                yield pa.RecordBatch.from_arrays([pa.array([o[0] for o in out], pa.int64()), pa.array([o[1] for o in out], pa.int32()), pa.array([o[2] for o in out], pa.binary())], names=["bucket", "salt", "parcel"])
 
     return run
 
@@ -195,55 +235,72 @@ def _covers(row: np.ndarray, ids: np.ndarray, keys: np.ndarray, start: np.ndarra
     return d[heads], k[heads], s[heads], s[last] + width - s[heads]
 
 
-def _spans_batch(doc: np.ndarray, key: np.ndarray, start: np.ndarray, n: np.ndarray) -> pa.RecordBatch:
-    return pa.RecordBatch.from_arrays([pa.array(doc), pa.array(key), pa.array(start.astype(np.int32)), pa.array((start + n).astype(np.int32))], names=["doc", "row_key", "start", "stop"])
+def _found(doc: np.ndarray, key: np.ndarray, start: np.ndarray, n: np.ndarray, bucket: int | None = None, parcel: bytes | None = None) -> pa.RecordBatch:
+    m = len(doc) if parcel is None else 1
+    arrays = [pa.array(doc), pa.array(key), pa.array(start.astype(np.int32)), pa.array((start + n).astype(np.int32))] if parcel is None else [pa.nulls(1, t) for t in (pa.int64(), pa.int64(), pa.int32(), pa.int32())]
+    return pa.RecordBatch.from_arrays([*arrays, pa.array([bucket] * m, pa.int64()), pa.array([parcel] * m, pa.binary())], names=["doc", "row_key", "start", "stop", "bucket", "parcel"])
+
+
+NONE = np.zeros(0, np.int64)
 
 
-def _compare(width: int):
-    """Sorted by bucket: unpacks one bucket at a time and emits the spans of its repeated windows."""
+def _compare(width: int, buckets: int, last: bool):
+    """Sorted by bucket and salt: unpacks one group at a time and emits the spans of its repeated windows; of hot buckets,
+    before the last step, also the first ones, packed again."""
 
-    def settle(parcels: list[bytes]) -> Iterator[pa.RecordBatch]:
+    def settle(bucket: int, parcels: list[bytes]) -> Iterator[pa.RecordBatch]:
         opened = [open_parcel(p) for p in parcels]
         doc, key, start, n = (np.concatenate([o[i] for o in opened]) for i in range(4))
         strings = [w for o in opened for w in o[4]]
         order = np.lexsort((start, doc))
         doc, key, start, n = doc[order], key[order], start[order], n[order]
-        flat, offsets = hashed_words([strings[i] for i in order.tolist()])
-        del strings, opened
+        strings = [strings[i] for i in order.tolist()]
+        flat, offsets = hashed_words(strings)
         row = np.repeat(np.arange(len(n), dtype=np.int32), n)
         step = np.arange(len(row)) - (np.cumsum(n) - n)[row]
-        at, start = offsets[row] + step, start[row] + step
-        del step
-        yield _spans_batch(*_covers(row, doc, key, start, repeated(rolling(flat, width)[at], flat, at, row, doc, start, width), width))
+        at, place = offsets[row] + step, start[row] + step
+        again = repeated(rolling(flat, width)[at], told_apart(strings, flat), at, row, doc, place, width)
+        if again.any():
+            yield _found(*_covers(row, doc, key, place, again, width))
+        if bucket >= buckets and not last:
+            first = row[~again]  # one window a row
+            yield _found(NONE, NONE, NONE, NONE, bucket, pack_parcel(doc[first], key[first], start[first], n[first], [strings[i] for i in first.tolist()]))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held, bucket = [], None
+        held, now = [], None
         for batch in batches:
-            for b, parcel in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+            for b, salt, parcel in zip(*(batch.column(i).to_pylist() for i in range(3)), strict=True):
                 if b < 0:
-                    yield _spans_batch(*open_parcel(parcel)[:4])
+                    yield _found(*open_parcel(parcel)[:4])
                     continue
-                if b != bucket and held:
-                    yield from settle(held)
+                if (b, salt) != now and held:
+                    yield from settle(now[0], held)
                     held = []
-                bucket = b
+                now = (b, salt)
                 held.append(parcel)
         if held:
-            yield from settle(held)
+            yield from settle(now[0], held)
 
     return run
 
 
 def repeated_spans(docs: DataFrame, width: int = 20) -> DataFrame:
     """docs: doc, row_key, text. One row for each (doc, row_key) with repeats: its word spans [start, stop)."""
+    spark = docs.sparkSession
     size = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     buckets = int(max(64, size // BUCKET_BYTES))
-    hot = docs.sparkSession.sparkContext.broadcast(hot_minimisers(docs, width, size // 6))
-    parcels = docs.select("doc", "row_key", "text").mapInArrow(_pack(width, hot, buckets), PARCELS)
+    tasks = max(int(spark.conf.get("spark.sql.shuffle.partitions")), buckets // BUCKETS_A_TASK)
+    hot = hot_keys(docs, width, size // 6)
+    parcels = docs.select("doc", "row_key", "text").mapInArrow(_pack(width, spark.sparkContext.broadcast(hot), buckets), PARCELS)
     # spans found inside a slice have no bucket to go to: any will do
-    dealt = parcels.withColumn("_to", F.when(F.col("bucket") < 0, -F.pmod(F.xxhash64("parcel"), F.lit(1 << 40)) - 1).otherwise(F.col("bucket")))
-    covers = dealt.repartition("_to").sortWithinPartitions("bucket").select("bucket", "parcel").mapInArrow(_compare(width), COVERS)
-    return covers.groupBy("doc", "row_key").agg(F.sort_array(F.collect_set(F.struct("start", "stop"))).alias("spans"))
+    dealt = parcels.withColumn("_to", F.when(F.col("bucket") < 0, -F.pmod(F.xxhash64("parcel"), F.lit(1 << 40)) - 1).otherwise(F.col("bucket") * SALTS + F.col("salt")))
+    step = lambda df, key, last: df.repartition(tasks, key).sortWithinPartitions("bucket", "salt").select("bucket", "salt", "parcel").mapInArrow(_compare(width, buckets, last), FOUND)
+    found = step(dealt, "_to", False)
+    if len(hot[1]):
+        found = materialise(found, "substring-found")
+        again = found.where(F.col("parcel").isNotNull()).select("bucket", F.lit(0).alias("salt"), "parcel")
+        found = found.where(F.col("parcel").isNull()).unionByName(step(again, "bucket", True))
+    return found.groupBy("doc", "row_key").agg(F.sort_array(F.collect_set(F.struct("start", "stop"))).alias("spans"))
 
 
 def _cut(fields: list[str], text_col: str):

@@ -215,9 +215,11 @@ def brute_repeats(rows, width=20):
     return out
 
 
-@pytest.mark.parametrize("hot", [20_000, 0])
-def test_substring(spark, hot, monkeypatch):
+@pytest.mark.parametrize(("hot", "copies"), [(20_000, 2_000), (0, 2_000), (20_000, 0), (0, 0)])
+def test_substring(spark, hot, copies, monkeypatch):
     monkeypatch.setattr(substring, "HOT_WINDOWS", hot)
+    monkeypatch.setattr(substring, "HOT_COPIES", copies)
+    monkeypatch.setattr(substring, "SAMPLE_OF", 1)
     rows = unique_rows()
     table = spark.createDataFrame(rows, "doc_id long, text string").repartition(4)
     got = {r.doc_id: (r.n_words, r.n_removed, r.kept_text) for r in substring.remove_repeats(table).collect()}
@@ -229,6 +231,15 @@ def test_substring_rows_of_one_id_are_alike(docs):
     assert len(got) == 2 and got[0].kept_text == got[1].kept_text
 
 
+def test_words_are_told_apart_where_hashes_are_not():
+    texts = [b"one two one", b"three two"]
+    clash = np.array([5, 5, 5, 7, 5], np.uint64)
+    got = substring.told_apart(texts, clash)
+    assert got[0] == got[2] and got[1] == got[4] and len(set(got.tolist())) == 3
+    fine = np.array([1, 2, 1, 3, 2], np.uint64)
+    assert substring.told_apart(texts, fine) is fine
+
+
 def test_repeated_tells_clashing_hashes_apart():
     words = np.array([1, 2, 3, 4, 1, 2, 3, 4], np.uint64)
     at, row, start = np.array([0, 2, 4, 6]), np.array([0, 0, 0, 0]), np.array([0, 2, 4, 6])
