@@ -27,7 +27,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import binary_column, hashed_words, materialise, mix, rolling, slices
+from .common import binary_column, broadcast_if_few, hashed_words, materialise, mix, rolling, slices
 from .components import components
 
 REGISTERS, BAND = 80, 4
@@ -220,6 +220,20 @@ def _full_sets(width: int):
     return run
 
 
+def _unnamed_sets(width: int):
+    """digest, set of rows without an id: their classes are found by the digest alone."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            texts = binary_column(batch, "text")
+            for a, b in slices(pc.fill_null(pc.binary_length(texts), 0).to_pylist(), SLICE_BYTES):
+                hashes, offsets = shingle_sets([t or b"" for t in texts.slice(a, b - a).to_pylist()], width)
+                sets = [hashes[offsets[i] : offsets[i + 1]].tobytes() for i in range(b - a)]
+                yield pa.RecordBatch.from_arrays([pa.array([xxhash.xxh3_128_digest(s) for s in sets], pa.binary()), pa.array(sets, pa.binary())], names=["digest", "shingles"])
+
+    return run
+
+
 def _confirmed(percent: int):
     """Spanning links of the pairs with 100 * intersection >= percent * union, by exact counts over shared shingles."""
 
@@ -282,10 +296,14 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     comps = candidates.groupBy("label").agg(F.count(F.lit(1)).alias("size"))
     chosen = candidates.join(comps, "label").select(F.col("v").alias("rep"), F.col("label").alias("comp"), "size")
     chosen = materialise(chosen.join(classes.select("rep", "digest"), "rep"), "chosen")
-    few = F.broadcast if chosen.count() <= BROADCAST_CLASSES else (lambda df: df)
-    with_text = texts.where(F.col("doc_id").isNotNull()).join(few(chosen), F.col("doc_id") == F.col("rep"))
+    named_rows = broadcast_if_few(chosen.where(F.col("rep") < NO_ID), BROADCAST_CLASSES)
+    with_text = texts.where(F.col("doc_id").isNotNull()).join(named_rows, F.col("doc_id") == F.col("rep"))
     sets = with_text.select("rep", "comp", "size", "digest", "text")
     sets = sets.mapInArrow(_full_sets(width), "rep long, comp long, size long, shingles binary")
+    unnamed = chosen.where(F.col("rep") >= NO_ID)
+    if unnamed.limit(1).count():
+        found = texts.where(F.col("doc_id").isNull()).select("text").mapInArrow(_unnamed_sets(width), "digest binary, shingles binary")
+        sets = sets.unionByName(found.join(broadcast_if_few(unnamed, BROADCAST_CLASSES), "digest").groupBy("rep", "comp", "size").agg(F.first("shingles").alias("shingles")))
     tasks = in_blocks(sets, "comp", "size", "rep").select("rep", "shingles", "task").repartition("task").sortWithinPartitions("task", "rep")
     links = tasks.mapInArrow(_confirmed(percent), "a long, b long")
     joined = components(links)

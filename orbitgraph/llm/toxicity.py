@@ -3,11 +3,13 @@
 Voters look for words of fixed lexicons, for shouting patterns, and for word shapes (words and word beginnings) mined
 from labelled rows of the learning folds. All documents are voted on; the counts of vote patterns (at most 2 to the
 number of voters) feed a latent-class model that estimates how often each voter fires on toxic and on clean texts and
-which voters are correlated, whose shared evidence is then divided. Its posteriors are the labels of a linear
-classifier, which scores the documents.
+which voters are correlated within a class, whose shared evidence is divided, anew in every round. Its posteriors are
+the labels of a linear classifier, which scores the documents; it learns from labelled rows and from rows without a
+label alike, as the posterior needs none.
 
-Mining and the classifier use at most ``max_labelled`` labelled rows, chosen by a hash of their id; votes, pattern
-counts and scores cover every document. Labels, language, source and id are no inputs of a score.
+Mining uses at most ``max_labelled`` labelled rows, chosen by a hash of their id, the classifier these and at most
+``max_unlabelled`` others, chosen by a hash of the row; votes, pattern counts and scores cover every document.
+Labels, language, source and id are no inputs of a score.
 
 Edge cases: null or empty texts get the score of a text without any feature; null ids are scored too, never learned
 from; several labels of one id count as the largest; without labels the fixed voters alone decide; repeated rows get
@@ -28,6 +30,7 @@ from pyspark.sql import functions as F
 from .common import binary_column
 
 MAX_LABELLED = 20_000
+MAX_UNLABELLED = 10_000
 MAX_UNITS = 512
 MINED_VOTERS = 14
 PREFIXES = (3, 4, 5, 6, 7, 8)
@@ -106,10 +109,20 @@ class Voters:
         return bits, found
 
 
+def least_hashed(rows: DataFrame, n: int, most: int) -> DataFrame:
+    """At most ``most`` of ``n`` rows, those of the least hash ``_h``. A cut well above that leaves few rows to be put in
+    order, however many there are."""
+    share = 1.5 * most / max(n, 1)
+    if share < 1:
+        rows = rows.where(F.pmod("_h", F.lit(1 << 52)) < F.lit(int(share * (1 << 52))))
+    return rows.orderBy(F.pmod("_h", F.lit(1 << 52)), "_h", *(c for c in ("_id", "doc_id") if c in rows.columns)).limit(most)
+
+
 def labelled_sample(docs: DataFrame, labels: DataFrame, learn, id_col: str, text_col: str, label_col: str, max_labelled: int) -> DataFrame:
     """(text, y) of at most ``max_labelled`` labelled learning rows; the sampled labels are few enough to broadcast."""
     known = labels.where(F.col(label_col).isNotNull()).groupBy(F.col(id_col).cast("long").alias("_id")).agg(F.max(label_col).cast("int").alias("y"))
-    picked = known.where(learn(F.col("_id"))).orderBy(F.xxhash64("_id"), "_id").limit(max_labelled)
+    known = known.where(learn(F.col("_id"))).withColumn("_h", F.xxhash64("_id"))
+    picked = least_hashed(known, known.count(), max_labelled).drop("_h")
     rows = docs.select(F.col(id_col).cast("long").alias("_id"), F.col(text_col).alias("text"))
     return rows.join(F.broadcast(picked), "_id").select("text", "y")
 
@@ -172,8 +185,8 @@ class LabelModel:
             self.prior = float(np.clip(w1.sum() / max(w1.sum() + w0.sum(), 1), 1e-4, 0.5))
             for c, w in ((0, w0), (1, w1)):
                 self.fire[c] = np.clip((w @ self._with_none(votes) + 0.1) / (w.sum() + 1.0), 1e-5, 1 - 1e-5)
-            if step == rounds // 2:
-                self.share = np.append(self._shares(votes, w0, w1), 1.0)
+            if step >= rounds // 4:  # once the classes have parted; halfway to the new value, so that rounds settle
+                self.share = (self.share + np.append(self._shares(votes, w0, w1), 1.0)) / 2
         return self
 
     @staticmethod
@@ -267,7 +280,7 @@ def fit_linear(x: np.ndarray, target: np.ndarray, ridge: float = 0.05, rounds: i
     return w
 
 
-def toxicity(docs: DataFrame, labels: DataFrame, learn, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", max_labelled: int = MAX_LABELLED) -> DataFrame:
+def toxicity(docs: DataFrame, labels: DataFrame, learn, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", max_labelled: int = MAX_LABELLED, max_unlabelled: int = MAX_UNLABELLED) -> DataFrame:
     """doc_id and score (0 to 1) of every row; ``learn`` says by id whether a row's label may be learned from."""
     context = docs.sparkSession.sparkContext
     sample = labelled_sample(docs, labels, learn, id_col, text_col, label_col, max_labelled)
@@ -289,7 +302,10 @@ def toxicity(docs: DataFrame, labels: DataFrame, learn, id_col: str = "doc_id",
         if r.votes in place:
             held[place[r.votes], 1 if r.y else 0] += 1
     model = LabelModel(n).fit(bits(patterns, n), np.array([everything.get(int(v), 0) for v in patterns], float), held)
-    # the classifier learns from the posteriors of the sampled rows, or of the patterns where no row is labelled
+    # the classifier learns from the posteriors of the sampled rows
+    others = least_hashed(texts.withColumn("_h", F.xxhash64("doc_id", "text")), sum(everything.values()), max_unlabelled)
+    others = others.select("text", F.lit(None).cast("int").alias("y"))
+    learned = learned + _features(others, shared).collect()
     votes = np.array([r.votes for r in learned] or list(patterns), np.int64)
     x = np.zeros((len(votes), n + len(units)), np.float64)
     x[:, :n] = bits(votes, n)

@@ -200,6 +200,24 @@ def test_components_of_a_chain(spark):
     assert all(got[i] == 0 for i in range(41)) and got[101] == 100 and len(got) == 43
 
 
+def test_near_rows_without_an_id_are_linked(spark):
+    words = [f"w{k}" for k in range(200)]
+    near, other = words[:-1] + ["changed"], [f"v{k}" for k in range(100)]
+    rows = [(5, " ".join(words)), (None, " ".join(near)), (None, " ".join(other)), (None, " ".join(other[:-1]) + " z"), (9, " ".join(near[:-1]) + " again")]
+    found = neardup.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    unnamed = {r.n_shingles: r.component_id for r in found if r.doc_id is None}
+    assert unnamed == {196: 5, 96: None}
+    assert sorted((r.doc_id, r.component_id, r.kept) for r in found if r.doc_id) == [(5, 5, True), (9, 5, False)]
+
+
+@pytest.mark.parametrize("few", [300_000, 0])
+def test_near_both_joins_agree(spark, monkeypatch, few):
+    monkeypatch.setattr(neardup, "BROADCAST_CLASSES", few)
+    rows = unique_rows()
+    got = {r.doc_id: (r.n_shingles, r.component_id) for r in neardup.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == brute_near(rows, 85)
+
+
 # --- substring -------------------------------------------------------------------------------------------------------
 def brute_repeats(rows, width=20):
     seen, out = set(), {}
