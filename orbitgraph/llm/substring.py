@@ -45,11 +45,11 @@ FOUND = "doc long, row_key long, start int, stop int, bucket long, parcel binary
 
 
 def told_apart(texts: list[bytes], hashes: np.ndarray) -> np.ndarray:
-    """Numbers that are equal where words are: the hashes, if there are as many as distinct words, else a count of the words."""
+    """Numbers that are equal where words are: the hashes, if all distinct words differ in theirs, else a count of the words."""
     words: set[bytes] = set()
     for text in texts:
         words.update(text.split())
-    if len(words) == len(np.unique(hashes)):
+    if len(words) == len(np.unique(hashed_words([b" ".join(words)])[0])):
         return hashes
     number = {w: i for i, w in enumerate(words)}
     return np.fromiter((number[w] for text in texts for w in text.split()), np.uint64, len(hashes))
@@ -288,8 +288,9 @@ def repeated_spans(docs: DataFrame, width: int = 20) -> DataFrame:
     """docs: doc, row_key, text. One row for each (doc, row_key) with repeats: its word spans [start, stop)."""
     spark = docs.sparkSession
     size = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    buckets = int(max(64, size // BUCKET_BYTES))
-    tasks = max(int(spark.conf.get("spark.sql.shuffle.partitions")), buckets // BUCKETS_A_TASK)
+    partitions = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    buckets = int(max(64, 2 * partitions, size // BUCKET_BYTES))
+    tasks = max(partitions, buckets // BUCKETS_A_TASK)
     hot = hot_keys(docs, width, size // 6)
     parcels = docs.select("doc", "row_key", "text").mapInArrow(_pack(width, spark.sparkContext.broadcast(hot), buckets), PARCELS)
     # spans found inside a slice have no bucket to go to: any will do
