@@ -19,7 +19,7 @@ def with_ranks(edges: DataFrame, ranks: DataFrame) -> DataFrame:
     return edges.join(one, "src").join(two, "dst")
 
 
-def place_edges(edges: DataFrame, ranks: DataFrame, owner: str = "destination", parts: int | None = None) -> DataFrame:
+def place_edges(edges: DataFrame, ranks: DataFrame, owner: str = "destination", parts: int | None = None, n_atoms: int | None = None) -> DataFrame:
     """Edges with the rank that holds each. owner: destination, source, or the free placements sequential and random,
     which split the edges evenly whatever their ends."""
     both = with_ranks(edges, ranks)
@@ -30,8 +30,9 @@ def place_edges(edges: DataFrame, ranks: DataFrame, owner: str = "destination",
     key = F.col("src") * 1_000_003 + F.col("dst") + (F.col("sx") + 8) * 64 + (F.col("sy") + 8) * 8 + F.col("sz") if "sx" in edges.columns else F.col("src") * 1_000_003 + F.col("dst")
     if owner == "random":
         return both.withColumn("rank", ((key * 48_271 + 12_345) % 2_147_483_647 % parts).cast("int"))
-    # sequential: contiguous runs of sources, as a split of the edge list would give
-    return both.withColumn("rank", (F.col("src") % parts).cast("int"))
+    # sequential: contiguous runs of (dense) sources, as a split of an edge list in their order would give
+    n = n_atoms or ranks.count()
+    return both.withColumn("rank", F.least(F.floor(F.col("src") * parts / F.lit(n)), F.lit(parts - 1)).cast("int"))
 
 
 def plan(edges: DataFrame, ranks: DataFrame) -> DataFrame:

@@ -109,14 +109,41 @@ def alpha_beta(
     over a throughput that saturates (nine tenths of ``theta`` at 1e5 messages with the default ``half``).
 
     alpha, pack, unpack and theta are free parameters; beta is the published bandwidth."""
-    costs = pack_cost(edges, ranks, plan, parts)
+    c = phase_costs(edges, ranks, plan, parts, alpha, beta, pack, unpack, theta, half, row_bytes)
+    comm = F.col("t_pack") + F.col("t_send") + F.col("t_unpack")
+    return c.select("rank", "messages", "received", "neighbours", F.round(comm, 9).alias("t_comm"), F.round("t_compute", 9).alias("t_compute"), F.round(comm + F.col("t_compute"), 9).alias("t_total"))
+
+
+def phase_costs(
+    edges: DataFrame, ranks: DataFrame, plan: DataFrame, parts: int, alpha: float = 2e-5, beta: float = 20.4e9, pack: float = 2e-9, unpack: float = 1e-9, theta: float = 2e7, half: float = 11_111.0, row_bytes: int = 1600
+) -> DataFrame:
+    """Modelled seconds of each rank by phase: packing, sending and receiving, unpacking, computing.
+
+    Counts of each rank in two aggregates: one over the plan, one over the edges with the ranks of both ends."""
+    both = with_ranks(edges, ranks)
+    held = both.groupBy(F.col("dst_rank").alias("rank")).agg(F.count(F.lit(1)).alias("messages"), F.sum((F.col("src_rank") != F.col("dst_rank")).cast("long")).alias("unpack_edges"))
+    got = plan.groupBy(F.col("to_rank").alias("rank")).agg(F.count(F.lit(1)).alias("received"), F.countDistinct("from_rank").alias("neighbours"))
+    gave = plan.groupBy(F.col("from_rank").alias("rank")).agg(F.count(F.lit(1)).alias("pack_rows"))
+    all_ = _all_ranks(plan, parts).join(held, "rank", "left").join(got, "rank", "left").join(gave, "rank", "left").na.fill(0)
+    return all_.select(
+        "rank", "messages", "received", "neighbours",
+        (F.col("pack_rows") * F.lit(pack * row_bytes)).alias("t_pack"),
+        (F.col("neighbours") * F.lit(alpha) + F.col("received") * F.lit(float(row_bytes)) / F.lit(beta)).alias("t_send"),
+        (F.col("unpack_edges") * F.lit(unpack * row_bytes)).alias("t_unpack"),
+        ((F.col("messages") + F.lit(half)) / F.lit(theta)).alias("t_compute"),
+    )
+
+
+def rank_memory(edges: DataFrame, ranks: DataFrame, plan: DataFrame, parts: int, l_max: int = 4, channels: int = 16, dtype_bytes: int = 4, max_messages: int = 100_000) -> DataFrame:
+    """Modelled bytes of each rank: own rows, received rows, edge rows, and the messages of one chunk."""
+    row = embedding_bytes(l_max, channels, dtype_bytes)
+    own = ranks.groupBy("rank").agg(F.count(F.lit(1)).alias("n"))
+    held = edges.select("dst").join(ranks.select(F.col("atom_id").alias("dst"), "rank"), "dst").groupBy("rank").agg(F.count(F.lit(1)).alias("k"))
     got = volume(plan, parts).select("rank", "received")
-    froms = neighbours(plan, parts).select("rank", "receives_from")
-    messages = edges.join(ranks.select(F.col("atom_id").alias("dst"), "rank"), "dst").groupBy("rank").agg(F.count(F.lit(1)).alias("messages"))
-    all_ = costs.join(got, "rank").join(froms, "rank").join(messages, "rank", "left").na.fill(0)
-    comm = F.col("receives_from") * F.lit(alpha) + F.col("received") * F.lit(float(row_bytes)) / F.lit(beta) + F.col("pack_rows") * F.lit(pack * row_bytes) + F.col("unpack_edges") * F.lit(unpack * row_bytes)
-    compute = (F.col("messages") + F.lit(half)) / F.lit(theta)
-    return all_.select("rank", "messages", "received", F.col("receives_from").alias("neighbours"), F.round(comm, 9).alias("t_comm"), F.round(compute, 9).alias("t_compute"), F.round(comm + compute, 9).alias("t_total"))
+    all_ = got.join(own, "rank", "left").join(held, "rank", "left").na.fill(0)
+    chunk = F.least(F.col("k"), F.lit(max_messages))
+    parts_ = {"nodes": F.col("n") * row, "halo": F.col("received") * row, "edges": F.col("k") * row, "messages": chunk * (3 * row)}
+    return all_.select("rank", *(c.alias(k) for k, c in parts_.items()), sum(parts_.values(), F.lit(0)).alias("total"))
 
 
 def memory_model(n_atoms: int, n_edges: int, l_max: int, channels: int, dtype_bytes: int = 4) -> dict[str, int]:

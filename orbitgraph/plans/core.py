@@ -181,6 +181,14 @@ def _(spark, d):
     return placed.groupBy("rank").agg(F.count(F.lit(1)).alias("n_edges"), away("src").alias("remote_sources"), away("dst").alias("remote_destinations"))
 
 
+@query("free_edges_sequential", ranks_sql() + PLAN_SQL + " SELECT rank, count(*) AS n_edges, count(DISTINCT CASE WHEN src_rank <> rank THEN src END) AS remote_sources, count(DISTINCT CASE WHEN dst_rank <> rank THEN dst END) AS remote_destinations FROM (SELECT b.*, CAST(least(floor(src*8/n), 7) AS INT) AS rank FROM both_ends b, cell) GROUP BY rank")
+def _(spark, d):
+    e, _, _, n, ranks, _ = oxide_ranks(spark, d)
+    placed = exchange.place_edges(e, ranks, "sequential", PARTS, n)
+    away = lambda end: F.countDistinct(F.when(F.col(f"{end}_rank") != F.col("rank"), F.col(end)))
+    return placed.groupBy("rank").agg(F.count(F.lit(1)).alias("n_edges"), away("src").alias("remote_sources"), away("dst").alias("remote_destinations"))
+
+
 @query("exchange_plan", ranks_sql() + PLAN_SQL + " SELECT from_rank, to_rank, atom_id, slot FROM plan")
 def _(spark, d):
     e, _, _, _, ranks, _ = oxide_ranks(spark, d)

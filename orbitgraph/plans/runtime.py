@@ -165,7 +165,7 @@ def _(spark, d):
     return read(spark, d, "pages").groupBy(F.regexp_extract("url", "^[a-z]+://([^/?#]+)", 1).alias("host")).agg(F.count(F.lit(1)).alias("n"))
 
 
-# --- scaling -------------------------------------------------------------------------------------------------------
+# --- formulas of scaling, on recorded events as telemetry; modelled workloads are in workloads.py -------------------------------------------------------------------------------------------------------
 TIMES = "(SELECT CASE WHEN user_id % 2 = 0 THEN 'few_neighbour' ELSE 'min_cut' END AS scheme, CAST(CASE user_id % 3 WHEN 0 THEN 32 WHEN 1 THEN 64 ELSE 128 END AS INT) AS parts, median(value) AS t FROM events GROUP BY ALL)"
 
 
@@ -176,18 +176,18 @@ def times(spark, d):
     return e.groupBy(scheme.alias("scheme"), parts.alias("parts")).agg(F.median("value").alias("t"))
 
 
-@query("strong_scaling", f"""SELECT scheme, parts, round(t, 9) AS t, round(base/t, 6) AS speedup, round(parts/32, 6) AS ideal, round(base/t*32/parts, 6) AS efficiency, round(worst/t-1, 6) AS gain_over_worst FROM (
+@query("telemetry_strong", f"""SELECT scheme, parts, round(t, 9) AS t, round(base/t, 6) AS speedup, round(parts/32, 6) AS ideal, round(base/t*32/parts, 6) AS efficiency, round(worst/t-1, 6) AS gain_over_worst FROM (
  SELECT *, min(CASE WHEN parts = 32 THEN t END) OVER () AS base, max(t) OVER (PARTITION BY parts) AS worst FROM {TIMES})""")
 def _(spark, d):
     return telemetry.strong(times(spark, d), 32)
 
 
-@query("weak_scaling", f"SELECT scheme, parts, round(t, 9) AS t, round(f/t, 6) AS efficiency, round(1-f/t, 6) AS loss FROM (SELECT *, first_value(t) OVER (PARTITION BY scheme ORDER BY parts) AS f FROM {TIMES})")
+@query("telemetry_weak", f"SELECT scheme, parts, round(t, 9) AS t, round(f/t, 6) AS efficiency, round(1-f/t, 6) AS loss FROM (SELECT *, first_value(t) OVER (PARTITION BY scheme ORDER BY parts) AS f FROM {TIMES})")
 def _(spark, d):
     return telemetry.weak(times(spark, d))
 
 
-@query("knee", """WITH s AS (SELECT CAST(16*(1 + user_id % 3) AS INT) AS channels, CAST(pow(10, 2 + event_id % 4) AS BIGINT) AS n, (50 + pow(10, 2 + event_id % 4)/1000) * (1 + value/1e6) AS seconds FROM events),
+@query("telemetry_knee", """WITH s AS (SELECT CAST(16*(1 + user_id % 3) AS INT) AS channels, CAST(pow(10, 2 + event_id % 4) AS BIGINT) AS n, (50 + pow(10, 2 + event_id % 4)/1000) * (1 + value/1e6) AS seconds FROM events),
 r AS (SELECT channels, n, n/quantile_cont(seconds, 0.5) AS rate FROM s GROUP BY channels, n), b AS (SELECT *, max(rate) OVER (PARTITION BY channels) AS best FROM r)
 SELECT channels, min(n) AS knee, round(max(best), 6) AS best_rate FROM b WHERE rate >= best*0.9 GROUP BY channels""")
 def _(spark, d):
@@ -196,7 +196,7 @@ def _(spark, d):
     return telemetry.knee(rows)
 
 
-@query("bandwidth", "SELECT round(sum(value*1e6)/max(value)/1e9, 6) AS gb_per_s, round(sum(value*1e6)/max(value)/1e9/48.6, 6) AS share_of_peak FROM events")
+@query("telemetry_bandwidth", "SELECT round(sum(value*1e6)/max(value)/1e9, 6) AS gb_per_s, round(sum(value*1e6)/max(value)/1e9/48.6, 6) AS share_of_peak FROM events")
 def _(spark, d):
     return read(spark, d, "events").agg(*telemetry.bandwidth(F.col("value") * 1e6, F.col("value"), 48.6))
 

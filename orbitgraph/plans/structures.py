@@ -69,7 +69,7 @@ def with_edges_sql(name: str, r_cut: float, skew_x: bool = False, images: int =
     return "WITH " + atoms_sql(name, skew_x) + edges_sql(name, r_cut, skew_x, images)
 
 
-def bisection_sql(depth: int, reach: float, opening: str = "ring", tie: str = "index", weight: str = "degree") -> str:
+def bisection_sql(depth: int, reach: float, opening: str = "ring", tie: str = "index", weight: str = "degree", sides: tuple[str, str, str] = ("l", "l", "l")) -> str:
     """CTEs ending in ``ranks`` (atom_id, rank), the few-neighbour bisection unrolled level by level, after ``edges``."""
     w = "coalesce(n_in, 0)" if weight == "degree" else "1"
     out = f""",
@@ -79,7 +79,7 @@ raw0 AS (SELECT atom_id, x, y, z, {w} AS w FROM atoms LEFT JOIN deg USING (atom_
         for a in "xyz":
             out += f""",
 open_{a} AS (SELECT {a} AS o FROM (SELECT {a}, atom_id, sum(w) OVER (ORDER BY {a}, atom_id ROWS UNBOUNDED PRECEDING) - w AS before, sum(w) OVER () AS total FROM raw0) WHERE before*2 < total ORDER BY {a} DESC, atom_id DESC LIMIT 1)"""
-        moved = ", ".join(f"CASE WHEN {a} > open_{a}.o THEN {a} - open_{a}.o ELSE {a} - open_{a}.o + l END AS {a}" for a in "xyz")
+        moved = ", ".join(f"CASE WHEN {a} > open_{a}.o THEN {a} - open_{a}.o ELSE {a} - open_{a}.o + {side} END AS {a}" for a, side in zip("xyz", sides, strict=True))
         out += f""",
 lev0 AS (SELECT atom_id, w, {moved}, 0 AS code, 1 AS cx, 1 AS cy, 1 AS cz FROM raw0, cell, open_x, open_y, open_z)"""
     else:
@@ -108,3 +108,13 @@ PLAN_SQL = """,
 both_ends AS (SELECT e.*, a.rank AS src_rank, b.rank AS dst_rank FROM edges e JOIN ranks a ON a.atom_id = e.src JOIN ranks b ON b.atom_id = e.dst),
 plan AS (SELECT *, CAST(row_number() OVER (PARTITION BY from_rank, to_rank ORDER BY atom_id) - 1 AS INT) AS slot FROM (SELECT DISTINCT src_rank AS from_rank, dst_rank AS to_rank, src AS atom_id FROM both_ends WHERE src_rank <> dst_rank)),
 all_ranks AS (SELECT CAST(unnest(range(8)) AS INT) AS rank)"""
+
+
+def tiled_sql(name: str, r_cut: float, nx: int, ny: int, nz: int) -> str:
+    """CTEs ``cell``, ``atoms`` and ``edges`` of a tiled structure, from those of its cell."""
+    base = with_edges_sql(name, r_cut).replace("atoms AS (", "cell_atoms AS (").replace("atoms i, atoms j", "cell_atoms i, cell_atoms j").replace("edges AS (", "cell_edges AS (")
+    home = lambda i, s, n: f"((({i}+{s})%{n}+{n})%{n})"
+    return base + f""",
+tl AS (SELECT t//{ny * nz} AS ix, t//{nz}%{ny} AS iy, t%{nz} AS iz, t FROM (SELECT unnest(range({nx * ny * nz})) AS t)),
+atoms AS (SELECT atom_id + t*n AS atom_id, species, x + ix*l AS x, y + iy*l AS y, z + iz*l AS z FROM cell_atoms, cell, tl),
+edges AS (SELECT src + t*n AS src, dst + (({home("ix", "sx", nx)}*{ny} + {home("iy", "sy", ny)})*{nz} + {home("iz", "sz", nz)})*n AS dst, r FROM cell_edges, cell, tl)"""
