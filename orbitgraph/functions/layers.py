@@ -36,8 +36,8 @@ def stored(x: np.ndarray, precision: str) -> np.ndarray:
     return x.astype(kind).astype(np.float64)
 
 
-def block_params(shape: Shape, seed: int) -> dict[str, np.ndarray]:
-    """Parameters of one block: two SO(2) maps, a gate, an attention row."""
+def block_params(shape: Shape, seed: int, feed_forward_: bool = False) -> dict[str, np.ndarray]:
+    """Parameters of one block: two SO(2) maps, a gate, an attention row, and the maps of the feed-forward part if asked."""
     rng = np.random.default_rng(seed)
     c, out = shape.channels, {}
     for name, c_in in (("first", 3 * c), ("second", c)):
@@ -47,6 +47,8 @@ def block_params(shape: Shape, seed: int) -> dict[str, np.ndarray]:
                 out[f"{name}.{m}{part}"] = rng.normal(size=(n * c_in, n * c)) / np.sqrt(n * c_in * (2 if m else 1))
     out["gate"] = rng.normal(size=(c, shape.l_max * c)) / np.sqrt(c)
     out["attention"] = rng.normal(size=c) / np.sqrt(c)
+    if feed_forward_:
+        out |= {"ff.in": rng.normal(size=(shape.l_max + 1, c, c)) / np.sqrt(c), "ff.gate": rng.normal(size=(c, shape.l_max * c)) / np.sqrt(c), "ff.out": rng.normal(size=(shape.l_max + 1, c, c)) / np.sqrt(c)}
     return out
 
 
@@ -126,21 +128,49 @@ def segment_softmax(score: np.ndarray, segment: np.ndarray, n: int) -> np.ndarra
 
 
 def node_update(nodes: np.ndarray, edge: np.ndarray, src: np.ndarray, dst: np.ndarray, vectors: np.ndarray, own: np.ndarray, p: dict[str, np.ndarray], shape: Shape) -> np.ndarray:
-    """Updated rows of ``own`` nodes: attention over their incoming edges, weighted sum, residual.
+    """Updated rows of ``own`` nodes: attention over their incoming edges, weighted sum, residual, feed-forward.
 
-    nodes: local and received rows; src and dst point into them; every edge of an own destination is here."""
+    nodes: local and received rows; src and dst point into them; every edge of an own destination is here. Messages are
+    made, weighed and added up a chunk at a time: a destination keeps its largest score so far, and what it has added up is
+    scaled down when a larger one comes, so only ``max_messages`` messages exist at once."""
     normed = equi_norm(nodes, shape)
-    messages = np.zeros((len(src), shape.rows, shape.channels))
+    top, mass, total = np.full(len(nodes), -np.inf), np.zeros(len(nodes)), np.zeros_like(nodes)
     for c in chunks(len(src), shape.max_messages):
-        messages[c] = transform(normed[src[c]], normed[dst[c]], edge[c], vectors[c], p, shape)
+        messages = transform(normed[src[c]], normed[dst[c]], edge[c], vectors[c], p, shape)
+        s = scores(messages, p)
+        here, segment = np.unique(dst[c], return_inverse=True)
+        high = np.full(len(here), -np.inf)
+        np.maximum.at(high, segment, s)
+        high = np.maximum(high, top[here])
+        fade, e = np.exp(top[here] - high), np.exp(s - high[segment])
+        order = np.argsort(segment, kind="stable")
+        sums = np.add.reduceat(messages[order] * e[order][:, None, None], np.searchsorted(segment[order], np.arange(len(here))), axis=0)
+        total[here] = total[here] * fade[:, None, None] + sums
+        mass[here] = mass[here] * fade + np.bincount(segment, weights=e, minlength=len(here))
+        top[here] = high
+    out = nodes[own] + total[own] / np.where(mass[own] > 0, mass[own], 1.0)[:, None, None]
+    return stored(out + feed_forward(out, p, shape), shape.precision)
+
+
+def scores(messages: np.ndarray, p: dict[str, np.ndarray]) -> np.ndarray:
     s = messages[:, 0] @ p["attention"]
-    weight = segment_softmax(np.where(s > 0, s, 0.2 * s), dst, len(nodes))
-    order = np.argsort(dst, kind="stable")
-    total = np.zeros_like(nodes)
-    if len(order):
-        heads = np.flatnonzero(np.append(True, dst[order][1:] != dst[order][:-1]))
-        total[dst[order][heads]] = np.add.reduceat(messages[order] * weight[order][:, None, None], heads, axis=0)
-    return stored(nodes[own] + total[own], shape.precision)
+    return np.where(s > 0, s, 0.2 * s)
+
+
+def per_degree(x: np.ndarray, w: np.ndarray, shape: Shape) -> np.ndarray:
+    """Channels mixed by one matrix for each l (l_max + 1, c, c): the rows of an l keep their turn."""
+    out = np.empty((len(x), shape.rows, w.shape[2]))
+    for l in range(shape.l_max + 1):  # noqa: E741
+        out[:, l * l : (l + 1) ** 2] = x[:, l * l : (l + 1) ** 2] @ w[l]
+    return out
+
+
+def feed_forward(x: np.ndarray, p: dict[str, np.ndarray], shape: Shape) -> np.ndarray:
+    """Norm, a linear map for each l, gate, and another; nothing for parameters without these maps."""
+    if "ff.in" not in p:
+        return np.zeros_like(x)
+    h = per_degree(equi_norm(x, shape), p["ff.in"], shape)
+    return per_degree(gate(h, p["ff.gate"], shape), p["ff.out"], shape)
 
 
 def edge_update(nodes: np.ndarray, edge: np.ndarray, src: np.ndarray, dst: np.ndarray, vectors: np.ndarray, p: dict[str, np.ndarray], shape: Shape) -> np.ndarray:

@@ -1,10 +1,12 @@
-"""Reverse pass of the node block, by recomputing what the forward pass did: nothing is kept between the passes."""
+"""Reverse pass of the node and the edge block, by recomputing what the forward pass did: nothing is kept between the passes."""
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 import numpy as np
 
-from .layers import Shape, chunks, envelope, equi_norm, gate, segment_softmax, so2_linear
+from .layers import Shape, chunks, envelope, equi_norm, gate, node_update, per_degree, segment_softmax, so2_linear
 from .so3 import bond_rotations, lm_index, rotate, wigner
 
 EPS = 1e-6
@@ -59,39 +61,89 @@ def norm_back(x: np.ndarray, grad: np.ndarray, shape: Shape) -> np.ndarray:
     return back
 
 
+def per_degree_back(x: np.ndarray, grad: np.ndarray, w: np.ndarray, shape: Shape) -> tuple[np.ndarray, np.ndarray]:
+    back, dw = np.empty_like(x), np.empty_like(w)
+    for l in range(shape.l_max + 1):  # noqa: E741
+        rows = slice(l * l, (l + 1) ** 2)
+        back[:, rows] = grad[:, rows] @ w[l].T
+        dw[l] = np.einsum("nrc,nrd->cd", x[:, rows], grad[:, rows])
+    return back, dw
+
+
+def feed_forward_back(x: np.ndarray, grad: np.ndarray, p: dict[str, np.ndarray], shape: Shape, out: dict[str, np.ndarray]) -> np.ndarray:
+    if "ff.in" not in p:
+        return np.zeros_like(x)
+    normed = equi_norm(x, shape)
+    h = per_degree(normed, p["ff.in"], shape)
+    mine: dict[str, np.ndarray] = {}
+    dg, out["ff.out"] = per_degree_back(gate(h, p["ff.gate"], shape), grad, p["ff.out"], shape)
+    dn, out["ff.in"] = per_degree_back(normed, gate_back(h, dg, p["ff.gate"], shape, mine), p["ff.in"], shape)
+    out["ff.gate"] = mine["gate"]
+    return norm_back(x, dn, shape)
+
+
+def _chunk(normed: np.ndarray, edge: np.ndarray, src: np.ndarray, dst: np.ndarray, vectors: np.ndarray, p: dict[str, np.ndarray], shape: Shape) -> tuple:
+    """What the transform of a chunk computes on its way, and its messages."""
+    d = wigner(bond_rotations(vectors), shape.l_max)
+    x = rotate(np.stack([normed[src], normed[dst], edge], axis=1), d)
+    flat = np.concatenate([x[:, 0], x[:, 1], x[:, 2]], axis=2)
+    h = so2_linear(flat, p, "first", shape)
+    g = gate(h, p["gate"], shape)
+    env = envelope(np.linalg.norm(vectors, axis=1), shape.r_cut)[:, None, None]
+    return d, flat, h, g, env, rotate((so2_linear(g, p, "second", shape) * env)[:, None], d, back=True)[:, 0]
+
+
+def _chunk_back(made: tuple, dm: np.ndarray, src: np.ndarray, dst: np.ndarray, p: dict[str, np.ndarray], shape: Shape, back_normed: np.ndarray, out: dict[str, np.ndarray]) -> np.ndarray:
+    """Gradient of a chunk's edge rows; those of its end rows and of the parameters are added in place."""
+    d, flat, h, g, env, _ = made
+    dy = rotate(dm[:, None], d)[:, 0] * env
+    df = so2_back(flat, gate_back(h, so2_back(g, dy, p, "second", shape, out), p["gate"], shape, out), p, "first", shape, out)
+    k = shape.channels
+    dx = rotate(np.stack([df[:, :, :k], df[:, :, k : 2 * k], df[:, :, 2 * k :]], axis=1), d, back=True)
+    np.add.at(back_normed, src, dx[:, 0])
+    np.add.at(back_normed, dst, dx[:, 1])
+    return dx[:, 2]
+
+
 def node_update_back(
     nodes: np.ndarray, edge: np.ndarray, src: np.ndarray, dst: np.ndarray, vectors: np.ndarray, own: np.ndarray, p: dict[str, np.ndarray], shape: Shape, grad_own: np.ndarray
-) -> tuple[np.ndarray, dict[str, np.ndarray]]:
-    """Gradients of all local and received node rows and of the parameters, from that of the updated own rows."""
-    normed, grad_all = equi_norm(nodes, shape), np.zeros_like(nodes)
-    grad_all[own] = grad_own
-    back_nodes, back_normed, out = grad_all.copy(), np.zeros_like(nodes), {}
+) -> tuple[np.ndarray, np.ndarray, dict[str, np.ndarray]]:
+    """Gradients of all local and received node rows, of the edge rows and of the parameters, from that of the updated own
+    rows. Messages are made twice, a chunk at a time: for scores and sums, then for the way back."""
+    normed, out = equi_norm(nodes, shape), {}
+    n, back_normed, back_edge = len(nodes), np.zeros_like(nodes), np.zeros_like(edge)
+    grad_out = grad_own
+    if "ff.in" in p:
+        before = node_update(nodes, edge, src, dst, vectors, own, {k: v for k, v in p.items() if not k.startswith("ff.")}, replace(shape, precision="fp64"))
+        grad_out = grad_own + feed_forward_back(before, grad_own, p, shape, out)
+    grad_all = np.zeros_like(nodes)
+    grad_all[own] = grad_out
     if not len(src):
-        return back_nodes, out
-    kept, messages = [], np.zeros((len(src), shape.rows, shape.channels))
+        return grad_all, back_edge, out
+    s, dw, raw = np.empty(len(src)), np.empty(len(src)), np.empty(len(src))
+    for c in chunks(len(src), shape.max_messages):
+        messages = _chunk(normed, edge[c], src[c], dst[c], vectors[c], p, shape)[-1]
+        raw[c] = messages[:, 0] @ p["attention"]
+        dw[c] = (messages * grad_all[dst[c]]).sum(axis=(1, 2))
+    s = np.where(raw > 0, raw, 0.2 * raw)
+    weight = segment_softmax(s, dst, n)
+    mean = np.bincount(dst, weights=weight * dw, minlength=n)
+    ds = weight * (dw - mean[dst]) * np.where(raw > 0, 1.0, 0.2)
+    out["attention"] = np.zeros_like(p["attention"])
+    for c in chunks(len(src), shape.max_messages):
+        made = _chunk(normed, edge[c], src[c], dst[c], vectors[c], p, shape)
+        out["attention"] += ds[c] @ made[-1][:, 0]
+        dm = weight[c][:, None, None] * grad_all[dst[c]]
+        dm[:, 0] += ds[c][:, None] * p["attention"]
+        back_edge[c] = _chunk_back(made, dm, src[c], dst[c], p, shape, back_normed, out)
+    return grad_all + norm_back(nodes, back_normed, shape), back_edge, out
+
+
+def edge_update_back(nodes: np.ndarray, edge: np.ndarray, src: np.ndarray, dst: np.ndarray, vectors: np.ndarray, p: dict[str, np.ndarray], shape: Shape, grad: np.ndarray) -> tuple[np.ndarray, np.ndarray, dict[str, np.ndarray]]:
+    """Gradients of the node rows, the edge rows and the parameters of an edge block."""
+    normed, out = equi_norm(nodes, shape), {}
+    back_normed, back_edge = np.zeros_like(nodes), grad.copy()
     for c in chunks(len(src), shape.max_messages):
-        d = wigner(bond_rotations(vectors[c]), shape.l_max)
-        x = rotate(np.stack([normed[src[c]], normed[dst[c]], edge[c]], axis=1), d)
-        flat = np.concatenate([x[:, 0], x[:, 1], x[:, 2]], axis=2)
-        h = so2_linear(flat, p, "first", shape)
-        g = gate(h, p["gate"], shape)
-        env = envelope(np.linalg.norm(vectors[c], axis=1), shape.r_cut)[:, None, None]
-        messages[c] = rotate((so2_linear(g, p, "second", shape) * env)[:, None], d, back=True)[:, 0]
-        kept.append((c, d, flat, h, g, env))
-    s = messages[:, 0] @ p["attention"]
-    weight = segment_softmax(np.where(s > 0, s, 0.2 * s), dst, len(nodes))
-    upstream = grad_all[dst]
-    dm = weight[:, None, None] * upstream
-    dw = (messages * upstream).sum(axis=(1, 2))
-    mean = np.bincount(dst, weights=weight * dw, minlength=len(nodes))
-    ds = weight * (dw - mean[dst]) * np.where(s > 0, 1.0, 0.2)
-    out["attention"] = ds @ messages[:, 0]
-    dm[:, 0] += ds[:, None] * p["attention"]
-    for c, d, flat, h, g, env in kept:
-        dy = rotate(dm[c][:, None], d)[:, 0] * env
-        df = so2_back(flat, gate_back(h, so2_back(g, dy, p, "second", shape, out), p["gate"], shape, out), p, "first", shape, out)
-        k = shape.channels
-        dx = rotate(np.stack([df[:, :, :k], df[:, :, k : 2 * k], df[:, :, 2 * k :]], axis=1), d, back=True)
-        np.add.at(back_normed, src[c], dx[:, 0])
-        np.add.at(back_normed, dst[c], dx[:, 1])
-    return back_nodes + norm_back(nodes, back_normed, shape), out
+        made = _chunk(normed, edge[c], src[c], dst[c], vectors[c], p, shape)
+        back_edge[c] += _chunk_back(made, grad[c], src[c], dst[c], p, shape, back_normed, out)
+    return norm_back(nodes, back_normed, shape), back_edge, out

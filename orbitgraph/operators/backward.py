@@ -29,7 +29,7 @@ def _back(shape: Shape, params: dict[str, np.ndarray]) -> Callable[[tuple, pd.Da
         src, dst = model._pointers(nodes, edges)
         own = np.flatnonzero(nodes["local"].to_numpy())
         grad = np.array(nodes["grad"].iloc[own].tolist(), float).reshape(len(own), shape.rows, shape.channels)
-        back, found = reverse.node_update_back(model._rows(nodes, shape), layers.radial(edges["r"].to_numpy(), shape), src, dst, edges[["dx", "dy", "dz"]].to_numpy(), own, params, shape, grad)
+        back, _, found = reverse.node_update_back(model._rows(nodes, shape), layers.radial(edges["r"].to_numpy(), shape), src, dst, edges[["dx", "dy", "dz"]].to_numpy(), own, params, shape, grad)
         node_rows = pd.DataFrame({"kind": "node", "name": None, "atom_id": nodes["atom_id"], "value": list(back.reshape(len(nodes), -1))})
         param_rows = pd.DataFrame({"kind": "param", "name": list(found), "atom_id": -1, "value": [v.ravel() for v in found.values()]})
         return pd.concat([node_rows, param_rows], ignore_index=True)

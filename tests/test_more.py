@@ -31,3 +31,14 @@ def test_table_functions(spark):
     spark.range(64).selectExpr("id % 2 AS s", "id AS atom_id", "double(id % 7) AS x", "double(id % 5) AS y", "double(id % 3) AS z", "2 AS depth").createOrReplaceTempView("og_small")
     got = spark.sql("SELECT rank, count(*) AS n FROM og_small_bisection(TABLE(og_small) PARTITION BY s) GROUP BY rank").collect()
     assert sorted((r.rank, r.n) for r in got) == [(i, 16) for i in range(4)]
+
+
+def test_min_cut_contracts_on_executors(spark):
+    """Two dense clusters with one bridge: found whether or not the first levels are contracted on the executors."""
+    from orbitgraph.operators import mincut
+
+    pairs = [(a, b) for base in (0, 20) for a in range(base, base + 20) for b in range(base, base + 20) if a != b] + [(3, 27), (27, 3)]
+    edges = spark.createDataFrame(pairs, "src long, dst long")
+    for most in (10_000, 150):
+        ranks = {r.atom_id: r.rank for r in mincut.min_cut(edges, 2, max_edges=most).collect()}
+        assert len(ranks) == 40 and len({ranks[i] for i in range(20)}) == 1 and ranks[0] != ranks[20]
