@@ -17,10 +17,10 @@ def n_orbitals(species: Column) -> Column:
     return out
 
 
-def offsets(atoms: DataFrame) -> DataFrame:
+def offsets(atoms: DataFrame, n_orb: Column | None = None) -> DataFrame:
     """atom_id, n_orb, first: where the atom's orbitals begin. Prefix sums in two levels (within and over blocks of ids),
     so that no window runs over all atoms."""
-    rows = atoms.select("atom_id", n_orbitals(F.col("species")).alias("n_orb"), F.floor(F.col("atom_id") / OFFSET_BLOCK).alias("b"))
+    rows = atoms.select("atom_id", (n_orbitals(F.col("species")) if n_orb is None else n_orb).alias("n_orb"), F.floor(F.col("atom_id") / OFFSET_BLOCK).alias("b"))
     sums = rows.groupBy("b").agg(F.sum("n_orb").alias("s"))
     # the blocks are few (one for each 4,096 atoms); their own prefix is an aggregate over a range join of block rows
     upto = sums.alias("p").join(sums.alias("q"), F.col("q.b") < F.col("p.b"), "left").groupBy(F.col("p.b").alias("b")).agg(F.coalesce(F.sum("q.s"), F.lit(0)).alias("base"))

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import importlib
 
-MODULES = ("core", "physics", "runtime", "learning", "scaling", "workloads")
+MODULES = ("core", "physics", "runtime", "learning", "scaling", "workloads", "shells")
 
 
 def _all(what: str) -> dict:
