@@ -37,8 +37,9 @@ def _back(shape: Shape, params: dict[str, np.ndarray]) -> Callable[[tuple, pd.Da
     return run
 
 
-def vector_sum(df: DataFrame, keys: list[str], value: str, size: int | None = None) -> DataFrame:
-    """Element-wise sums of arrays: a key has one array for each rank that holds it, so the lists are short."""
+def vector_sum(df: DataFrame, keys: list[str], value: str) -> DataFrame:
+    """Element-wise sums of arrays for keys that few ranks hold (nodes: their owner and its neighbours), so that the lists are
+    short; sums over all ranks go by name and place (:func:`named_sums`)."""
     lists = df.groupBy(*keys).agg(F.collect_list(value).alias("_l"))
     total = F.aggregate(F.slice("_l", 2, F.size("_l")), F.get("_l", F.lit(0)), lambda s, x: F.zip_with(s, x, lambda a, b: a + b))
     return lists.select(*keys, total.alias(value))
@@ -71,12 +72,21 @@ def loss_and_gradient(
     for nodes, p in zip(reversed(states[:-1]), reversed(params), strict=True):
         with_grad = view(nodes.join(grads, "atom_id"), ["emb", "grad"])
         parts = settle(with_grad.groupBy("rank").cogroup(placed.groupBy("rank")).applyInPandas(_back(shape, p), PARTS))
-        summed = {r.name: np.array(r.value).reshape(p[r.name].shape) for r in vector_sum(parts.where("kind = 'param'"), ["name"], "value").collect()}
+        summed = {k: v.reshape(p[k].shape) for k, v in named_sums(parts.where("kind = 'param'")).items()}
         found.insert(0, {k: summed.get(k, np.zeros_like(v)) for k, v in p.items()})
         grads = settle(vector_sum(parts.where("kind = 'node'").select("atom_id", F.col("value").alias("grad")), ["atom_id"], "grad"))
     return miss * miss, found, 2 * miss * total
 
 
+def named_sums(rows: DataFrame) -> dict[str, np.ndarray]:
+    """Sums of arrays by name and place, combined within each task: only as many numbers as there are parameters move."""
+    flat = rows.select("name", F.posexplode("value").alias("pos", "v")).groupBy("name", "pos").agg(F.sum("v").alias("v"))
+    out: dict[str, list[float]] = {}
+    for r in flat.orderBy("name", "pos").collect():
+        out.setdefault(r.name, []).append(r.v)
+    return {k: np.array(v) for k, v in out.items()}
+
+
 def fit(
     atoms: DataFrame, edges: DataFrame, ranks: DataFrame, shape: Shape, params: Params, head: np.ndarray, target: float, species: list[int], steps: int, lr: float = 0.02, settle: Callable[[DataFrame], DataFrame] | None = None
 ) -> tuple[Params, np.ndarray, list[float]]:

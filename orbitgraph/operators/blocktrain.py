@@ -20,6 +20,7 @@ from pyspark.sql import functions as F
 from ..functions import layers, reverse
 from ..functions.layers import Shape
 from . import basis, exchange, model
+from .backward import named_sums, vector_sum
 from .graph import EDGE_KEY
 from .telemetry import PlateauSchedule
 
@@ -245,19 +246,8 @@ def forward(g: Graph, params: Params, shape: Shape) -> tuple[list[DataFrame], Da
     return nodes, edges
 
 
-def _collected(rows: DataFrame) -> dict[str, np.ndarray]:
-    """Sums by name and place: combined on the executors, as many numbers as there are parameters reach the driver."""
-    flat = rows.select("name", F.posexplode("value").alias("pos", "v")).groupBy("name", "pos").agg(F.sum("v").alias("v"))
-    out: dict[str, list[float]] = {}
-    for r in flat.orderBy("name", "pos").collect():
-        out.setdefault(r.name, []).append(r.v)
-    return {k: np.array(v) for k, v in out.items()}
-
-
 def _summed(parts: list[DataFrame]) -> DataFrame:
     """(atom_id, grad): gradients of the ranks that hold a node, added up at its owner."""
-    from .backward import vector_sum
-
     both = parts[0]
     for p in parts[1:]:
         both = both.unionByName(p)
@@ -271,7 +261,7 @@ def loss_and_gradient(g: Graph, params: Params, shape: Shape, w1: float = 1.0, w
     nodes, edges = forward(g, params, shape)
     ready = g.own.join(nodes[-1], "atom_id")
     parts = g.by_rank(ready, edges, _loss(shape, params, w1, w2, g.total, depth), MIXED + _schema(depth - 1, True))
-    sums = {k: float(v[0]) for k, v in _collected(parts.where("kind = 'loss'")).items()}
+    sums = {k: float(v[0]) for k, v in named_sums(parts.where("kind = 'loss'")).items()}
     n = sums["node.n"] + sums.get("edge.n", 0.0)
     losses = {
         "loss": (w1 * (sums["node.l1"] + sums.get("edge.l1", 0.0)) + w2 * (sums["node.l2"] + sums.get("edge.l2", 0.0))) / n,
@@ -280,17 +270,17 @@ def loss_and_gradient(g: Graph, params: Params, shape: Shape, w1: float = 1.0, w
     }
     if not gradient:
         return losses, {}
-    found = _collected(parts.where("kind = 'param'"))
+    found = named_sums(parts.where("kind = 'param'"))
     node_grads = [parts.where("kind = 'node'").select("atom_id", F.col("value").alias("grad"))]
     cut = lambda df, states: df.where("kind = 'edge'").select(*EDGE_COLUMNS, *(f"e{k}" for k in range(1, states + 1)), "grad")
     edges = cut(parts, depth - 1)
     for k in range(depth, 0, -1):
         back = g.by_rank(g.view(nodes[k], ["emb"]), edges, _edge_back(shape, block_of(params, k, "edge"), k), MIXED + _schema(k - 1, True))
-        found |= _collected(back.where("kind = 'param'"))
+        found |= named_sums(back.where("kind = 'param'"))
         grads = g.settle(_summed([*node_grads, back.where("kind = 'node'").select("atom_id", F.col("value").alias("grad"))]))
         with_grad = g.view(nodes[k - 1].join(grads, "atom_id"), ["emb", "grad"])
         parts = g.by_rank(with_grad, cut(back, k - 1), _node_back(shape, block_of(params, k, "node"), k), MIXED + _schema(max(k - 2, 0), True))
-        found |= _collected(parts.where("kind = 'param'"))
+        found |= named_sums(parts.where("kind = 'param'"))
         node_grads = [parts.where("kind = 'node'").select("atom_id", F.col("value").alias("grad"))]
         edges = cut(parts, max(k - 2, 0))
     return losses, {k: found[k].reshape(v.shape) if k in found else np.zeros_like(v) for k, v in params.items()}
@@ -315,7 +305,7 @@ def fit_heads(g: Graph, params: Params, shape: Shape, ridge: float = 1e-6) -> Pa
     nodes, edges = forward(g, params, shape)
     schema = "kind string, name string, atom_id long, value array<double>"
     depth = n_layers(params)
-    sums = _collected(g.own.join(nodes[-1], "atom_id").mapInPandas(_gram(shape, params, depth, True), schema)) | _collected(edges.mapInPandas(_gram(shape, params, depth, False), schema))
+    sums = named_sums(g.own.join(nodes[-1], "atom_id").mapInPandas(_gram(shape, params, depth, True), schema)) | named_sums(edges.mapInPandas(_gram(shape, params, depth, False), schema))
     out = dict(params)
     for name, v in params.items():
         if f"{name}|xx" in sums:

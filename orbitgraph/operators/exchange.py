@@ -6,6 +6,8 @@ sources travel, once for each pair of ranks.
 
 from __future__ import annotations
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -73,5 +75,23 @@ def missing_sources(edges: DataFrame, ranks: DataFrame, plan_: DataFrame) -> Dat
     return need.join(have, ["rank", "atom_id"], "left_anti")
 
 
+KINDS = {"fp16": "<f2", "fp32": "<f4", "fp64": "<f8"}
+
+
+def packed(emb: str, precision: str) -> Column:
+    """Rows as bytes of the stored precision, which is what a halo sends: a quarter of the doubles for fp16."""
+    kind = KINDS[precision]
+
+    @F.pandas_udf("binary")
+    def run(rows: pd.Series) -> pd.Series:
+        return rows.map(lambda v: np.asarray(v, float).astype(kind).tobytes())
+
+    return run(F.col(emb))
+
+
+def unpacked(data: bytes, precision: str) -> np.ndarray:
+    return np.frombuffer(data, KINDS[precision]).astype(np.float64)
+
+
 def edge_key() -> list[Column]:
     return [F.col(c) for c in EDGE_KEY]

@@ -36,13 +36,14 @@ def frame_edges(frames: DataFrame, cell: Cell, r_cut: float) -> DataFrame:
     return radius_edges(frames, cell, r_cut, by="frame_id")
 
 
-def radius_edges(atoms: DataFrame, cell: Cell, r_cut: float, method: str = "cells", by: str | None = None) -> DataFrame:
+def radius_edges(atoms: DataFrame, cell: Cell, r_cut: float, method: str = "cells", by: str | None = None, dense: int | None = None) -> DataFrame:
     """All directed pairs within ``r_cut``, every periodic image counted.
 
     cells: an equi-join on boxes of at least the cutoff's width; only (id, x, y, z) of the source side is copied to the
     neighbouring boxes, each copy with its image shift. brute: every pair and image, for checking small structures.
     Positions must lie inside the box along periodic axes (``structure.wrap``). ``by``: a column (frame or structure)
-    within which atoms see each other."""
+    within which atoms see each other. ``dense``: boxes of more atoms are split, their atoms dealt out over parts that each
+    see all neighbours, so that no dense spot is a hot group; costs a count of the boxes."""
     extra = [by] if by else []
     one = atoms.select(*extra, F.col("atom_id").alias("src"), *(F.col(a).alias(f"{a}1") for a in AXES))
     two = atoms.select(*extra, F.col("atom_id").alias("dst"), *(F.col(a).alias(f"{a}2") for a in AXES))
@@ -62,7 +63,14 @@ def radius_edges(atoms: DataFrame, cell: Cell, r_cut: float, method: str = "cell
     here = two.withColumns({f"b{a}": box(a, i, 2) for i, a in enumerate(AXES)})
     # few bytes in, many pairs out: a stated number of partitions keeps AQE from merging them by their small input
     keys, parts = [*extra, *(f"b{a}" for a in AXES)], int(atoms.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    seen, here = seen.drop("_o").repartition(parts, *keys), here.repartition(parts, *keys)
+    seen = seen.drop("_o")
+    if dense:
+        crowded = here.groupBy(*keys).agg(F.ceil(F.count(F.lit(1)) / dense).cast("int").alias("_parts")).where("_parts > 1")
+        pieces = F.coalesce("_parts", F.lit(1))
+        here = here.join(crowded, keys, "left").withColumn("_piece", F.pmod(F.col("dst"), pieces).cast("int")).drop("_parts")
+        seen = seen.join(crowded, keys, "left").withColumn("_piece", F.explode(F.sequence(F.lit(0), pieces - 1))).drop("_parts")
+        keys = [*keys, "_piece"]
+    seen, here = seen.repartition(parts, *keys), here.repartition(parts, *keys)
     return _measured(seen.join(here, keys), cell, r_cut, extra)
 
 

@@ -35,7 +35,10 @@ def _pointers(nodes: pd.DataFrame, edges: pd.DataFrame) -> tuple[np.ndarray, np.
 
 
 def _rows(frame: pd.DataFrame, shape: Shape) -> np.ndarray:
-    return np.array(frame["emb"].tolist(), float).reshape(len(frame), shape.rows, shape.channels)
+    values = frame["emb"].tolist()
+    if "packed" in frame:  # received rows came as bytes
+        values = [exchange.unpacked(b, shape.precision) if b is not None else v for v, b in zip(values, frame["packed"], strict=True)]
+    return np.array(values, float).reshape(len(frame), shape.rows, shape.channels)
 
 
 def _edge_rows(edges: pd.DataFrame, shape: Shape) -> np.ndarray:
@@ -85,7 +88,11 @@ def forward(atoms: DataFrame, edges: DataFrame, ranks: DataFrame, shape: Shape,
 
     def view(nodes: DataFrame) -> DataFrame:
         own = ranks.select("rank", "atom_id").join(nodes, "atom_id").select("rank", "atom_id", "emb", F.lit(True).alias("local"))
-        return own.unionByName(exchange.halo(nodes, plan, ["emb"]).withColumn("local", F.lit(False)))
+        if shape.precision == "fp64":
+            return own.unionByName(exchange.halo(nodes, plan, ["emb"]).withColumn("local", F.lit(False)))
+        sent = nodes.select("atom_id", exchange.packed("emb", shape.precision).alias("packed"))
+        far = exchange.halo(sent, plan, ["packed"]).withColumn("local", F.lit(False))
+        return own.unionByName(far, allowMissingColumns=True)
 
     for layer in range(n_layers):
         node_params, edge_params = (layers.block_params(shape, seed * 1000 + 2 * layer + k) for k in (0, 1))

@@ -84,32 +84,39 @@ def _(spark, d):
     return telemetry.strong(times, 4)
 
 
-@query("throughput_samples")
-def _(spark, d):
-    """Timed message transforms over batch sizes and channels (rows only: times), and the knee of each."""
+def throughput(spark, sizes: tuple[int, ...], channels: tuple[int, ...], reps: int = 120, warmup: int = 20, l_max: int = 4):
+    """(channels, n, rep, seconds) of timed message transforms, the first ``warmup`` of each left out."""
 
     def run(batches):
         import pandas as pd
 
         for frame in batches:
             rows = []
-            for channels, n, rep in frame.itertuples(index=False):
-                shape = Shape(l_max=2, channels=int(channels))
+            for width, n in frame.itertuples(index=False):
+                shape = Shape(l_max=l_max, channels=int(width))
                 rng = np.random.default_rng(int(n))
-                x, v, p = rng.normal(size=(int(n), shape.rows, int(channels))), rng.normal(size=(int(n), 3)), layers.block_params(shape, 1)
-                began = time.perf_counter()
-                layers.transform(x, x, x, v, p, shape)
-                rows.append((int(channels), int(n), int(rep), time.perf_counter() - began))
+                x, v, p = rng.normal(size=(int(n), shape.rows, int(width))), rng.normal(size=(int(n), 3)), layers.block_params(shape, 1)
+                for rep in range(reps):
+                    began = time.perf_counter()
+                    for c in layers.chunks(int(n), 10_000):
+                        layers.transform(x[c], x[c], x[c], v[c], p, shape)
+                    rows.append((int(width), int(n), rep, time.perf_counter() - began))
             yield pd.DataFrame(rows, columns=["channels", "n", "rep", "seconds"])
 
-    grid = spark.range(5).select(F.col("id").cast("int").alias("rep")).crossJoin(spark.createDataFrame([(100,), (1000,), (4000,)], "n int")).crossJoin(spark.createDataFrame([(8,), (16,)], "channels int"))
-    samples = grid.select("channels", "n", "rep").repartition(4, "channels", "n").mapInPandas(run, "channels int, n int, rep int, seconds double")
-    return telemetry.knee(samples.where("rep > 0"))
+    grid = spark.createDataFrame([(c, n) for c in channels for n in sizes], "channels int, n int")
+    return grid.repartition(len(channels) * len(sizes), "channels", "n").mapInPandas(run, "channels int, n int, rep int, seconds double").where(F.col("rep") >= warmup)
+
+
+@query("throughput_samples")
+def _(spark, d):
+    """Knee of the timed transform (rows only: times), with fewer repetitions than :func:`throughput` has by default."""
+    return telemetry.knee(throughput(spark, (100, 1_000, 10_000), (16, 32), reps=6, warmup=2))
 
 
 @query("partition_times")
 def _(spark, d):
-    """Seconds to partition the oxide by each method (rows only: times)."""
+    """Seconds to partition the oxide by each method, in all and for each step of a training run of the published length
+    (rows only: times)."""
     e, atoms, cell, n = edges(spark, d, "oxide", R_CUT)
     e, deg = e.persist(), graph.degree(e).persist()
     deg.count()
@@ -118,7 +125,7 @@ def _(spark, d):
         began = time.time()
         f().count()
         rows.append((name, time.time() - began))
-    return spark.createDataFrame(rows, "scheme string, seconds double")
+    return spark.createDataFrame(rows, "scheme string, seconds double").withColumn("seconds_a_step", F.col("seconds") / F.lit(7_700.0))
 
 
 @query("modelled_bandwidth")

@@ -2,10 +2,15 @@
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import functions as F
 
-from ..operators import basis
-from .structures import edges, with_edges_sql
+from ..functions.layers import Shape
+from ..functions.so3 import rotate, wigner
+from ..operators import basis, blocktrain, exchange, graph, hamiltonian, message, model, partition, structure
+from .core import oxide_ranks, ranks_sql
+from .learning import _settle, rank_count
+from .structures import PLAN_SQL, edges, load, with_edges_sql
 
 QUERIES: dict = {}
 SQL: dict[str, str] = {}
@@ -85,3 +90,112 @@ def _(spark, d):
     rows, e, _ = parts(spark, d)
     u = basis.uncouple(rows, basis.KEYS).join(e.select(*basis.KEYS, "r"), basis.KEYS)
     return u.groupBy("i", "j", F.floor(F.col("r") / F.lit(0.5)).cast("int").alias("bin")).agg(F.round(F.max(F.abs("val")), 6).alias("largest"), F.count(F.lit(1)).alias("n"))
+
+
+# --- the network on these blocks (rows only: iterative; tested against finite differences) ----------------------------
+SHAPE = Shape(l_max=4, channels=4, r_cut=R_CUT)
+
+
+def distributed(spark, d, name, snap: float = 0.0, train: bool = True):
+    """A whole structure on its ranks, with its targets."""
+    atoms, cell, n = load(spark, d, name)
+    if snap:
+        atoms = structure.wrap(atoms.withColumns({a: F.round(F.col(a) / snap) * F.lit(snap) + F.lit(0.05) * F.col(a) / F.lit(cell.lengths[0]) for a in "xyz"}), cell)
+    atoms = _settle(atoms)
+    e = _settle(graph.radius_edges(atoms, cell, R_CUT).where("r > 0.5"))
+    ranks = partition.sequential(atoms, rank_count(n), n)
+    node_y = blocktrain.targets(basis.coupled_onsite(e, atoms, R_CUT, PCM), ["atom_id"]) if train else None
+    edge_y = blocktrain.targets(basis.coupled(e, atoms, R_CUT, PCM), basis.KEYS) if train else None
+    return blocktrain.distribute(atoms, e, ranks, SHAPE, PCM, _settle, node_y, edge_y), atoms, cell, e, n
+
+
+@query("train_blocks")
+def _(spark, d):
+    """Loss and mean absolute errors of diagonal and off-diagonal blocks along steps on all parameters, whole structure."""
+    g = distributed(spark, d, "pcm_c")[0]
+    start = blocktrain.fit_heads(g, blocktrain.initial(SHAPE, PCM, 1), SHAPE)
+    t = blocktrain.fit(g, blocktrain.begin(start, 0.003), SHAPE, 3)
+    return spark.createDataFrame([(i, x["loss"], x["node_mae"], x["edge_mae"]) for i, x in enumerate(t.losses)], "step int, loss double, node_mae double, edge_mae double")
+
+
+@query("validate_blocks")
+def _(spark, d):
+    """Trained on the whole amorphous stand-in, errors of node and edge blocks there and on the near-lattice structure,
+    beside the mean size of what is predicted."""
+    g = distributed(spark, d, "pcm_a")[0]
+    params = blocktrain.fit_heads(g, blocktrain.initial(SHAPE, PCM, 1), SHAPE)
+    rows = []
+    for name, h in (("train", g), ("validate", distributed(spark, d, "pcm_c", snap=2.5)[0])):
+        losses, _ = blocktrain.loss_and_gradient(h, params, SHAPE, gradient=False)
+        size = [df.select(F.explode("y").alias("y")).agg(F.avg(F.abs("y"))).first()[0] for df in (h.own, h.edges)]
+        rows.append((name, losses["node_mae"], size[0], losses["edge_mae"], size[1]))
+    return spark.createDataFrame(rows, "structure string, node_mae double, node_size double, edge_mae double, edge_size double")
+
+
+@query("tiled_blocks")
+def _(spark, d):
+    """The matrix of a 2x2x2 tile predicted from its graph alone: size, stored elements, errors of node and edge blocks."""
+    g, atoms, cell, e, n = distributed(spark, d, "pcm_c")
+    params = blocktrain.fit_heads(g, blocktrain.initial(SHAPE, PCM, 1), SHAPE)
+    big, big_edges = _settle(structure.tile(atoms, cell, n, 2, 2, 2)), _settle(graph.tile_edges(e, n, 2, 2, 2))
+    blank = blocktrain.distribute(big, big_edges, partition.sequential(big, rank_count(8 * n), 8 * n), SHAPE, PCM, _settle)
+    p = _settle(blocktrain.predict(blank, params, SHAPE, PCM))
+    offs = basis.offsets(big)
+    size = hamiltonian.shape(hamiltonian.to_coo(p.select("src", "dst", "a", "b", "val"), offs), offs)
+    err = blocktrain.errors(p, blocktrain.truth(big_edges, big, R_CUT, PCM)).groupBy("kind").agg(F.avg("err").alias("mae"), F.avg("size").alias("mean_size"), F.count(F.lit(1)).alias("n"))
+    return err.crossJoin(size).select("kind", "size", "nnz", F.round("mae", 6).alias("mae"), F.round("mean_size", 6).alias("mean_size"), "n")
+
+
+@query("equivariance_error")
+def _(spark, d):
+    """Largest difference between the rows of a turned structure and the turned rows, by order."""
+    atoms, cell, n = load(spark, d, "pcm_c")
+    e = graph.radius_edges(atoms, cell, R_CUT).persist()
+    q, _ = np.linalg.qr(np.random.default_rng(3).normal(size=(3, 3)))
+    q *= np.sign(np.linalg.det(q))
+    turned = e.withColumns({f"d{a}": sum((F.col(f"d{b}") * F.lit(float(q[i, j])) for j, b in enumerate("xyz")), F.lit(0.0)) for i, a in enumerate("xyz")})
+    ranks = partition.sequential(atoms, 4, n)
+    one, two = (model.forward(atoms, x, ranks, SHAPE, 1, list(PCM), settle=_settle)[0] for x in (e, turned))
+    matrices, shape = wigner(q[None], SHAPE.l_max), SHAPE
+
+    def run(frames):
+        import pandas as pd
+
+        for f in frames:
+            a, b = (np.array(f[c].tolist(), float).reshape(len(f), 1, shape.rows, shape.channels) for c in ("emb", "emb2"))
+            far = np.abs(rotate(a, [m.repeat(len(f), axis=0) for m in matrices]) - b)[:, 0]
+            yield pd.DataFrame({"l": range(shape.l_max + 1), "far": [far[:, k * k : (k + 1) ** 2].max() for k in range(shape.l_max + 1)]})
+
+    both = one.join(two.withColumnRenamed("emb", "emb2"), "atom_id").select("emb", "emb2")
+    return both.mapInPandas(run, "l int, far double").groupBy("l").agg(F.round(F.max("far"), 9).alias("largest_difference"))
+
+
+@query("exchange_bytes", ranks_sql() + PLAN_SQL + " SELECT precision, count(*)*36*w AS bytes FROM plan, (VALUES ('fp16', 2), ('fp32', 4), ('fp64', 8)) AS p(precision, w) GROUP BY precision, w")
+def _(spark, d):
+    """Bytes of one exchange of rows of 36 values by precision: what really travels."""
+    e, atoms, _, _, ranks, _ = oxide_ranks(spark, d)
+    table = spark.createDataFrame([(72, [0.72, 1.0, -0.5, 0.25]), (8, [0.08, 1.0, 0.5, -0.25])], "species int, emb array<double>")
+    nodes = message.init_nodes(atoms, table, 2, 4)
+    sent = exchange.halo(nodes, exchange.plan(e, ranks), ["emb"])
+    sizes = sent.select(*(F.octet_length(exchange.packed("emb", p)).alias(p) for p in exchange.KINDS)).agg(*(F.sum(p).alias(p) for p in exchange.KINDS))
+    return sizes.select(F.inline(F.array(*(F.struct(F.lit(p).alias("precision"), F.col(p).alias("bytes")) for p in exchange.KINDS))))
+
+
+@query("batch_energies")
+def _(spark, d):
+    """Many small molecules in one table, through the network at once: conversations as chains, an energy of each. A chain
+    lies in one rank, so nothing travels."""
+    from pyspark.sql import Window
+
+    shape, base = Shape(l_max=1, channels=4, r_cut=R_CUT), 1 << 20
+    turns = spark.read.parquet(f"{d}/conversations.parquet").select("conv_id", "turn").where("conv_id is not null and turn is not null").distinct()
+    ident = F.col("conv_id") * base + F.col("turn")
+    atoms = _settle(turns.select(ident.alias("atom_id"), (F.when(F.col("turn") % 2 == 0, 8).otherwise(72)).alias("species")))
+    linked = turns.withColumn("nxt", F.lead("turn").over(Window.partitionBy("conv_id").orderBy("turn"))).where("nxt = turn + 1")
+    one = linked.select(ident.alias("src"), (ident + 1).alias("dst"), (F.lit(1.5) + (F.col("turn") % 3) * 0.2).alias("r"))
+    both = one.withColumn("dx", F.col("r")).unionByName(one.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "r", (-F.col("r")).alias("dx")))
+    edges_ = both.select("src", "dst", *(F.lit(0).alias(s) for s in ("sx", "sy", "sz")), "dx", *(F.lit(0.0).alias(s) for s in ("dy", "dz")), "r")
+    ranks = atoms.select("atom_id", F.pmod(F.floor(F.col("atom_id") / base), F.lit(rank_count(atoms.count()))).cast("int").alias("rank"))
+    nodes, _ = model.forward(atoms, edges_, ranks, shape, 2, [8, 72], settle=_settle)
+    row = F.aggregate(F.slice("emb", 1, shape.channels), F.lit(0.0), lambda s, x: s + x)
+    return nodes.groupBy(F.floor(F.col("atom_id") / base).alias("conv_id")).agg(F.count(F.lit(1)).alias("n_atoms"), F.round(F.sum(row), 6).alias("energy"))

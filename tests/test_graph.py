@@ -132,3 +132,12 @@ def test_plans(spark, sf):
 
     text = plans.queries()["pushed_scan"](spark, sf)._jdf.queryExecution().executedPlan().toString()
     assert "PushedFilters: [IsNotNull(l_shipdate)" in text and "l_extendedprice" not in text
+
+
+def test_dense_boxes_are_split(spark):
+    rng = np.random.default_rng(6)
+    points = np.concatenate([rng.random((60, 3)) * 2 + 1, rng.random((40, 3)) * 30])
+    atoms = spark.createDataFrame([(i, 8, *map(float, p)) for i, p in enumerate(points)], "atom_id long, species int, x double, y double, z double")
+    cell = structure.Cell((30.0, 30.0, 30.0))
+    plain, split = (sorted(map(str, graph.radius_edges(atoms, cell, 5.0, dense=k).collect())) for k in (None, 7))
+    assert plain == split and len(plain) > 3000
