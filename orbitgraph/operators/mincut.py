@@ -148,8 +148,8 @@ def min_cut(edges: DataFrame, parts: int, imbalance: float = 1.03, weight: str =
         if pairs.count() > max_edges:
             raise ValueError(f"more than {max_edges} pairs are left after contraction: use label_propagation")
     each = F.col("degree") if weight == "degree" else F.lit(1)
-    sizes = ends.join(homes, "atom_id").groupBy("v").agg(F.sum(each).alias("size")).orderBy("v").toPandas()
-    table = pairs.toPandas().sort_values(["a", "b"])
+    sizes = ends.join(homes, "atom_id").groupBy("v").agg(F.sum(each).alias("size")).orderBy("v").toArrow().to_pandas()
+    table = pairs.toArrow().to_pandas().sort_values(["a", "b"])
     ids = sizes["v"].to_numpy()
     a, b, w = np.searchsorted(ids, table["a"]), np.searchsorted(ids, table["b"]), table["w"].to_numpy(float)
     part = multilevel(a, b, w, sizes["size"].to_numpy(float), parts, imbalance)

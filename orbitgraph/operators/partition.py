@@ -96,8 +96,11 @@ def few_neighbour(
         state = state.withColumns({a: _rotated(a, origins[i], cell.lengths[i]) for i, a in enumerate(AXES) if origins[i] is not None})
     start = tuple(1 if opening == "ring" and p else 0 if p else 2 for p in cell.periodic)
     parts, tree = {0: Part(0, start, leaves=parts_wanted or 1 << depth)}, Tree(tuple(origins), cell)
+    before = None
     for _ in range(depth):
         rows = state.groupBy("code").agg(F.count(F.lit(1)).alias("n"), *(f(a).alias(f"{a}{e}") for a in AXES for f, e in ((F.min, "lo"), (F.max, "hi")))).collect()
+        if before is not None:
+            before.unpersist()  # the summary has read all of this level's table
         plan = {}
         for r in rows:
             if parts[r.code].leaves == 1:
@@ -117,10 +120,7 @@ def few_neighbour(
         at, ident = by_code({c: v[1] for c, v in cut.items()}, "double"), by_code({c: v[2] for c, v in cut.items()}, "long")
         right = F.coalesce((value > at) | ((value == at) & (F.col("atom_id") > ident)), F.lit(False))
         # the lineage stays short: every level reads the persisted table and one expression per level so far
-        new = state.withColumn("code", F.col("code") * 2 + F.when(right, 1).otherwise(0)).persist()
-        new.count()
-        state.unpersist()
-        state = new
+        before, state = state, state.withColumn("code", F.col("code") * 2 + F.when(right, 1).otherwise(0)).persist()
         split: dict[int, Part] = {2 * c: Part(2 * c, p.cuts, p.axes) for c, p in parts.items() if c not in cut}
         for c, (axis, _, _) in cut.items():
             cuts = tuple(k + (2 if k == 0 else 1) * (i == axis) for i, k in enumerate(parts[c].cuts))
@@ -128,6 +128,9 @@ def few_neighbour(
             for side, mine in ((0, (k + 1) // 2), (1, k // 2)):
                 split[2 * c + side] = Part(2 * c + side, cuts, parts[c].axes + AXES[axis], mine)
         parts = split
+    if before is not None:
+        state.count()
+        before.unpersist()
     tree.axes = {c: p.axes for c, p in parts.items()}
     rank = F.col("code").cast("int")
     if parts_wanted:  # codes of leaves that ended early leave gaps: ranks count the leaves in order of code
@@ -135,6 +138,11 @@ def few_neighbour(
     return state.select("atom_id", rank.alias("rank"), F.lpad(F.bin("code"), depth, "0").alias("path")), tree
 
 
+def coarser(ranks: DataFrame, levels: int) -> DataFrame:
+    """Ranks of the same bisection, ended ``levels`` levels earlier: its parts nest, so nothing is partitioned anew."""
+    return ranks.withColumn("rank", F.shiftright("rank", levels))
+
+
 def _rotated(axis: str, origin: float | None, side: float) -> Column:
     """Coordinate counted from just behind the opening cut: what lay up to the cut comes last."""
     c = F.col(axis)

@@ -107,10 +107,11 @@ BRICKS = {8: (2, 2, 2), 16: (4, 2, 2), 32: (4, 4, 2), 64: (4, 4, 4), 128: (8, 4,
 DEPTHS = (3, 4, 5)
 
 
-def scheme_ranks(e: DataFrame, atoms: DataFrame, cell: structure.Cell, n: int, depth: int, r_cut: float) -> dict[str, DataFrame]:
+def scheme_ranks(finest: DataFrame, spare: int, atoms: DataFrame, cell: structure.Cell, n: int, depth: int) -> dict[str, DataFrame]:
+    """Ranks by scheme; finest: few-neighbour ranks of ``spare`` more levels."""
     parts = 1 << depth
     return {
-        "few_neighbour": partition.few_neighbour(atoms, graph.degree(e), cell, depth, r_cut)[0],
+        "few_neighbour": partition.coarser(finest, spare),
         "bricks": partition.bricks(atoms, cell, BRICKS[parts]),
         "random": partition.random(atoms, parts),
         "sequential": partition.sequential(atoms, parts, n),
@@ -144,8 +145,9 @@ def _schemes(spark: SparkSession, d: str, r_cuts: tuple, depths: tuple, summary,
     for r in r_cuts:
         atoms, cell, n = load(spark, d, name)
         e = graph.radius_edges(atoms, cell, r).persist()
+        finest = partition.few_neighbour(atoms, graph.degree(e), cell, max(depths), r)[0]
         for depth in depths:
-            schemes = scheme_ranks(e, atoms, cell, n, depth, r) | {k: f(e, 1 << depth) for k, f in (extra or {}).items()}
+            schemes = scheme_ranks(finest, max(depths) - depth, atoms, cell, n, depth) | {k: f(e, 1 << depth) for k, f in (extra or {}).items()}
             for scheme, ranks in schemes.items():
                 ranks = ranks.persist()
                 rows.append(summary(e, ranks, exchange.plan(e, ranks), 1 << depth).select(F.lit(r).alias("r_cut"), F.lit(scheme).alias("scheme"), F.lit(1 << depth).alias("parts"), "*"))
@@ -187,10 +189,11 @@ def _(spark, d):
     """Strong scaling on a 2x2x2 tile at 32, 64 and 128 ranks, few-neighbour beside the multilevel minimum cut of the same
     graph (rows only: the cut is iterative)."""
     rows = []
+    e, _, _, finest, _ = tiled(spark, d, (2, 2, 2), 6.0, 7)
+    e = e.select("src", "dst").persist()
     for depth in (5, 6, 7):
-        e, atoms, cell, ranks, parts = tiled(spark, d, (2, 2, 2), 6.0, depth)
-        e = e.select("src", "dst").persist()
-        for scheme, r in (("few_neighbour", ranks), ("min_cut", mincut.min_cut(e, parts).persist())):
+        parts = 1 << depth
+        for scheme, r in (("few_neighbour", partition.coarser(finest, 7 - depth)), ("min_cut", mincut.min_cut(e, parts).persist())):
             rows.append(phase_summary(metrics.phase_costs(e, r, exchange.plan(e, r), parts)).select(F.lit(scheme).alias("scheme"), F.lit(parts).alias("parts"), "*"))
     return telemetry.strong(_union(rows).select("scheme", "parts", F.col("t_total").alias("t")), 32)
 
