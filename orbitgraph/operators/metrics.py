@@ -103,28 +103,38 @@ def rank_hops(plan: DataFrame, start: int, parts: int) -> DataFrame:
 
 
 def alpha_beta(
-    edges: DataFrame, ranks: DataFrame, plan: DataFrame, parts: int, alpha: float = 2e-5, beta: float = 20.4e9, pack: float = 2e-9, unpack: float = 1e-9, theta: float = 2e7, half: float = 11_111.0, row_bytes: int = 1600
+    edges: DataFrame, ranks: DataFrame, parts: int, alpha: float = 2e-5, beta: float = 20.4e9, pack: float = 2e-9, unpack: float = 1e-9, theta: float = 2e7, half: float = 11_111.0, row_bytes: int = 1600
 ) -> DataFrame:
     """Modelled seconds of each rank: latency for each neighbour, bytes over bandwidth, packing, unpacking, and messages
     over a throughput that saturates (nine tenths of ``theta`` at 1e5 messages with the default ``half``).
 
     alpha, pack, unpack and theta are free parameters; beta is the published bandwidth."""
-    c = phase_costs(edges, ranks, plan, parts, alpha, beta, pack, unpack, theta, half, row_bytes)
+    c = phase_costs(edges, ranks, parts, alpha, beta, pack, unpack, theta, half, row_bytes)
     comm = F.col("t_pack") + F.col("t_send") + F.col("t_unpack")
     return c.select("rank", "messages", "received", "neighbours", F.round(comm, 9).alias("t_comm"), F.round("t_compute", 9).alias("t_compute"), F.round(comm + F.col("t_compute"), 9).alias("t_total"))
 
 
+def rank_pairs(edges: DataFrame, ranks: DataFrame) -> DataFrame:
+    """(from_rank, to_rank, rows, messages): rows that one rank needs of another (or of itself) and the edges they feed.
+
+    One pass over the edges: counts of a source within a rank combine within tasks, and what follows has a row for each
+    source and receiving rank, then for each pair of ranks."""
+    by_source = with_ranks(edges, ranks).groupBy("src_rank", "dst_rank", "src").agg(F.count(F.lit(1)).alias("k"))
+    return by_source.groupBy(F.col("src_rank").alias("from_rank"), F.col("dst_rank").alias("to_rank")).agg(F.count(F.lit(1)).alias("rows"), F.sum("k").alias("messages"))
+
+
 def phase_costs(
-    edges: DataFrame, ranks: DataFrame, plan: DataFrame, parts: int, alpha: float = 2e-5, beta: float = 20.4e9, pack: float = 2e-9, unpack: float = 1e-9, theta: float = 2e7, half: float = 11_111.0, row_bytes: int = 1600
+    edges: DataFrame, ranks: DataFrame, parts: int, alpha: float = 2e-5, beta: float = 20.4e9, pack: float = 2e-9, unpack: float = 1e-9, theta: float = 2e7, half: float = 11_111.0, row_bytes: int = 1600
 ) -> DataFrame:
     """Modelled seconds of each rank by phase: packing, sending and receiving, unpacking, computing.
 
-    Counts of each rank in two aggregates: one over the plan, one over the edges with the ranks of both ends."""
-    both = with_ranks(edges, ranks)
-    held = both.groupBy(F.col("dst_rank").alias("rank")).agg(F.count(F.lit(1)).alias("messages"), F.sum((F.col("src_rank") != F.col("dst_rank")).cast("long")).alias("unpack_edges"))
-    got = plan.groupBy(F.col("to_rank").alias("rank")).agg(F.count(F.lit(1)).alias("received"), F.countDistinct("from_rank").alias("neighbours"))
-    gave = plan.groupBy(F.col("from_rank").alias("rank")).agg(F.count(F.lit(1)).alias("pack_rows"))
-    all_ = _all_ranks(plan, parts).join(held, "rank", "left").join(got, "rank", "left").join(gave, "rank", "left").na.fill(0)
+    Edges are read and joined once: every pair of ranks counts for its receiver and for its sender."""
+    zero, moved = F.lit(0).cast("long"), F.col("from_rank") != F.col("to_rank")
+    receiver = {"rank": F.col("to_rank"), "messages": F.col("messages"), "unpack_edges": F.when(moved, F.col("messages")).otherwise(zero), "received": F.when(moved, F.col("rows")).otherwise(zero), "neighbours": moved.cast("long"), "pack_rows": zero}
+    sender = {k: zero for k in receiver} | {"rank": F.col("from_rank"), "pack_rows": receiver["received"]}
+    roles = F.inline(F.array(*(F.struct(*(c.alias(k) for k, c in role.items())) for role in (receiver, sender))))
+    counts = rank_pairs(edges, ranks).select(roles).groupBy("rank").agg(*(F.sum(k).alias(k) for k in receiver if k != "rank"))
+    all_ = _all_ranks(ranks, parts).join(counts, "rank", "left").na.fill(0)
     return all_.select(
         "rank", "messages", "received", "neighbours",
         (F.col("pack_rows") * F.lit(pack * row_bytes)).alias("t_pack"),

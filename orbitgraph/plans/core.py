@@ -225,7 +225,7 @@ query(
     + f""", v AS ({VOLUME}), pk AS ({PACK}), nb AS (SELECT to_rank AS rank, count(DISTINCT from_rank) AS neighbours FROM plan GROUP BY to_rank), ms AS (SELECT dst_rank AS rank, count(*) AS messages FROM both_ends GROUP BY dst_rank),
 t AS (SELECT rank, messages, received, neighbours, neighbours*2e-5 + received*1600e0/20.4e9 + pack_rows*(2e-9*1600) + unpack_edges*(1e-9*1600) AS comm, (messages+11111e0)/2e7 AS compute FROM v JOIN pk USING (rank) JOIN nb USING (rank) JOIN ms USING (rank))
 SELECT rank, messages, received, neighbours, round(comm, 9) AS t_comm, round(compute, 9) AS t_compute, round(comm+compute, 9) AS t_total FROM t""",
-)(planned(lambda e, r, p: metrics.alpha_beta(e, r, p, PARTS)))
+)(planned(lambda e, r, p: metrics.alpha_beta(e, r, PARTS)))
 
 
 # --- comparisons -------------------------------------------------------------------------------------------------

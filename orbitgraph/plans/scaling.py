@@ -69,8 +69,7 @@ def modelled(spark, d, depth: int, r_cut: float):
         "random": partition.random(atoms, parts),
     }
     for name, ranks in schemes.items():
-        plan = exchange.plan(e, ranks).persist()
-        yield name, parts, metrics.alpha_beta(e, ranks, plan, parts).agg(F.max("t_total").alias("t"))
+        yield name, parts, metrics.alpha_beta(e, ranks, parts).agg(F.max("t_total").alias("t"))
 
 
 @query("strong_scaling_model")
@@ -134,8 +133,7 @@ def _(spark, d):
     e, atoms, cell, _ = edges(spark, d, "oxide", R_CUT)
     e = e.persist()
     ranks = partition.few_neighbour(atoms, graph.degree(e), cell, 3, R_CUT)[0]
-    plan = exchange.plan(e, ranks).persist()
-    return metrics.alpha_beta(e, ranks, plan, 8).agg(*telemetry.bandwidth(F.col("received") * 1600, F.col("t_comm"), 48.6))
+    return metrics.alpha_beta(e, ranks, 8).agg(*telemetry.bandwidth(F.col("received") * 1600, F.col("t_comm"), 48.6))
 
 
 @query("cell_shape_ablation")

@@ -86,7 +86,7 @@ def _weak(tilings: tuple, r_cut: float):
         rows = []
         for tiles in tilings:
             e, atoms, _, ranks, parts = tiled(spark, d, tiles, r_cut)
-            costs = metrics.phase_costs(e, ranks, exchange.plan(e, ranks), parts)
+            costs = metrics.phase_costs(e, ranks, parts)
             n = load(spark, d, "oxide")[2] * math.prod(tiles)
             rows.append(phase_summary(costs).select(F.lit("x".join(map(str, tiles))).alias("tiling"), F.lit(parts).alias("parts"), F.lit(n).cast("long").alias("n_atoms"), "*"))
         out = _union(rows)
@@ -150,15 +150,15 @@ def _schemes(spark: SparkSession, d: str, r_cuts: tuple, depths: tuple, summary,
             schemes = scheme_ranks(finest, max(depths) - depth, atoms, cell, n, depth) | {k: f(e, 1 << depth) for k, f in (extra or {}).items()}
             for scheme, ranks in schemes.items():
                 ranks = ranks.persist()
-                rows.append(summary(e, ranks, exchange.plan(e, ranks), 1 << depth).select(F.lit(r).alias("r_cut"), F.lit(scheme).alias("scheme"), F.lit(1 << depth).alias("parts"), "*"))
+                rows.append(summary(e, ranks, 1 << depth).select(F.lit(r).alias("r_cut"), F.lit(scheme).alias("scheme"), F.lit(1 << depth).alias("parts"), "*"))
     return _union(rows)
 
 
 QUALITY = """round(avg(received), 6) AS volume_per_rank, CAST(max(neighbours) AS BIGINT) AS max_neighbours, round(avg(neighbours), 6) AS mean_neighbours, round(max(messages)/avg(messages), 6) AS edge_imbalance"""
 
 
-def quality(e: DataFrame, ranks: DataFrame, plan: DataFrame, parts: int) -> DataFrame:
-    return metrics.phase_costs(e, ranks, plan, parts).agg(F.round(F.avg("received"), 6).alias("volume_per_rank"), F.max("neighbours").alias("max_neighbours"), F.round(F.avg("neighbours"), 6).alias("mean_neighbours"), F.round(F.max("messages") / F.avg("messages"), 6).alias("edge_imbalance"))
+def quality(e: DataFrame, ranks: DataFrame, parts: int) -> DataFrame:
+    return metrics.phase_costs(e, ranks, parts).agg(F.round(F.avg("received"), 6).alias("volume_per_rank"), F.max("neighbours").alias("max_neighbours"), F.round(F.avg("neighbours"), 6).alias("mean_neighbours"), F.round(F.max("messages") / F.avg("messages"), 6).alias("edge_imbalance"))
 
 
 @query("partition_study", _schemes_sql((6.0, 7.0), (3, 5), QUALITY))
@@ -175,13 +175,13 @@ def _strong_of(times: DataFrame) -> DataFrame:
  SELECT *, min(CASE WHEN parts = 8 THEN t_total END) OVER () AS base, max(t_total) OVER (PARTITION BY parts) AS worst FROM ({_schemes_sql((6.0,), DEPTHS, SUMMARY)}))""")
 def _(spark, d):
     """Strong scaling of the node block by scheme, from the costs of partitions into 8, 16 and 32 ranks."""
-    return _strong_of(_schemes(spark, d, (6.0,), DEPTHS, lambda e, r, p, k: phase_summary(metrics.phase_costs(e, r, p, k))))
+    return _strong_of(_schemes(spark, d, (6.0,), DEPTHS, lambda e, r, k: phase_summary(metrics.phase_costs(e, r, k))))
 
 
 @query("overhead_decomposition", _schemes_sql((6.0,), DEPTHS, SUMMARY))
 def _(spark, d):
     """Packing, sending, unpacking and computing of the slowest rank, and the share of the exchange, by scheme and ranks."""
-    return _schemes(spark, d, (6.0,), DEPTHS, lambda e, r, p, k: phase_summary(metrics.phase_costs(e, r, p, k)))
+    return _schemes(spark, d, (6.0,), DEPTHS, lambda e, r, k: phase_summary(metrics.phase_costs(e, r, k)))
 
 
 @query("strong_scaling_128")
@@ -194,7 +194,7 @@ def _(spark, d):
     for depth in (5, 6, 7):
         parts = 1 << depth
         for scheme, r in (("few_neighbour", partition.coarser(finest, 7 - depth)), ("min_cut", mincut.min_cut(e, parts).persist())):
-            rows.append(phase_summary(metrics.phase_costs(e, r, exchange.plan(e, r), parts)).select(F.lit(scheme).alias("scheme"), F.lit(parts).alias("parts"), "*"))
+            rows.append(phase_summary(metrics.phase_costs(e, r, parts)).select(F.lit(scheme).alias("scheme"), F.lit(parts).alias("parts"), "*"))
     return telemetry.strong(_union(rows).select("scheme", "parts", F.col("t_total").alias("t")), 32)
 
 
@@ -202,7 +202,7 @@ def _(spark, d):
 def _(spark, d):
     """Bytes of an exchange over the slowest rank's modelled time of exchange, at 32 ranks."""
     e, _, _, ranks, parts = tiled(spark, d, (1, 1, 1), 6.0, 5)
-    costs = metrics.phase_costs(e, ranks, exchange.plan(e, ranks), parts)
+    costs = metrics.phase_costs(e, ranks, parts)
     return costs.agg(*telemetry.bandwidth(F.col("received") * 1600, F.col("t_pack") + F.col("t_send") + F.col("t_unpack"), 48.6))
 
 
