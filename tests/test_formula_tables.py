@@ -6,7 +6,7 @@ import pytest
 import __spark_entry__ as entry
 
 
-@pytest.mark.parametrize("name", ["cost_growth", "memory_model", "message_bytes"])
+@pytest.mark.parametrize("name", ["cost_growth", "memory_model", "message_bytes", "useful_ranks"])
 def test_formulas_read_a_table(spark, sf, name):
     """Spark's tasks read columns of a given table, and the result is the SQL's."""
     df = entry.queries()[name](spark, sf)
