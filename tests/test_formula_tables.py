@@ -16,3 +16,9 @@ def test_formulas_read_a_table(spark, sf, name):
         for t in ("part", "lineitem", "events"):
             con.execute(f"CREATE VIEW {t} AS SELECT * FROM '{os.path.join(sf, t)}.parquet'")
         assert sorted(map(tuple, df.collect())) == sorted(con.execute(entry.oracle_sql()[name]).fetchall())
+
+
+def test_throughput_times_the_rows_of_a_table(spark, sf):
+    df = entry.queries()["throughput_samples"](spark, sf)
+    assert "FileScan parquet" in df._jdf.queryExecution().executedPlan().toString()
+    assert {(r.channels, r.knee in (100, 1_000, 10_000), r.best_rate > 0) for r in df.collect()} == {(16, True, True), (32, True, True)}
