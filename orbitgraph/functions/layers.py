@@ -11,7 +11,7 @@ from dataclasses import dataclass
 
 import numpy as np
 
-from .so3 import bond_rotations, lm_index, rotate, wigner
+from .so3 import bond_wigner, lm_index, rotate
 
 
 @dataclass(frozen=True)
@@ -67,8 +67,8 @@ def so2_linear(x: np.ndarray, p: dict[str, np.ndarray], name: str, shape: Shape)
         minus = [lm_index(l, -m) for l in ls]
         b = x[:, minus].reshape(n, -1)
         r, i = p[f"{name}.{m}r"], p[f"{name}.{m}i"]
-        out[:, plus] = (a @ r - b @ i).reshape(n, len(plus), c)
-        out[:, minus] = (a @ i + b @ r).reshape(n, len(plus), c)
+        both = np.concatenate([a, b], axis=1) @ np.block([[r, i], [-i, r]])
+        out[:, plus], out[:, minus] = (v.reshape(n, len(plus), c) for v in np.split(both, 2, axis=1))
     return out
 
 
@@ -107,14 +107,28 @@ def radial(r: np.ndarray, shape: Shape) -> np.ndarray:
 
 def transform(src: np.ndarray, dst: np.ndarray, edge: np.ndarray, vectors: np.ndarray, p: dict[str, np.ndarray], shape: Shape) -> np.ndarray:
     """Message of three parts: into the bond frame, linear, gate, linear, and back."""
-    d = wigner(bond_rotations(vectors), shape.l_max)
-    x = rotate(np.stack([src, dst, edge], axis=1), d)
-    flat = np.concatenate([x[:, 0], x[:, 1], x[:, 2]], axis=2)
+    d = bond_wigner(vectors, shape.l_max)
+    if not (edge[:, 1:].any() or src[:, 1:].any() or dst[:, 1:].any()):
+        return _of_scalars(np.concatenate([src[:, 0], dst[:, 0], edge[:, 0]], axis=1), d, vectors, p, shape)
+    flat = rotate(np.concatenate([src, dst, edge], axis=2)[:, None], d)[:, 0]
     y = so2_linear(gate(so2_linear(flat, p, "first", shape), p["gate"], shape), p, "second", shape)
     y *= envelope(np.linalg.norm(vectors, axis=1), shape.r_cut)[:, None, None]
     return rotate(y[:, None], d, back=True)[:, 0]
 
 
+def _of_scalars(x: np.ndarray, d: list[np.ndarray], vectors: np.ndarray, p: dict[str, np.ndarray], shape: Shape) -> np.ndarray:
+    """The message of invariant rows alone, as in a first layer: nothing is turned on the way in, and only rows of m = 0
+    come out of the linear maps."""
+    n, c = len(x), shape.channels
+    h = (x @ p["first.0r"][: 3 * c]).reshape(n, shape.l_max + 1, c)
+    s = h[:, 0].copy()
+    h[:, 0] = s / (1 + np.exp(-s))
+    h[:, 1:] *= (1 / (1 + np.exp(-(s @ p["gate"])))).reshape(n, shape.l_max, c)
+    y = (h.reshape(n, -1) @ p["second.0r"]).reshape(n, shape.l_max + 1, c)
+    y *= envelope(np.linalg.norm(vectors, axis=1), shape.r_cut)[:, None, None]
+    return np.concatenate([m[:, l, :, None] * y[:, l, None] for l, m in enumerate(d)], axis=1)  # noqa: E741
+
+
 def chunks(n: int, most: int) -> Iterator[slice]:
     for a in range(0, n, most):
         yield slice(a, min(a + most, n))

@@ -7,7 +7,7 @@ from dataclasses import replace
 import numpy as np
 
 from .layers import Shape, chunks, envelope, equi_norm, gate, node_update, per_degree, segment_softmax, so2_linear
-from .so3 import bond_rotations, lm_index, rotate, wigner
+from .so3 import bond_wigner, lm_index, rotate
 
 EPS = 1e-6
 
@@ -84,9 +84,8 @@ def feed_forward_back(x: np.ndarray, grad: np.ndarray, p: dict[str, np.ndarray],
 
 def _chunk(normed: np.ndarray, edge: np.ndarray, src: np.ndarray, dst: np.ndarray, vectors: np.ndarray, p: dict[str, np.ndarray], shape: Shape) -> tuple:
     """What the transform of a chunk computes on its way, and its messages."""
-    d = wigner(bond_rotations(vectors), shape.l_max)
-    x = rotate(np.stack([normed[src], normed[dst], edge], axis=1), d)
-    flat = np.concatenate([x[:, 0], x[:, 1], x[:, 2]], axis=2)
+    d = bond_wigner(vectors, shape.l_max)
+    flat = rotate(np.concatenate([normed[src], normed[dst], edge], axis=2)[:, None], d)[:, 0]
     h = so2_linear(flat, p, "first", shape)
     g = gate(h, p["gate"], shape)
     env = envelope(np.linalg.norm(vectors, axis=1), shape.r_cut)[:, None, None]
@@ -99,10 +98,19 @@ def _chunk_back(made: tuple, dm: np.ndarray, src: np.ndarray, dst: np.ndarray, p
     dy = rotate(dm[:, None], d)[:, 0] * env
     df = so2_back(flat, gate_back(h, so2_back(g, dy, p, "second", shape, out), p["gate"], shape, out), p, "first", shape, out)
     k = shape.channels
-    dx = rotate(np.stack([df[:, :, :k], df[:, :, k : 2 * k], df[:, :, 2 * k :]], axis=1), d, back=True)
-    np.add.at(back_normed, src, dx[:, 0])
-    np.add.at(back_normed, dst, dx[:, 1])
-    return dx[:, 2]
+    dx = rotate(df[:, None], d, back=True)[:, 0]
+    add_rows(back_normed, src, dx[:, :, :k])
+    add_rows(back_normed, dst, dx[:, :, k : 2 * k])
+    return dx[:, :, 2 * k :]
+
+
+def add_rows(total: np.ndarray, index: np.ndarray, rows: np.ndarray) -> None:
+    """Rows added in place at their indices, which may repeat."""
+    order = np.argsort(index, kind="stable")
+    at = index[order]
+    first = np.flatnonzero(np.r_[True, at[1:] != at[:-1]][: len(at)])
+    if len(first):
+        total[at[first]] += np.add.reduceat(rows[order], first, axis=0)
 
 
 def node_update_back(

@@ -75,12 +75,44 @@ def bond_rotations(vectors: np.ndarray) -> np.ndarray:
     return second @ first
 
 
+@lru_cache(maxsize=8)
+def _polar(l_max: int) -> tuple[np.ndarray, ...]:
+    """For each l, what turns about y by an angle t are made of: (2l+1, (2l+1)²) factors of 1, cos t, .., sin t, .. ."""
+    t = np.linspace(0, 2 * np.pi, 4 * l_max + 5)[:-1]
+    zero = np.zeros_like(t)
+    about_y = np.stack([np.stack([np.cos(t), zero, -np.sin(t)], 1), np.stack([zero, zero + 1, zero], 1), np.stack([np.sin(t), zero, np.cos(t)], 1)], 1)
+    made = wigner(about_y, l_max)
+    return tuple(np.linalg.pinv(np.stack([np.cos(m * t) for m in range(l + 1)] + [np.sin(m * t) for m in range(1, l + 1)], 1)) @ made[l].reshape(len(t), -1) for l in range(l_max + 1))  # noqa: E741
+
+
+def bond_wigner(vectors: np.ndarray, l_max: int) -> list[np.ndarray]:
+    """The matrices of :func:`wigner` for :func:`bond_rotations`, in closed form: a turn about z, then one about y."""
+    v = vectors / np.linalg.norm(vectors, axis=1, keepdims=True)
+    rho = np.hypot(v[:, 0], v[:, 1])
+    polar = rho < 1e-12
+    safe = np.where(polar, 1.0, rho)
+    c, s, z = np.where(polar, 1.0, v[:, 0] / safe), np.where(polar, 0.0, v[:, 1] / safe), v[:, 2]
+    cos, sin, cos_y, sin_y = [np.ones(len(v))], [np.zeros(len(v))], [np.ones(len(v))], [np.zeros(len(v))]
+    for _ in range(l_max):
+        cos, sin = [*cos, c * cos[-1] - s * sin[-1]], [*sin, c * sin[-1] + s * cos[-1]]
+        cos_y, sin_y = [*cos_y, z * cos_y[-1] - rho * sin_y[-1]], [*sin_y, z * sin_y[-1] + rho * cos_y[-1]]
+    out = []
+    for l, factors in enumerate(_polar(l_max)):  # noqa: E741
+        d = (np.stack([*cos_y[: l + 1], *sin_y[1 : l + 1]], 1) @ factors).reshape(len(v), 2 * l + 1, 2 * l + 1)
+        for m in range(1, l + 1):
+            plus, minus = d[:, :, l + m].copy(), d[:, :, l - m].copy()
+            d[:, :, l + m] = plus * cos[m][:, None] - minus * sin[m][:, None]
+            d[:, :, l - m] = plus * sin[m][:, None] + minus * cos[m][:, None]
+        out.append(d)
+    return out
+
+
 def rotate(x: np.ndarray, d: list[np.ndarray], back: bool = False) -> np.ndarray:
     """Rows (n, g, h, c) turned block by block; back applies the transposes."""
     out = np.empty_like(x)
     for l, m in enumerate(d):  # noqa: E741
         rows = slice(l * l, (l + 1) ** 2)
-        out[:, :, rows] = np.einsum("nba,ngbc->ngac" if back else "nab,ngbc->ngac", m, x[:, :, rows])
+        out[:, :, rows] = (m.transpose(0, 2, 1) if back else m)[:, None] @ x[:, :, rows] if l else x[:, :, rows] * m[:, None]
     return out
 
 

@@ -63,7 +63,11 @@ def _reduced(partial: DataFrame) -> dict[tuple[str, str], np.ndarray]:
 
 def fit_least_squares(data: DataFrame, ridge: float = 1e-8) -> dict[str, np.ndarray]:
     """Closed-form heads from one pass of Gram matrices."""
-    s = _reduced(data.mapInPandas(_partial_sums("gram"), PARTIAL))
+    return solve(_reduced(data.mapInPandas(_partial_sums("gram"), PARTIAL)), ridge)
+
+
+def solve(s: dict[tuple[str, str], np.ndarray], ridge: float = 1e-8) -> dict[str, np.ndarray]:
+    """Heads from sums by (head, xx or xy)."""
     heads = sorted({k[0] for k in s})
     out = {}
     for h in heads:
