@@ -126,6 +126,13 @@ def rows(values: pd.Series, shape: Shape) -> np.ndarray:
     return np.stack(values.to_numpy()).reshape(len(values), shape.rows, shape.channels) if len(values) else np.zeros((0, shape.rows, shape.channels))
 
 
+def listed(values: np.ndarray | list[np.ndarray]) -> np.ndarray:
+    """A column of arrays, one that stays so where there are no rows."""
+    out = np.empty(len(values), object)
+    out[:] = list(values)
+    return out
+
+
 def node_rows(space: Space, shape: Shape, blocks: Blocks, species: list[int], seed: int = 1, settle: Callable[[DataFrame], DataFrame] | None = None, extra: Callable[[pd.DataFrame, Piece], np.ndarray] | None = None) -> DataFrame:
     """Atoms with their rows after every layer (n1, n2, ..): one pass over the boxes for each.
 
@@ -146,9 +153,9 @@ def node_rows(space: Space, shape: Shape, blocks: Blocks, species: list[int], se
                     values = extra(frame, p)
                     more = np.zeros((len(frame), values.shape[1])) if more is None else more
                     more[mine] = values
-            out = frame.iloc[own][[*ATOMS, *kept]].assign(**{f"n{k}": list(new[own])})
+            out = frame.iloc[own][[*ATOMS, *kept]].assign(**{f"n{k}": listed(new[own])})
             if extra and k == 1:
-                out["sums"] = list(more[own]) if more is not None else []
+                out["sums"] = listed(more[own] if more is not None else new[own])
             return out
 
         schema += f", n{k} array<double>" + (", sums array<double>" if extra and k == 1 else "")

@@ -35,7 +35,7 @@ def test_closed_form_turns():
 def test_node_rows_equal_those_of_the_joined_graph(few, parts):
     for atoms, cell, n, e in few:
         want = {r.atom_id: r.emb for r in model.forward(atoms, e, model.single_rank(atoms), SHAPE, 2, SPECIES)[0].collect()}
-        got = boxnet.node_rows(boxnet.Space(atoms, cell, 6.0, n, parts=parts, box_atoms=4), SHAPE, boxnet.seeded(SHAPE, 2), SPECIES).collect()
+        got = boxnet.node_rows(boxnet.Space(atoms, cell, 6.0, n, parts=parts, box_atoms=1), SHAPE, boxnet.seeded(SHAPE, 2), SPECIES).collect()
         assert len(got) == n and all(np.allclose(r.n2, want[r.atom_id], atol=1e-10) for r in got)
 
 
@@ -46,7 +46,7 @@ def test_heads_and_errors_equal_those_of_tables(few):
         truth = hamiltonian.two_centre(e, atoms, 6.0)
         targets = train.coupled_targets(truth)
         want = train.fit_least_squares(train.features(rows, targets, train.EDGE_KEYS, SHAPE), ridge=1e-3)
-        space, blocks = boxnet.Space(atoms, cell, 6.0, n, least=0.5, box_atoms=4), boxnet.seeded(SHAPE, 1)
+        space, blocks = boxnet.Space(atoms, cell, 6.0, n, least=0.5, box_atoms=1), boxnet.seeded(SHAPE, 1)
         nodes = boxnet.node_rows(space, SHAPE, blocks, SPECIES)
         got = boxheads.fit(nodes, space, SHAPE, blocks, SPECIES, ridge=1e-3)
         assert want.keys() == got.keys() and all(np.allclose(got[k], want[k], rtol=1e-6, atol=1e-9) for k in want)
