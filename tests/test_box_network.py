@@ -73,3 +73,7 @@ def test_no_table_of_edges(spark, sf, monkeypatch, name):
         monkeypatch.setattr(where, "radius_edges", never)
         monkeypatch.setattr(where, "tile_edges", never)
     assert entry.queries()[name](spark, sf).count() > 0
+
+
+def test_pairs_are_made_by_many_tasks(spark, sf):
+    assert entry.queries()["min_image_pairs"](spark, sf).rdd.getNumPartitions() >= 48
