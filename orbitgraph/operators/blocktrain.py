@@ -306,6 +306,11 @@ def fit_heads(g: Graph, params: Params, shape: Shape, ridge: float = 1e-6) -> Pa
     schema = "kind string, name string, atom_id long, value array<double>"
     depth = n_layers(params)
     sums = named_sums(g.own.join(nodes[-1], "atom_id").mapInPandas(_gram(shape, params, depth, True), schema)) | named_sums(edges.mapInPandas(_gram(shape, params, depth, False), schema))
+    return solved(params, sums, ridge)
+
+
+def solved(params: Params, sums: dict[str, np.ndarray], ridge: float) -> Params:
+    """Parameters with the heads that Gram matrices (under "name|xx" and "name|xy") ask for."""
     out = dict(params)
     for name, v in params.items():
         if f"{name}|xx" in sums:
@@ -365,12 +370,16 @@ def load(spark: SparkSession, path: str) -> Training | None:
 
 
 def fit(g: Graph, t: Training, shape: Shape, steps: int, w1: float = 1.0, w2: float = 1.0, path: str | None = None, every: int = 100) -> Training:
+    """:func:`descend` on a graph of ranks."""
+    return descend(g.own.sparkSession, lambda params: loss_and_gradient(g, params, shape, w1, w2), t, steps, path, every)
+
+
+def descend(spark: SparkSession, gradient: Callable[[Params], tuple[dict[str, float], Params]], t: Training, steps: int, path: str | None = None, every: int = 100) -> Training:
     """Full-batch steps (Adam) up to ``steps`` in all, with the plateau schedule; a run with a ``path`` goes on from the last
-    saved step there, and saves every so many steps and at the end."""
-    spark = g.own.sparkSession
+    saved step there, and saves every so many steps and at the end. gradient: loss, with its parts, and gradient at parameters."""
     t = (load(spark, path) if path else None) or t
     while t.step < steps:
-        losses, grads = loss_and_gradient(g, t.params, shape, w1, w2)
+        losses, grads = gradient(t.params)
         t.step += 1
         t.losses.append(losses)
         rate = t.schedule.step(losses["loss"])

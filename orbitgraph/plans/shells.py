@@ -7,9 +7,9 @@ from pyspark.sql import functions as F
 
 from ..functions.layers import Shape
 from ..functions.so3 import rotate, wigner
-from ..operators import basis, blocktrain, exchange, graph, hamiltonian, message, model, partition, structure
+from ..operators import basis, blocktrain, boxblocks, exchange, graph, hamiltonian, message, model, partition, structure
 from .core import oxide_ranks, ranks_sql
-from .learning import _settle, rank_count
+from .learning import _settle, rank_count, structure_space
 from .structures import PLAN_SQL, edges, load, with_edges_sql
 
 QUERIES: dict = {}
@@ -109,12 +109,17 @@ def distributed(spark, d, name, snap: float = 0.0, train: bool = True):
     return blocktrain.distribute(atoms, e, ranks, SHAPE, PCM, _settle, node_y, edge_y), atoms, cell, e, n
 
 
+def boxed(spark, d, name, snap: float = 0.0):
+    """A whole structure in boxes."""
+    return boxblocks.Boxed(structure_space(spark, d, name, snap), SHAPE, PCM, _settle)
+
+
 @query("train_blocks")
 def _(spark, d):
     """Loss and mean absolute errors of diagonal and off-diagonal blocks along steps on all parameters, whole structure."""
-    g = distributed(spark, d, "pcm_c")[0]
-    start = blocktrain.fit_heads(g, blocktrain.initial(SHAPE, PCM, 1), SHAPE)
-    t = blocktrain.fit(g, blocktrain.begin(start, 0.003), SHAPE, 3)
+    g = boxed(spark, d, "pcm_c")
+    start = boxblocks.fit_heads(g, blocktrain.initial(SHAPE, PCM, 1))
+    t = blocktrain.descend(spark, lambda params: boxblocks.loss_and_gradient(g, params), blocktrain.begin(start, 0.003), 3)
     return spark.createDataFrame([(i, x["loss"], x["node_mae"], x["edge_mae"]) for i, x in enumerate(t.losses)], "step int, loss double, node_mae double, edge_mae double")
 
 
