@@ -127,13 +127,12 @@ def _(spark, d):
 def _(spark, d):
     """Trained on the whole amorphous stand-in, errors of node and edge blocks there and on the near-lattice structure,
     beside the mean size of what is predicted."""
-    g = distributed(spark, d, "pcm_a")[0]
-    params = blocktrain.fit_heads(g, blocktrain.initial(SHAPE, PCM, 1), SHAPE)
-    rows = []
-    for name, h in (("train", g), ("validate", distributed(spark, d, "pcm_c", snap=2.5)[0])):
-        losses, _ = blocktrain.loss_and_gradient(h, params, SHAPE, gradient=False)
-        size = [df.select(F.explode("y").alias("y")).agg(F.avg(F.abs("y"))).first()[0] for df in (h.own, h.edges)]
-        rows.append((name, losses["node_mae"], size[0], losses["edge_mae"], size[1]))
+    params, fitted, rows = blocktrain.initial(SHAPE, PCM, 1), None, []
+    for name, g in (("train", boxed(spark, d, "pcm_a")), ("validate", boxed(spark, d, "pcm_c", snap=2.5))):
+        nodes = g.nodes(params)  # heads do not change them
+        fitted = fitted or boxblocks.fit_heads(g, params, nodes=nodes)
+        losses, size = boxblocks.measure(g, fitted, nodes)
+        rows.append((name, losses["node_mae"], size["node"], losses["edge_mae"], size["edge"]))
     return spark.createDataFrame(rows, "structure string, node_mae double, node_size double, edge_mae double, edge_size double")
 
 
