@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from ..functions.layers import Shape
 from ..functions.so3 import rotate, wigner
-from ..operators import basis, blocktrain, boxblocks, exchange, graph, hamiltonian, message, model, partition, structure
+from ..operators import basis, blocktrain, boxblocks, boxnet, exchange, graph, message, model, partition, structure
 from .core import oxide_ranks, ranks_sql
 from .learning import _settle, rank_count, structure_space
 from .structures import PLAN_SQL, edges, load, with_edges_sql
@@ -96,19 +96,6 @@ def _(spark, d):
 SHAPE = Shape(l_max=4, channels=4, r_cut=R_CUT)
 
 
-def distributed(spark, d, name, snap: float = 0.0, train: bool = True):
-    """A whole structure on its ranks, with its targets."""
-    atoms, cell, n = load(spark, d, name)
-    if snap:
-        atoms = structure.wrap(atoms.withColumns({a: F.round(F.col(a) / snap) * F.lit(snap) + F.lit(0.05) * F.col(a) / F.lit(cell.lengths[0]) for a in "xyz"}), cell)
-    atoms = _settle(atoms)
-    e = _settle(graph.radius_edges(atoms, cell, R_CUT).where("r > 0.5"))
-    ranks = partition.sequential(atoms, rank_count(n), n)
-    node_y = blocktrain.targets(basis.coupled_onsite(e, atoms, R_CUT, PCM), ["atom_id"]) if train else None
-    edge_y = blocktrain.targets(basis.coupled(e, atoms, R_CUT, PCM), basis.KEYS) if train else None
-    return blocktrain.distribute(atoms, e, ranks, SHAPE, PCM, _settle, node_y, edge_y), atoms, cell, e, n
-
-
 def boxed(spark, d, name, snap: float = 0.0):
     """A whole structure in boxes."""
     return boxblocks.Boxed(structure_space(spark, d, name, snap), SHAPE, PCM, _settle)
@@ -139,15 +126,14 @@ def _(spark, d):
 @query("tiled_blocks")
 def _(spark, d):
     """The matrix of a 2x2x2 tile predicted from its graph alone: size, stored elements, errors of node and edge blocks."""
-    g, atoms, cell, e, n = distributed(spark, d, "pcm_c")
-    params = blocktrain.fit_heads(g, blocktrain.initial(SHAPE, PCM, 1), SHAPE)
-    big, big_edges = _settle(structure.tile(atoms, cell, n, 2, 2, 2)), _settle(graph.tile_edges(e, n, 2, 2, 2))
-    blank = blocktrain.distribute(big, big_edges, partition.sequential(big, rank_count(8 * n), 8 * n), SHAPE, PCM, _settle)
-    p = _settle(blocktrain.predict(blank, params, SHAPE, PCM))
-    offs = basis.offsets(big)
-    size = hamiltonian.shape(hamiltonian.to_coo(p.select("src", "dst", "a", "b", "val"), offs), offs)
-    err = blocktrain.errors(p, blocktrain.truth(big_edges, big, R_CUT, PCM)).groupBy("kind").agg(F.avg("err").alias("mae"), F.avg("size").alias("mean_size"), F.count(F.lit(1)).alias("n"))
-    return err.crossJoin(size).select("kind", "size", "nnz", F.round("mae", 6).alias("mae"), F.round("mean_size", 6).alias("mean_size"), "n")
+    g = boxed(spark, d, "pcm_c")
+    params = boxblocks.fit_heads(g, blocktrain.initial(SHAPE, PCM, 1))
+    s = g.space
+    big = boxnet.Space(structure.tile(s.atoms, s.cell, s.n_atoms, 2, 2, 2), s.cell.tiled(2, 2, 2), R_CUT, 8 * s.n_atoms, least=s.least)
+    each = _settle(boxblocks.errors(boxblocks.Boxed(big, SHAPE, PCM, _settle), params))
+    size = each.agg(F.sum("orbitals").alias("all"), F.sum("stored").alias("nnz"))
+    mean = lambda c, name: F.round(F.col(c) / F.col("n"), 6).alias(name)
+    return each.where("n > 0").crossJoin(size).select("kind", F.col("all").alias("size"), "nnz", mean("err", "mae"), mean("size", "mean_size"), "n")
 
 
 @query("equivariance_error")

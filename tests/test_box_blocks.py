@@ -61,7 +61,7 @@ def test_heads_sizes_and_errors_equal_those_of_tables(few):
         assert (sum(r.orbitals for r in rows.values()), sum(r.stored for r in rows.values())) == (whole["size"], whole.nnz)
 
 
-@pytest.mark.parametrize("name", ["train_blocks", "validate_blocks"])
+@pytest.mark.parametrize("name", ["train_blocks", "validate_blocks", "tiled_blocks"])
 def test_no_table_of_edges(spark, sf, monkeypatch, name):
     """Edge rows and targets in tables were what filled the disk."""
 
