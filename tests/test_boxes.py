@@ -33,3 +33,22 @@ def test_no_placement_joins_the_edges(spark, sf):
     """Twelve placements are counted in one pass: nothing is joined by edge, and no table of edges is kept."""
     text = entry.queries()["overhead_decomposition"](spark, sf)._jdf.queryExecution().analyzed().toString()
     assert text.count("FlatMapGroupsInPandas") == 1 and "dx#" not in text
+
+
+def test_tiled_placement_joins_nothing_as_long_as_the_tiles(spark, sf, monkeypatch):
+    """Copies keep their degree, base and tile, so that only tables of the cell are joined; ranks are those of the tiled graph."""
+    from orbitgraph.plans import workloads
+
+    plans, few = [], partition.few_neighbour
+
+    def seen(*args, **kwargs):
+        ranks, tree = few(*args, **kwargs)
+        plans.append((args[0]._jdf.queryExecution().optimizedPlan().toString(), ranks.columns))
+        return ranks, tree
+
+    want = {r.atom_id: r["rank"] for r in workloads.tiled(spark, sf, (2, 1, 1), 6.0)[3].collect()}
+    monkeypatch.setattr(partition, "few_neighbour", seen)
+    atoms, _, n, _ = workloads.placed(spark, sf, (2, 1, 1), 6.0)
+    assert {r.atom_id + t * n: v for r in atoms.collect() for t, v in enumerate(r.ranks)} == want
+    text, columns = plans[0]
+    assert {"base", "t"} <= set(columns) and "Generate explode" not in text[text.index("Join") :].split("FlatMapGroupsInPandas")[0]
